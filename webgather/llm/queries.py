@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from webgather.llm import decontaminate, exact_dedup, langid, packing, quality
+from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality
 
 TRAINED_ON = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
 
@@ -47,6 +47,10 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 
+def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"), keep="largest")
 
@@ -59,6 +63,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontaminate": op1_decontaminate,
     "op2_language": op2_language,
     "op3_quality": op3_quality,
+    "op4_minhash": op4_minhash,
     "op6_exact_dedup": op6_exact_dedup,
     "op10_packing": op10_packing,
 }

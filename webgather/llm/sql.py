@@ -18,4 +18,13 @@ ORACLES: dict[str, str] = {
         SELECT w.doc_id, CAST(len(words) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(items, '')) AS items_sha256,
                coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(words) AS contaminated
         FROM w LEFT JOIN hw USING (doc_id) LEFT JOIN hi USING (doc_id)""",
+    "op4_minhash": r"""
+        WITH RECURSIVE w AS (SELECT doc_id, coalesce(regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+'), []) AS words FROM documents),
+        s AS (SELECT DISTINCT doc_id, list_slice(words, k, k + 4) AS sh FROM (SELECT doc_id, words, unnest(range(1, greatest(1, len(words) - 4) + 1)) AS k FROM w WHERE len(words) > 0)),
+        n AS (SELECT doc_id, count(*) AS n_shingles FROM s GROUP BY 1),
+        p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS both_n FROM s a JOIN s b ON a.sh = b.sh AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+        e AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * both_n >= 75 * (x.n_shingles + y.n_shingles - both_n)),
+        r AS (SELECT doc_id, doc_id AS other FROM w UNION SELECT r.doc_id, e.b FROM r JOIN e ON e.a = r.other),
+        c AS (SELECT doc_id, min(other) AS component_id FROM r GROUP BY 1)
+        SELECT w.doc_id, coalesce(n_shingles, 0) AS n_shingles, component_id, w.doc_id = component_id AS kept FROM w JOIN c USING (doc_id) LEFT JOIN n USING (doc_id)""",
 }
