@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality
+from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality, substring
 
 TRAINED_ON = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
 
@@ -55,6 +55,11 @@ def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"), keep="largest")
 
 
+def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = substring.remove_repeated_windows(table(spark, sf_dir, "documents"))
+    return cut.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -65,5 +70,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_quality": op3_quality,
     "op4_minhash": op4_minhash,
     "op6_exact_dedup": op6_exact_dedup,
+    "op7_substring": op7_substring,
     "op10_packing": op10_packing,
 }

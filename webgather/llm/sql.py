@@ -27,4 +27,13 @@ ORACLES: dict[str, str] = {
         r AS (SELECT doc_id, doc_id AS other FROM w UNION SELECT r.doc_id, e.b FROM r JOIN e ON e.a = r.other),
         c AS (SELECT doc_id, min(other) AS component_id FROM r GROUP BY 1)
         SELECT w.doc_id, coalesce(n_shingles, 0) AS n_shingles, component_id, w.doc_id = component_id AS kept FROM w JOIN c USING (doc_id) LEFT JOIN n USING (doc_id)""",
+    "op7_substring": r"""
+        WITH w AS (SELECT doc_id, coalesce(regexp_extract_all(text, '[^\x20\x09-\x0D]+'), []) AS words FROM documents),
+        g AS (SELECT doc_id, k, list_slice(words, k, k + 19) AS win FROM (SELECT doc_id, words, unnest(range(1, len(words) - 18)) AS k FROM w WHERE len(words) >= 20)),
+        f AS (SELECT doc_id, k, row_number() OVER (PARTITION BY win ORDER BY doc_id, k) AS nth FROM g),
+        c AS (SELECT DISTINCT doc_id, unnest(range(k, k + 20)) AS p FROM f WHERE nth > 1),
+        a AS (SELECT doc_id, p, words[p] AS word FROM (SELECT doc_id, words, unnest(range(1, len(words) + 1)) AS p FROM w)),
+        k AS (SELECT a.doc_id, string_agg(word, ' ' ORDER BY p) AS kept, count(*) AS n_kept FROM a ANTI JOIN c ON a.doc_id = c.doc_id AND a.p = c.p GROUP BY 1)
+        SELECT w.doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(len(words) - coalesce(n_kept, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
+        FROM w LEFT JOIN k USING (doc_id)""",
 }
