@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality, substring
+from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality, substring, suffix
 
 TRAINED_ON = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
 
@@ -60,6 +60,11 @@ def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut.select("doc_id", "n_words", "n_removed", F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+def op8_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = suffix.remove_earlier_strings(table(spark, sf_dir, "documents"))
+    return cut.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -71,5 +76,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_minhash": op4_minhash,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_substring": op7_substring,
+    "op8_suffix_array": op8_suffix_array,
     "op10_packing": op10_packing,
 }

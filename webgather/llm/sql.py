@@ -36,4 +36,17 @@ ORACLES: dict[str, str] = {
         k AS (SELECT a.doc_id, string_agg(word, ' ' ORDER BY p) AS kept, count(*) AS n_kept FROM a ANTI JOIN c ON a.doc_id = c.doc_id AND a.p = c.p GROUP BY 1)
         SELECT w.doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(len(words) - coalesce(n_kept, 0) AS BIGINT) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256
         FROM w LEFT JOIN k USING (doc_id)""",
+    "op8_suffix_array": r"""
+        WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+        g AS (SELECT doc_id, k, substr(h, 2 * k - 1, 100) AS s FROM (SELECT doc_id, h, unnest(range(1, CAST(len(h) / 2 AS BIGINT) - 48)) AS k FROM d WHERE len(h) >= 100)),
+        f AS (SELECT s, min(doc_id) AS first FROM g GROUP BY 1 HAVING min(doc_id) < max(doc_id)),
+        w AS (SELECT g.doc_id, g.k FROM g JOIN f USING (s) WHERE g.doc_id > f.first),
+        l AS (SELECT doc_id, k, lag(k) OVER (PARTITION BY doc_id ORDER BY k) AS before FROM w),
+        r AS (SELECT doc_id, k, sum(CASE WHEN before IS NULL OR k > before + 50 THEN 1 ELSE 0 END) OVER (PARTITION BY doc_id ORDER BY k) AS span FROM l),
+        sp AS (SELECT doc_id, span, min(k) AS a, max(k) + 50 AS b FROM r GROUP BY 1, 2),
+        gaps AS (SELECT doc_id, span, a, b, coalesce(lag(b) OVER (PARTITION BY doc_id ORDER BY span), 1) AS from_k FROM sp),
+        p AS (SELECT doc_id, string_agg(substr(h, 2 * from_k - 1, 2 * (a - from_k)), '' ORDER BY span) AS head, sum(b - a) AS n_removed, count(*) AS n_spans, max(b) AS last FROM gaps JOIN d USING (doc_id) GROUP BY 1)
+        SELECT d.doc_id, CAST(len(h) / 2 AS BIGINT) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans,
+               sha256(unhex(coalesce(head || substr(h, 2 * last - 1), h))) AS kept_sha256
+        FROM d LEFT JOIN p USING (doc_id)""",
 }
