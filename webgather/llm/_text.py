@@ -36,7 +36,9 @@ def buffer_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, row offsets) of a string column; a null row is an empty one."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
-    column = column.cast(pa.large_string()).fill_null("")
+    column = column.cast(pa.large_string())
+    if column.null_count:
+        column = column.fill_null("")
     n = len(column)
     if n == 0:
         return np.empty(0, np.uint8), np.zeros(1, np.int64)

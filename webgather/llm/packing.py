@@ -19,6 +19,8 @@ import re
 import zlib
 from bisect import bisect_left, insort
 from collections import Counter
+from functools import lru_cache
+from unicodedata import is_normalized
 
 import numpy as np
 import pyarrow as pa
@@ -30,45 +32,89 @@ from webgather.llm._shared import written
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long"
 #: White space that Python splits at and the tokenizer may not, or rarer kinds, or special tokens: such texts are encoded whole.
-UNUSUAL = re.compile("[\x1c-\x1f\x85 ᠎ -‏    ⁠　﻿ ]|<\\|")
-MOST_CACHED = 300_000
+UNUSUAL = re.compile("[\\x1c-\\x1f\\x85\\xa0\\u03a3\\u1680\\u180e\\u2000-\\u200f\\u2028-\\u202f\\u205f-\\u206f\\u3000\\ufeff]|<\\|")
+MOST_CACHED = 150_000
 
 
 class Encoder:
-    """Token ids as little-endian 32-bit numbers; words between white space are encoded once and kept."""
+    """Token ids as little-endian 32-bit numbers; what stands between white space is encoded once and kept.
 
-    def __init__(self, path: str):
+    The tokenizer drops white space, folds case and encodes runs of letters and of marks by
+    themselves, so a text is the sum of its parts, and a word with a comma or full stop the sum
+    of two. Of known parts the two latest generations of `most` each are kept.
+    """
+
+    def __init__(self, path: str, most: int = MOST_CACHED):
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {}
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends_word[[v for k, v in vocabulary.items() if k.endswith("</w>")]] = True
+        self.marks = {m: self.whole(m) for m in ",."}
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
+    def _learn(self, new: list[str], letters: bool) -> None:
+        code = self.tokenizer.encode(" ".join(new), add_special_tokens=False)
+        ids = np.array(code.ids, "<u4")
+        if letters:
+            cuts = np.flatnonzero(self.ends_word[ids]) + 1
+        else:
+            cuts = np.searchsorted([s for s, _ in code.offsets], np.cumsum([len(w) + 1 for w in new]))
+        raw, a = ids.tobytes(), 0
+        for w, b in zip(new, (4 * cuts).tolist(), strict=True):
+            self.known[w] = raw[a:b]
+            a = b
+
     def __call__(self, text: str) -> bytes:
-        if UNUSUAL.search(text):
+        if UNUSUAL.search(text) or not is_normalized("NFC", text):
             return self.whole(text)
-        known, words = self.known, text.split()
-        new = [w for w in dict.fromkeys(words) if w not in known]
-        if new:
-            if len(known) + len(new) > MOST_CACHED:
-                known.clear()
-                new = list(dict.fromkeys(words))
-            code = self.tokenizer.encode(" ".join(new), add_special_tokens=False)
-            ids = np.array(code.ids, "<u4")
-            ends = np.cumsum([len(w) + 1 for w in new])
-            cuts, a = np.searchsorted([s for s, _ in code.offsets], ends).tolist(), 0
-            for w, b in zip(new, cuts, strict=True):
-                known[w] = ids[a:b].tobytes()
-                a = b
-        return b"".join(map(known.__getitem__, words))
+        words = text.lower().split()
+        known, older = self.known, self.older
+        letters: list[str] = []
+        others: list[str] = []
+        sums: list[str] = []
+        asked = set()
+        for w in set(words).difference(known):
+            if (had := older.get(w)) is not None:
+                known[w] = had
+            elif w.isalpha():
+                letters.append(w)
+            elif w[-1] in ",." and w[:-1].isalpha():
+                sums.append(w)
+                asked.add(w[:-1])
+            else:
+                others.append(w)
+        if asked:
+            letters += [w for w in asked.difference(known).difference(letters) if w not in older]
+        if letters:
+            self._learn(letters, True)
+        if others:
+            self._learn(others, False)
+        for w in sums:
+            stem = w[:-1]
+            known[w] = (known.get(stem) or older[stem]) + self.marks[w[-1]]
+        out = b"".join(map(known.__getitem__, words))
+        if len(known) > self.most:
+            self.older, self.known = known, {}
+        return out
+
+
+@lru_cache(maxsize=2)
+def _encoder(path: str) -> Encoder:
+    """One to a worker: what a task has learned serves the next."""
+    return Encoder(path)
 
 
 def pieces(docs: DataFrame, tokenizer: str, size: int = 2048, id_col: str = "doc_id", text_col: str = "text", end_id: int = 0) -> DataFrame:
     """A row for each piece, in order of its document; rank counts the earlier pieces of that length in the task."""
 
     def cut(batches):
-        encode, seen, task = Encoder(tokenizer), Counter(), TaskContext.get().partitionId()
+        encode, seen, task = _encoder(tokenizer), Counter(), TaskContext.get().partitionId()
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
             out: list[list] = [[] for _ in range(6)]

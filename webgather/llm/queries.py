@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, quality, substring, suffix
+from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, pii, quality, substring, suffix, toolcalls
 
 TRAINED_ON = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
 
@@ -51,6 +51,11 @@ def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op5_tool_calls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    schemas = {"reply": {"prompt": ("STRING", True), "words": ("BIGINT", True)}}
+    return toolcalls.format_calls(toolcalls.turns_as_calls(table(spark, sf_dir, "conversations")), schemas)
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"), keep="largest")
 
@@ -65,6 +70,16 @@ def op8_suffix_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cut.select("doc_id", "n_bytes", "n_removed", F.size("spans").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op9_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = pii.find_personal_data(table(spark, sf_dir, "documents"))
+
+    def of_kind(kind: str) -> Column:
+        return F.size(F.filter("seeds", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+
+    counts = [of_kind(k) for k in pii.KINDS]
+    return found.select("doc_id", *counts, F.sha2(pii.spelled("seeds"), 256).alias("base_sha256"), pii.spelled(F.concat("seeds", "added")).alias("spans"))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -74,8 +89,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_language": op2_language,
     "op3_quality": op3_quality,
     "op4_minhash": op4_minhash,
+    "op5_tool_calls": op5_tool_calls,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_substring": op7_substring,
     "op8_suffix_array": op8_suffix_array,
+    "op9_personal_data": op9_personal_data,
     "op10_packing": op10_packing,
 }
