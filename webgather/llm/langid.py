@@ -112,28 +112,45 @@ def _has_letter(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     return found
 
 
+def predict(trees: ContextTrees, column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Language, its share of likelihood, and bits a byte of its code, for each text of a column."""
+    data, offsets = X.buffer_of(column)
+    n = len(offsets) - 1
+    names = np.array([*trees.langs, "und"], dtype=object)
+    best, score, rate = np.full(n, len(trees.langs)), np.zeros(n), np.zeros(n)
+    for a, b in X.slices(offsets, X.SLICE // 2) if trees.langs else ():
+        raw, off = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+        bits, some = trees.lengths(raw, off), _has_letter(raw, off)
+        k = bits.argmin(1)
+        least = bits[np.arange(b - a), k]
+        share = 1 / np.exp2(-np.minimum(1000, bits - least[:, None])).sum(1)
+        best[a:b] = np.where(some, k, len(trees.langs))
+        score[a:b], rate[a:b] = np.where(some, share, 0), least / np.maximum(1, np.diff(off))
+    return names[best], score, rate
+
+
 def identify(docs: DataFrame, trees: ContextTrees, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, lang_pred, score (the language's share of likelihood), bits_per_byte of its code, for every row."""
     held = docs.sparkSession.sparkContext.broadcast(trees)
 
-    def predict(batches):
-        model = held.value
-        names = np.array([*model.langs, "und"], dtype=object)
+    def label(batches):
         for batch in batches:
-            data, offsets = X.buffer_of(batch.column(1))
-            n = len(offsets) - 1
-            best, score, rate = np.full(n, len(model.langs)), np.zeros(n), np.zeros(n)
-            for a, b in X.slices(offsets, X.SLICE // 2) if model.langs else ():
-                raw, off = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                bits, some = model.lengths(raw, off), _has_letter(raw, off)
-                k = bits.argmin(1)
-                least = bits[np.arange(b - a), k]
-                share = 1 / np.exp2(-np.minimum(1000, bits - least[:, None])).sum(1)
-                best[a:b] = np.where(some, k, len(model.langs))
-                score[a:b], rate[a:b] = np.where(some, share, 0), least / np.maximum(1, np.diff(off))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names[best], pa.string()), pa.array(score), pa.array(rate)], names=["doc_id", "lang_pred", "score", "bits_per_byte"])
-
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")).mapInArrow(predict, SCHEMA)
+            names, score, rate = predict(held.value, batch.column(1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(score), pa.array(rate)], names=["doc_id", "lang_pred", "score", "bits_per_byte"])
+
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")).mapInArrow(label, SCHEMA)
+
+
+def recognised(docs: DataFrame, trees: ContextTrees, text_col: str = "text") -> DataFrame:
+    """The rows whose language can be told, all columns as they were: no row moves to another task."""
+    held = docs.sparkSession.sparkContext.broadcast(trees)
+    at = docs.columns.index(text_col)
+
+    def keep(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(predict(held.value, batch.column(at))[0] != "und", pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)
 
 
 def learn(docs: DataFrame, usable: Column, order: int = 3, sample_docs: int = 250, sample_bytes: int = 1 << 20) -> ContextTrees:
