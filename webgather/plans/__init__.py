@@ -1,0 +1 @@
+from webgather.plans import web  # noqa: F401
