@@ -1 +1 @@
-from webgather.plans import gather, web  # noqa: F401
+from webgather.plans import content, gather, snapshot, web  # noqa: F401
