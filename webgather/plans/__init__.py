@@ -1 +1 @@
-from webgather.plans import content, engine, gather, snapshot, store, web  # noqa: F401
+from webgather.plans import content, engine, flow, gather, snapshot, store, web  # noqa: F401
