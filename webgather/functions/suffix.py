@@ -28,7 +28,7 @@ def registrable(hosts: DataFrame, host: str, rule_table: DataFrame) -> DataFrame
     names = hosts.select(F.col(host).alias("host")).distinct()
     labels = F.split("host", r"\.")
     n = F.size(labels)
-    tails = names.filter(~F.col("host").rlike(ADDRESS)).select("host", n.alias("n"), F.posexplode(labels).alias("p", "_")).select("host", "n", (F.col("n") - F.col("p")).alias("k"), F.expr("substring_index(host, '.', n - p)").alias("tail"))
+    tails = names.filter(~F.col("host").rlike(ADDRESS)).select("host", n.alias("n"), F.posexplode(labels).alias("p", "_")).select("host", "n", (F.col("n") - F.col("p")).alias("k"), F.expr("substring_index(host, '.', p - n)").alias("tail"))
     hits = tails.join(F.broadcast(rule_table.withColumnRenamed("rule", "tail")), "tail")
     # how many labels the suffix has: a wildcard takes one more, an exception one less
     size = F.col("k") + F.when(F.col("kind") == "wildcard", 1).when(F.col("kind") == "exception", -1).otherwise(0)
