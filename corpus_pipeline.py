@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing
 from webgather.llm._shared import written
-from webgather.llm.queries import TRAINED_ON, table, tokenizer_path
+from webgather.llm.queries import table, tokenizer_path, trained_on
 
 
 def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
@@ -23,7 +23,7 @@ def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return langid.recognised(docs, langid.learn(docs, TRAINED_ON))
+    return langid.recognised(docs, langid.learn(docs, trained_on()))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

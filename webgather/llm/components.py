@@ -19,20 +19,22 @@ def _hung(pairs: DataFrame) -> DataFrame:
 
 def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
     """node, component_id (the least node reachable) for each node that has an edge."""
+
+    def total(table: DataFrame) -> tuple:
+        return tuple(table.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+
     now = written(edges.select(F.greatest(a, b).alias("a"), F.least(a, b).alias("b")).filter("a <> b").distinct())
-    total = None
+    last = total(now)
     for _ in range(rounds):
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        large = both.join(_hung(both), "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        # the join drops what has no larger neighbour: its edges come from the other side
-        large = large.filter("a <> b").distinct()
+        # an edge that has no larger end here comes from its other end
+        large = written(both.join(_hung(both), "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b"))
         least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.col("b").alias("x"), "m").filter("x <> m").select(F.col("x").alias("a"), F.col("m").alias("b"))
-        now = written(small.unionByName(least.select("a", F.col("m").alias("b"))).filter("a <> b").distinct())
-        r = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")), F.countDistinct("a")).first()
-        if tuple(r) == total and r[0] == r[2]:
+        small = large.join(least, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        now = written(small.unionByName(least.select("a", F.col("m").alias("b"))).distinct())
+        if (new := total(now)) == last:
             break
-        total = tuple(r)
+        last = new
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")
     nodes = now.groupBy("a").agg(F.min("b").alias("m"))

@@ -57,7 +57,7 @@ class ContextTrees:
         streams = [np.concatenate([np.concatenate([np.zeros(order, np.int64), self.symbol[np.frombuffer(t, np.uint8)]]) for t in texts[g]]) for g in self.langs]
         table = np.full((1, n, len(self.langs)), 1.0 / n)
         row_of = np.zeros(1, np.int32)
-        for k in range(order + 1):
+        for k in range(order + 1 if self.langs else 0):
             codes = []
             for s in streams:
                 c = np.zeros(len(s) - k, np.int64)
@@ -82,7 +82,7 @@ class ContextTrees:
             table, row_of = np.concatenate([table, rows]), wider
             del rows
         self.order, self.row_of = order, row_of
-        self.bits = (-np.log2(np.maximum(table, 1e-30))).astype(np.float16).reshape(-1, len(self.langs))
+        self.bits = (-np.log2(np.maximum(table, 1e-30))).astype(np.float16).reshape(table.shape[0] * n, len(self.langs))
 
     def lengths(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """Bits of each row's code under each language."""

@@ -1,12 +1,18 @@
 """Near duplicates by min-wise signatures, with sequential Bayesian verification.
 
 Texts with equal shingle sets are folded first. Banded signatures give buckets; every member
-of a bucket is paired with the bucket's least document, never with all others. Signatures of
-a pair are compared in batches: after each, the pair is dropped if the posterior chance that
-its similarity reaches the threshold is under `miss`. Survivors are verified on their full
-shingle sets. Verified links give components; where a bucket still holds several components,
-the pairs across them, and only those, are tried in the same way, so hot buckets of one group
-cost their size and no link that the bands can see is left out.
+of a bucket is paired with its least document, never with all others. Signatures of a pair are compared
+in batches: after each, the pair is dropped if the posterior chance that its similarity reaches
+the threshold is under `miss`. Survivors are verified on their full shingle sets. Verified
+links give components.
+
+What is left are buckets of several components. A link across two of them needs 3 / 7 of both
+set sizes (at 0.75) in common, out of shingles that more than one component has, so documents
+are counted by those first: an edited copy whose own words alone keep it under the threshold
+meets nobody. The documents that pass this exact bound are compared in full within pools that
+their buckets connect, block by block: a task holds two blocks, counts what all their pairs
+have in common by a matrix product, and sends on links that join components. So hot buckets
+send their members once a block, and no link that the bands can see is left out.
 
 A link at the threshold is unseen by all bands with chance (1 - t^rows)^bands, 5e-6 as set.
 
@@ -129,7 +135,7 @@ def _likely(pairs: DataFrame, sketches: DataFrame, n_hashes: int, threshold: flo
     return pairs.join(own, "a").join(other, "b").select("a", "b", "x", "y").mapInArrow(test, "a long, b long")
 
 
-def _linked(pairs: DataFrame, docs: DataFrame, words: int, parts: tuple[int, int], id_col: str, text_col: str) -> DataFrame:
+def _linked(pairs: DataFrame, texts: DataFrame, words: int, parts: tuple[int, int]) -> DataFrame:
     """Pairs whose full shingle sets reach the threshold parts[0] / parts[1]."""
 
     def verify(batches):
@@ -149,12 +155,108 @@ def _linked(pairs: DataFrame, docs: DataFrame, words: int, parts: tuple[int, int
             at = pa.array(np.flatnonzero(keep))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at)], names=["a", "b"])
 
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("body"))
-    first = pairs.join(texts.select(F.col("id").alias("a"), F.col("body").alias("x")), "a")
-    both = first.join(texts.select(F.col("id").alias("b"), F.col("body").alias("y")), "b")
+    first = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("body").alias("x")), "a")
+    both = first.join(texts.select(F.col("doc_id").alias("b"), F.col("body").alias("y")), "b")
     return both.select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
 
 
+def _pair(x: str, y: str) -> list:
+    return [F.greatest(x, y).alias("a"), F.least(x, y).alias("b")]
+
+
+def _with_hubs(placed: DataFrame) -> DataFrame:
+    """Pairs (a > b) of each member of a bucket with its hub, the least document."""
+    hubs = placed.groupBy("bucket").agg(F.min("doc_id").alias("hub"))
+    return placed.join(hubs, "bucket").filter("doc_id <> hub").select(*_pair("doc_id", "hub")).distinct()
+
+
+def _mixed(placed: DataFrame, found: DataFrame) -> DataFrame:
+    """The members of buckets that hold more than one component, with their component c."""
+    now = placed.drop("c").join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("bucket", "doc_id", F.coalesce("component_id", "doc_id").alias("c"))
+    mixed = now.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).filter("low <> high").select("bucket")
+    return now.join(mixed, "bucket")
+
+
+def _common_counts(open_: DataFrame, sets: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """doc_id, c, n (its shingles), hs (those that another component of the open buckets has too)."""
+
+    def explode(batches):
+        for batch in batches:
+            data, offsets = X.buffer_of(batch.column(2))
+            for s, e in X.slices(offsets):
+                h, owner = shingles(data[offsets[s] : offsets[e]], offsets[s : e + 1] - offsets[s], words)
+                at = pa.array(s + owner)
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(h.view(np.int64))], names=["doc_id", "c", "h"])
+
+    asked = open_.select("doc_id", "c").distinct()
+    rows = asked.join(texts, "doc_id").select("doc_id", "c", "body").mapInArrow(explode, "doc_id long, c long, h long")
+    shared = rows.groupBy("h").agg(F.min("c").alias("low"), F.max("c").alias("high")).filter("low <> high").select("h")
+    counts = rows.join(shared, "h", "left_semi").groupBy("doc_id", "c").agg(F.collect_list("h").alias("hs"))
+    return counts.join(sets.select("doc_id", F.col("n_shingles").alias("n")), "doc_id")
+
+
+def _across(open_: DataFrame, counts: DataFrame, similarity: tuple[int, int], block_docs: int = 1024, block_shingles: int = 400_000) -> DataFrame:
+    """Links (a > b) across components of what buckets connect, found among all pairs without sending any."""
+    p, q = similarity
+    # a document that can't have enough in common with one of its least possible size has no partner
+    able = written(counts.filter(q * F.size("hs") >= p * F.col("n")))
+    rows = open_.join(able.select("doc_id"), "doc_id", "left_semi")
+    hubs = rows.groupBy("bucket").agg(F.min("doc_id").alias("hub"))
+    pools = components(rows.join(hubs, "bucket").select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).select(F.col("node").alias("doc_id"), F.col("component_id").alias("pool"))
+    pooled = able.join(pools, "doc_id")
+    size = pooled.groupBy("pool").agg(F.ceil(F.greatest(F.count(F.lit(1)) / block_docs, F.sum(F.size("hs")) / block_shingles)).cast("int").alias("blocks"))
+    dealt = pooled.join(size, "pool").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+    dealt = dealt.select("pool", "block", "doc_id", "c", "n", "hs", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    keyed = dealt.select("pool", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "doc_id", "c", "n", "hs")
+
+    def compare(table: pa.Table) -> pa.Table:
+        block, doc, c, n = (table.column(k).to_numpy() for k in ("block", "doc_id", "c", "n"))
+        lists = table.column("hs").combine_chunks()
+        owner = np.repeat(np.arange(len(doc)), np.diff(lists.offsets.to_numpy()))
+        h = lists.flatten().to_numpy()
+        _, term = np.unique(h, return_inverse=True)
+        one, two = np.flatnonzero(block == block.min()), np.flatnonzero(block == block.max())
+        found = _matrix_links(owner, term, n, c, one, two, p, q) if len(doc) > 1 else []
+        return pa.table({"a": pa.array([int(max(doc[i], doc[j])) for i, j in found], pa.int64()), "b": pa.array([int(min(doc[i], doc[j])) for i, j in found], pa.int64())})
+
+    return keyed.groupBy("pool", "low", "high").applyInArrow(compare, "a long, b long")
+
+
+def _matrix_links(owner: np.ndarray, term: np.ndarray, n: np.ndarray, c: np.ndarray, one: np.ndarray, two: np.ndarray, p: int, q: int, width: int = 4096) -> list[tuple[int, int]]:
+    """Pairs (i of one, j of two) that reach p / q and join components, a spanning forest of them."""
+    order = np.argsort(term, kind="stable")
+    owner, term = owner[order], term[order]
+    place = np.full((2, len(n)), -1)
+    place[0, one], place[1, two] = np.arange(len(one)), np.arange(len(two))
+    common = np.zeros((len(one), len(two)), np.float32)
+    for a in range(0, int(term[-1]) + 1 if len(term) else 0, width):
+        s, e = np.searchsorted(term, a), np.searchsorted(term, a + width)
+        sides = []
+        for k, size in ((0, len(one)), (1, len(two))):
+            at = place[k, owner[s:e]]
+            m = np.zeros((size, width), np.float32)
+            m[at[at >= 0], (term[s:e] - a)[at >= 0]] = 1
+            sides.append(m)
+        common += sides[0] @ sides[1].T
+    union = n[one][:, None] + n[two][None, :] - common
+    links = (q * common >= p * union) & (c[one][:, None] != c[two][None, :])
+    root: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while root.get(x, x) != x:
+            root[x] = root.get(root[x], root[x])
+            x = root[x]
+        return x
+
+    out = []
+    for i, j in zip(*np.nonzero(links), strict=True):
+        x, y = top(int(c[one[i]])), top(int(c[two[j]]))
+        if x != y:
+            root[x] = y
+            out.append((int(one[i]), int(two[j])))
+    return out
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int] = (75, 100), n_hashes: int = 128, rows_in_band: int = 4, miss: float = 1e-6, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id (the least id reachable), kept for every row of docs."""
     threshold = similarity[0] / similarity[1]
@@ -164,23 +266,20 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int]
     leads = sets.join(folded.select(F.col("rep").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").filter("n_shingles > 0")
     sketches = leads.select("doc_id", "sketch")
     members = leads.select("doc_id", F.explode("bands").alias("bucket"))
-    hubs = members.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
-    shared = written(members.join(hubs, "bucket"))
-    tried = shared.filter("doc_id <> hub").select(F.col("doc_id").alias("a"), F.col("hub").alias("b")).distinct()
-
-    def links(pairs: DataFrame) -> DataFrame:
-        return _linked(_likely(pairs, sketches, n_hashes, threshold, miss), docs, words, similarity, id_col, text_col)
-
-    edges = written(links(tried))
-    found = written(components(edges))
-    placed = shared.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("bucket", "doc_id", F.coalesce("component_id", "doc_id").alias("c"))
-    mixed = placed.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).filter("low <> high").select("bucket")
-    parted = written(placed.join(mixed, "bucket"))
-    one, two = (parted.select("bucket", F.col("doc_id").alias(n), F.col("c").alias(f"c{n}")) for n in ("a", "b"))
-    across = one.join(two, "bucket").filter("ca > cb").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    more = written(links(across.join(tried.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), ["a", "b"], "left_anti")))
+    several = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("bucket")
+    placed = written(members.join(several, "bucket")).withColumn("c", F.col("doc_id"))
+    # all that follows needs the texts of these documents alone
+    own_id = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
+    texts = written(own_id.join(placed.select("doc_id").distinct(), "doc_id", "left_semi"))
+    pairs = _with_hubs(placed)
+    edges = written(_linked(_likely(pairs, sketches, n_hashes, threshold, miss), texts, words, similarity).distinct())
+    found = components(edges)
+    placed = _mixed(placed, found)
+    open_ = written(placed)
+    ours = written(_common_counts(open_, sets, texts, words))
+    more = written(_across(open_, ours, similarity).distinct())
     if not more.isEmpty():
-        found = written(components(edges.unionByName(more)))
+        found = components(edges.unionByName(more))
     return (
         sets.select("doc_id", "n_shingles", "k1", "k2")
         .join(folded, ["k1", "k2"], "left")

@@ -10,7 +10,10 @@ from pyspark.sql import functions as F
 
 from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing, pii, quality, substring, suffix, toolcalls
 
-TRAINED_ON = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
+
+def trained_on() -> Column:
+    """Which documents a model may learn from."""
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,7 +30,7 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
 
 
 def held_out() -> Column:
-    return F.coalesce(~TRAINED_ON, F.lit(False)).alias("held_out")
+    return F.coalesce(~trained_on(), F.lit(False)).alias("held_out")
 
 
 def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -38,12 +41,12 @@ def op1_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    return langid.identify(docs, langid.learn(docs, TRAINED_ON)).select("doc_id", held_out(), "lang_pred", "score")
+    return langid.identify(docs, langid.learn(docs, trained_on())).select("doc_id", held_out(), "lang_pred", "score")
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    scored = quality.score(docs, quality.learn(docs, table(spark, sf_dir, "labels"), TRAINED_ON))
+    scored = quality.score(docs, quality.learn(docs, table(spark, sf_dir, "labels"), trained_on()))
     return scored.select("doc_id", held_out(), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
 
 

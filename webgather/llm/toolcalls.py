@@ -115,7 +115,7 @@ def format_calls(messages: DataFrame, schemas: Schemas) -> DataFrame:
         .when(F.col("turn") != first, "repeated")
         .when(F.col("call_turn").isNull(), "orphan")
         .when(F.col("result_turn").isNull(), "unanswered")
-        .when(F.col("_asks") & F.col("level").isNull(), "circular")
+        .when((F.col("kind") == "call") & F.col("_asks") & F.col("level").isNull(), "circular")
         .otherwise("linked")
     )
     # an answer stands right after its call; what a call refers to has a lower level and, in turn, an earlier place
