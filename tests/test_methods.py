@@ -255,7 +255,7 @@ def test_gathering_with_caps(spark):
 
 
 def test_plans(spark):
-    from conftest import SMALL
+    from helpers import SMALL
 
     from webgather.plans import web
 
