@@ -182,3 +182,53 @@ def op_grouped_arrow(spark, sf):
     events = table(spark, sf, "events")
     counts = events.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
     return events.groupBy("user_id").agg(middle("value").alias("middle")).join(counts, "user_id").select("user_id", "n", F.round("middle", 6).alias("middle"))
+
+
+@query("op_sql_function", "SELECT o_orderkey, CAST(floor(o_totalprice / 100.0) AS BIGINT) AS reduced FROM orders WHERE o_orderkey % 7 = 0")
+def op_sql_function(spark, sf):
+    """A function defined in SQL: Catalyst inlines it."""
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION in_steps(x DOUBLE, step DOUBLE) RETURNS BIGINT RETURN floor(x / step)")
+    return table(spark, sf, "orders").filter("o_orderkey % 7 = 0").select("o_orderkey", F.expr("in_steps(o_totalprice, 100D)").alias("reduced"))
+
+
+@query("op_cogroup", "SELECT coalesce(a.k, b.k) AS k, coalesce(n_orders, 0) AS n_orders, coalesce(n_events, 0) AS n_events FROM (SELECT o_custkey AS k, count(*) AS n_orders FROM orders WHERE o_custkey < 100 GROUP BY 1) a FULL JOIN (SELECT user_id AS k, count(*) AS n_events FROM events WHERE user_id < 100 GROUP BY 1) b ON a.k = b.k")
+def op_cogroup(spark, sf):
+    """Two tables' groups side by side in one task."""
+    a = table(spark, sf, "orders").filter("o_custkey < 100").select(F.col("o_custkey").alias("k")).groupBy("k")
+    b = table(spark, sf, "events").filter("user_id < 100").select(F.col("user_id").alias("k")).groupBy("k")
+
+    def sizes(key, x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"k": [key[0]], "n_orders": [len(x)], "n_events": [len(y)]})
+
+    return a.cogroup(b).applyInPandas(sizes, "k long, n_orders long, n_events long")
+
+
+@query("op_join_hints", "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
+def op_join_hints(spark, sf):
+    """The same join sorted, hashed and broadcast gives the same rows."""
+    o, c = table(spark, sf, "orders"), table(spark, sf, "customer")
+    out = [o.join(c.hint(h), o.o_custkey == c.c_custkey).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n")) for h in ("merge", "shuffle_hash", "broadcast")]
+    return out[0].intersect(out[1]).intersect(out[2])
+
+
+@query("op_kll_quantile", "SELECT true AS within")
+def op_kll_quantile(spark, sf):
+    """An approximate median against the exact one, by rank."""
+    e = table(spark, sf, "events")
+    found = e.agg(F.percentile_approx("value", 0.5, 1000).alias("m"))
+    rank = e.crossJoin(F.broadcast(found)).agg((F.count_if(F.col("value") <= F.col("m")) / F.count(F.lit(1))).alias("r"))
+    return rank.select((F.abs(F.col("r") - 0.5) < 0.01).alias("within"))
+
+
+@query("op_explode_outer", "SELECT event_id, coalesce(w, '-') AS w FROM (SELECT event_id, unnest(CASE WHEN event_type = 'view' THEN ['v', 'w'] ELSE [NULL] END) AS w FROM events WHERE event_id < 500)")
+def op_explode_outer(spark, sf):
+    parts = F.when(F.col("event_type") == "view", F.array(F.lit("v"), F.lit("w")))
+    return table(spark, sf, "events").filter("event_id < 500").select("event_id", F.explode_outer(parts).alias("w")).select("event_id", F.coalesce("w", F.lit("-")).alias("w"))
+
+
+@query("op_sample_by", "SELECT true AS as_asked")
+def op_sample_by(spark, sf):
+    """A stratified sample: none of one kind, all of another."""
+    found = table(spark, sf, "events").sampleBy("event_type", {"view": 1.0, "purchase": 0.0}, 7)
+    whole = table(spark, sf, "events").filter("event_type = 'view'")
+    return found.agg(F.count(F.lit(1)).alias("a")).crossJoin(whole.agg(F.count(F.lit(1)).alias("b"))).select((F.col("a") == F.col("b")).alias("as_asked"))

@@ -188,3 +188,22 @@ def wl_centrality(spark, sf):
         one = centrality.table(graph.step_table(edges.select("src", "dst")), graph.step_table(nodes), iterations=12).select(F.lit(name).alias("graph"), "*")
         out = one if out is None else out.unionByName(one)
     return out
+
+
+@query("stream_sessions", f"WITH {REQUESTS_SQL}, g AS (SELECT host, arrive_us, CASE WHEN arrive_us - lag(arrive_us) OVER (PARTITION BY host ORDER BY arrive_us) < {6 * HOUR} THEN 0 ELSE 1 END AS new FROM q), s AS (SELECT host, arrive_us, sum(new) OVER (PARTITION BY host ORDER BY arrive_us ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM g) SELECT host, min(arrive_us) AS from_us, count(*) AS n FROM s GROUP BY host, k")
+def stream_sessions(spark, sf):
+    """A host's activity, parted where it rests for six hours."""
+    rows = requests(spark, sf).withColumn("ts", F.timestamp_micros("arrive_us"))
+    live = stream.replay(spark, rows, place(spark), 2, "seq")
+    sessions = live.withWatermark("ts", "31 days").groupBy(F.session_window("ts", "6 hours"), "host").agg(F.count(F.lit(1)).alias("n"))
+    return stream.run(sessions.select("host", F.unix_micros("session_window.start").alias("from_us"), "n"), "complete")
+
+
+@query("stream_stream_join", f"WITH {REQUESTS_SQL}, a AS (SELECT seq, host, arrive_us FROM q WHERE seq % 10 = 0), b AS (SELECT host, arrive_us AS t FROM q WHERE seq % 10 = 5) SELECT seq, count(*) AS near FROM a JOIN b ON a.host = b.host AND t BETWEEN arrive_us AND arrive_us + {24 * HOUR} GROUP BY 1")
+def stream_stream_join(spark, sf):
+    """Requests of two streams of one host within a day of each other."""
+    rows = requests(spark, sf).withColumn("ts", F.timestamp_micros("arrive_us"))
+    a = stream.replay(spark, rows.filter("seq % 10 = 0").select("seq", "host", "ts"), place(spark), 2, "seq").withWatermark("ts", "2 days")
+    b = stream.replay(spark, rows.filter("seq % 10 = 5").select("seq", F.col("host").alias("h"), F.col("ts").alias("t")), place(spark), 2, "seq").drop("seq").withWatermark("t", "2 days")
+    joined = a.join(b, F.expr("host = h AND t >= ts AND t <= ts + INTERVAL 1 DAY")).select("seq", "h")
+    return stream.run(joined).groupBy("seq").agg(F.count(F.lit(1)).alias("near"))

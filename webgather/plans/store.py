@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from webgather.catalog import query, table
-from webgather.operators import crawl, feeder, fetchsim, graph, overlay, ring, simweb, spill
+from webgather.operators import crawl, dedup, feeder, fetchsim, graph, overlay, ring, simweb, spill
 from webgather.operators.overlay import G1_SQL
 from webgather.plans.gather import REQUESTS_SQL, requests
 
@@ -424,3 +425,19 @@ def wl_policy(spark, sf):
     return out
 
 
+
+
+@query("baseline_batch_rounds", f"WITH RECURSIVE {G1_SQL}, {BFS}, c AS (SELECT depth, count(*) AS n FROM lv GROUP BY 1), k AS (SELECT depth, n, sum(n) OVER (ORDER BY depth) AS known FROM c) SELECT count(*) AS rounds, CAST(sum(n) AS BIGINT) AS rows_ours, CAST(sum(known) AS BIGINT) AS rows_resorted FROM k")
+def baseline_batch_rounds(spark, sf):
+    """Rows that rounds move: a batch gatherer sorts its whole table of URLs each round, ours only what a round found."""
+    nodes, edges = _web(spark, sf)
+    per = crawl.gather(edges, nodes, _seed(spark)).groupBy("found").agg(F.count(F.lit(1)).alias("n"))
+    known = per.select("n", F.sum("n").over(Window.orderBy("found")).alias("known"))
+    return known.agg(F.count(F.lit(1)).alias("rounds"), F.sum("n").alias("rows_ours"), F.sum("known").alias("rows_resorted"))
+
+
+@query("copy_graph", "WITH r AS (SELECT doc_id AS src, min(doc_id) OVER (PARTITION BY text) AS dst FROM documents) SELECT src, dst FROM r WHERE src <> dst")
+def copy_graph(spark, sf):
+    """Repeats and their first copies as a graph."""
+    copies = dedup.first_copies(table(spark, sf, "documents"), "doc_id", F.md5("text"))
+    return copies.filter("is_repeat").select(F.col("id").alias("src"), F.col("first_id").alias("dst"))
