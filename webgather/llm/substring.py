@@ -61,6 +61,8 @@ def _grouped(blobs, spec: R.Spec):
 
 def remove_repeated_windows(docs: DataFrame, window: int = 20, gram: int = 5, depth: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_words, n_removed, kept_text (kept words joined by one space), spans removed (word places) for every row."""
+    if not 1 <= min(gram, window) <= window <= 200:
+        raise ValueError("1 <= gram and window <= 200")
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
     named = rows.filter("doc_id is not null")
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
