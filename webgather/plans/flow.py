@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from urllib.parse import urlparse
 
 from pyspark.sql import functions as F
 
@@ -15,7 +16,9 @@ from webgather.streaming import stream
 
 def place(spark) -> str:
     base = spark.sparkContext.getCheckpointDir() or spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="webgather-")
-    return f"{base.rstrip('/').removeprefix('file://')}/{uuid.uuid4().hex}"
+    # the archive source opens files by itself, so a file: URL is taken as its path
+    base = urlparse(base).path if base.startswith("file:") else base
+    return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
 
 
 @query("once_stream", f"WITH {REQUESTS_SQL} SELECT DISTINCT host FROM q")
