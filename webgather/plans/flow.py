@@ -9,7 +9,9 @@ from urllib.parse import urlparse
 from pyspark.sql import functions as F
 
 from webgather.catalog import query, table
-from webgather.plans.gather import HOUR, REQUESTS_SQL, STARTS_SQL, requests
+from webgather.operators import graph, measures, overlay
+from webgather.operators.overlay import G2_SQL
+from webgather.plans.gather import BATCHED_SQL, HOUR, REQUESTS_SQL, STARTS_SQL, _bloom_sql, requests
 from webgather.sources import archive
 from webgather.streaming import stream
 
@@ -91,10 +93,41 @@ def store_columnar(spark, sf):
     return out
 
 
-@query("pipeline_stage_stats", f"WITH {REQUESTS_SQL} SELECT ip % 4 AS shard, count(*) AS fetched, CAST(sum(length) AS BIGINT) AS bytes, round(count(*) / ((max(arrive_us) - min(arrive_us)) / 1e6), 6) AS rate, round(sum(length) / count(*), 6) AS bytes_a_page FROM q GROUP BY 1")
+@query("pipeline_stage_stats", f"WITH {REQUESTS_SQL} SELECT ip % 4 AS part, count(*) AS fetched, CAST(sum(length) AS BIGINT) AS bytes, round(count(*) / ((max(arrive_us) - min(arrive_us)) / 1e6), 6) AS rate, round(sum(length) / 1e6 / ((max(arrive_us) - min(arrive_us)) / 1e6), 9) AS mb_rate, round(sum(length) / count(*), 6) AS bytes_a_page FROM q GROUP BY 1")
 def pipeline_stage_stats(spark, sf):
-    span = (F.max("arrive_us") - F.min("arrive_us")) / 1e6
-    return requests(spark, sf).groupBy((F.col("ip") % 4).alias("shard")).agg(F.count(F.lit(1)).alias("fetched"), F.sum("length").alias("bytes"), F.round(F.count(F.lit(1)) / span, 6).alias("rate"), F.round(F.sum("length") / F.count(F.lit(1)), 6).alias("bytes_a_page"))
+    return measures.speed(requests(spark, sf), F.col("ip") % 4)
+
+
+@query("measure_link_use", f"WITH {REQUESTS_SQL}, w AS (SELECT arrive_us // {HOUR} AS h, sum(length) * 8 / 3600.0 / 1000.0 AS u FROM q GROUP BY 1) SELECT round(avg(u), 9) AS mean_use, round(max(u), 9) AS peak_use FROM w")
+def measure_link_use(spark, sf):
+    """Of a link of a thousand bits a second, hour by hour."""
+    return measures.link_use(requests(spark, sf), HOUR, 1000.0)
+
+
+@query("measure_scaling")
+def measure_scaling(spark, sf):
+    from webgather.plans import store
+
+    return measures.scaling(store.wl_scale(spark, sf).select("shards", "rate"))
+
+
+@query("measure_rank_correlation", f"WITH {G2_SQL}, i AS (SELECT n.id, count(e.src) AS d FROM nodes n LEFT JOIN edges e ON e.dst = n.id GROUP BY 1), o AS (SELECT n.id, count(e.dst) AS d FROM nodes n LEFT JOIN edges e ON e.src = n.id GROUP BY 1), r AS (SELECT row_number() OVER (ORDER BY i.d DESC, i.id) AS ra, row_number() OVER (ORDER BY o.d DESC, i.id) AS rb FROM i JOIN o USING (id)) SELECT count(*) AS n, round(corr(ra, rb), 6) AS correlation FROM r")
+def measure_rank_correlation(spark, sf):
+    """How in- and outdegree rank the parts alike."""
+    nodes, edges = overlay.baskets(spark, sf)
+    both = graph.degrees(edges, nodes).withColumnRenamed("degree", "i").join(graph.degrees(edges, nodes, "out").withColumnRenamed("degree", "o"), "id")
+    return measures.rank_correlation(both, "i", "o")
+
+
+@query("measure_sketch_error")
+def measure_sketch_error(spark, sf):
+    """Harmonic centrality by sketches of 2^10 registers against the exact values."""
+    from webgather.operators import centrality
+    from webgather.plans import snapshot
+
+    nodes, edges = snapshot.host_web(spark, sf)
+    edges, nodes = graph.step_table(edges.select("src", "dst")), graph.step_table(nodes)
+    return measures.relative_error(centrality.harmonic_sketch(edges, nodes, 10)[0], centrality.harmonic_exact(edges, nodes), "harmonic")
 
 
 @query("peak_speed", f"WITH {REQUESTS_SQL}, w AS (SELECT arrive_us // {HOUR} AS h, count(*) AS n FROM q GROUP BY 1) SELECT max(n) AS peak, round((SELECT count(*) FROM q) / (max(h) - min(h) + 1), 6) AS mean FROM w")
@@ -117,7 +150,7 @@ def filter_runtime(spark, sf):
     return out
 
 
-@query("wl_noio")
+@query("wl_noio", r"""SELECT n AS partitions, count(*) AS pages, CAST(sum(len(regexp_extract_all(html, '(?is)<a\s[^>]*?href\s*=\s*"[^"]*"'))) AS BIGINT) AS links FROM pages, (SELECT unnest([1, 2, 4, 8]) AS n) GROUP BY 1""")
 def wl_noio(spark, sf):
     """Parse, digest and count without a sink, by partitions: how many pages and links."""
     from webgather.functions import digests, html
@@ -156,7 +189,7 @@ def wl_cache(spark, sf):
     return out
 
 
-@query("wl_once_variants")
+@query("wl_once_variants", f"WITH {BATCHED_SQL.replace('r AS (', 'rel AS (')}, {_bloom_sql('4096', '3')} SELECT 'exact' AS variant, count(*) AS released FROM f UNION ALL SELECT 'batched', count(*) FROM rel UNION ALL SELECT 'bloom', count(*) FILTER (released) FROM r UNION ALL SELECT 'fingerprints', count(DISTINCT CAST('0x' || substr(md5(CAST(key AS VARCHAR)), 1, 15) AS BIGINT) % 4096) FROM f")
 def wl_once_variants(spark, sf):
     """What each once-filter releases of the same stream, and what it loses."""
     from webgather.operators import seen

@@ -257,7 +257,10 @@ def centrality_table(spark, sf):
     return centrality.table(graph.step_table(edges.select("src", "dst")), graph.step_table(nodes))
 
 
-@query("centrality_noise")
+_LISTS = f"tb AS (SELECT * FROM ({_table_sql()})), ls AS (SELECT 'indegree' AS m, indegree_node AS n FROM tb UNION ALL SELECT 'rank', rank_node FROM tb UNION ALL SELECT 'harmonic', harmonic_node FROM tb)"
+
+
+@query("centrality_noise", f"WITH {_LISTS} SELECT m AS measure, round(avg(CAST(regexp_matches(n, 'pills|bets|spam') AS INT)), 6) AS spam_share FROM ls GROUP BY 1")
 def centrality_noise(spark, sf):
     """The share of spam hosts in each list."""
     best = graph.step_table(centrality_table(spark, sf))
@@ -268,7 +271,7 @@ def centrality_noise(spark, sf):
     return out
 
 
-@query("rank_agreement")
+@query("rank_agreement", f"WITH {_LISTS} SELECT a.m || '-' || b.m AS measures, count(*) FILTER (a.n = b.n) AS common FROM ls a, ls b WHERE (a.m, b.m) IN (('indegree', 'rank'), ('indegree', 'harmonic'), ('rank', 'harmonic')) GROUP BY 1")
 def rank_agreement(spark, sf):
     """How many of the top ten two measures share."""
     best = graph.step_table(centrality_table(spark, sf))

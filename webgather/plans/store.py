@@ -359,7 +359,13 @@ def wl_basic_table(spark, sf):
     return out
 
 
-@query("wl_degrees")
+def _binned(graph_name: str, base: str, end: str) -> str:
+    fib = "RECURSIVE fb AS (SELECT CAST(1 AS BIGINT) AS low, CAST(2 AS BIGINT) AS high UNION ALL SELECT high, low + high FROM fb WHERE high < 1000000000)"
+    way = "in" if end == "dst" else "out"
+    return f"SELECT * FROM (WITH {fib}, {base}, dg AS (SELECT n.id, count(e.{end}) AS degree FROM nodes n LEFT JOIN edges e ON e.{end} = n.id GROUP BY 1), fr AS (SELECT degree, count(*) AS freq FROM dg GROUP BY 1) SELECT '{graph_name}' AS graph, '{way}' AS way, low, CAST(sum(freq) AS BIGINT) AS nodes, round(sum(freq) / (high - low), 6) AS mean_freq FROM fr JOIN fb ON degree >= low AND degree < high GROUP BY low, high)"
+
+
+@query("wl_degrees", " UNION ALL ".join(_binned(n, b, e) for n, b in (("web", G1_SQL), ("baskets", overlay.G2_SQL), ("trade", overlay.G3_SQL)) for e in ("dst", "src")))
 def wl_degrees(spark, sf):
     """Fibonacci-binned in- and outdegrees of three graphs."""
     out = None
