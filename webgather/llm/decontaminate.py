@@ -83,17 +83,20 @@ def scan(text: str | None, machine) -> tuple[int, np.ndarray, set[str]]:
     return len(words), hit, items
 
 
-def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", size: int = 13, most_bytes: int = MOST_BYTES) -> DataFrame:
-    """doc_id, n_words, n_hit, items found, spans hit (code points of the original) for every row of docs."""
+def _blocks(items: DataFrame, item_id: str, item_text: str, most_bytes: int) -> list:
+    """Broadcasts of (item, text) pairs, each of at most about most_bytes of text."""
     tests = items.select(F.col(item_id).cast("string").alias("item"), F.col(item_text).alias("body")).filter("item is not null and body is not null")
     total = tests.agg(F.sum(F.octet_length("body"))).first()[0] or 0
-    blocks = max(1, -(-total // most_bytes))
-    sc = docs.sparkSession.sparkContext
+    n = max(1, -(-total // most_bytes))
+    parts = [tests.filter(F.pmod(F.xxhash64("item"), F.lit(n)) == b) if n > 1 else tests for b in range(n)]
+    return [items.sparkSession.sparkContext.broadcast(tuple(sorted((r["item"], r["body"]) for r in p.collect()))) for p in parts]
+
+
+def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", size: int = 13, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """doc_id, n_words, n_hit, items found, spans hit (code points of the original) for every row of docs."""
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
     parts = []
-    for b in range(blocks):
-        own = tests.filter(F.pmod(F.xxhash64("item"), F.lit(blocks)) == b) if blocks > 1 else tests
-        held = sc.broadcast(tuple(sorted((r["item"], r["body"]) for r in own.collect())))
+    for held in _blocks(items, item_id, item_text, most_bytes):
 
         def search(batches, held=held):
             machine = _automaton(held.value, size)
@@ -112,7 +115,7 @@ def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
                 )
 
         parts.append(rows.mapInArrow(search, SCHEMA))
-    return parts[0] if blocks == 1 else _united(parts, rows)
+    return parts[0] if len(parts) == 1 else _united(parts, rows)
 
 
 def _united(parts: list[DataFrame], rows: DataFrame) -> DataFrame:
@@ -143,3 +146,23 @@ def _united(parts: list[DataFrame], rows: DataFrame) -> DataFrame:
 def flagged(found: DataFrame, one_in: int = 20) -> DataFrame:
     """With contaminated: at least one word hit and at least one word in `one_in`."""
     return found.withColumn("contaminated", (F.col("n_hit") > 0) & (F.lit(one_in) * F.col("n_hit") >= F.col("n_words")))
+
+
+def uncontaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 13, one_in: int = 20, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """The rows of docs that aren't contaminated, all columns as they were: one block of items moves no row."""
+    blocks = _blocks(items, "item_id", "text", most_bytes)
+    if len(blocks) > 1:
+        bad = flagged(contamination(docs, items, id_col, text_col, size=size, most_bytes=most_bytes), one_in).filter("contaminated").select(F.col("doc_id").alias("_bad"))
+        return docs.join(bad, docs[id_col] == F.col("_bad"), "left_anti")
+    held, at = blocks[0], docs.columns.index(text_col)
+
+    def keep(batches):
+        machine = _automaton(held.value, size)
+        for batch in batches:
+            clean = []
+            for text in batch.column(at):
+                n, hit, _ = scan(text.as_py(), machine)
+                clean.append(not (hit.any() and one_in * int(hit.sum()) >= n))
+            yield batch.filter(pa.array(clean, pa.bool_()))
+
+    return docs.mapInArrow(keep, docs.schema)
