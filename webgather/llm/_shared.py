@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,4 +26,8 @@ def written(df: DataFrame) -> DataFrame:
     """df as a Parquet table in the shared folder: later steps read it and survive lost executors."""
     path = f"{shared_folder(df.sparkSession).rstrip('/')}/tables/{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
+    # a collection on the driver, once listeners have let go of the plan, lets Spark's cleaner
+    # remove the shuffle files that the table stands in for
+    time.sleep(0.5)
+    df.sparkSession.sparkContext._jvm.System.gc()
     return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -40,7 +40,7 @@ BLOBS = "kind int, bucket int, blob binary"
 
 @dataclass(frozen=True)
 class Spec:
-    """by_start: an earlier start in the same document counts too; kind: words or bytes."""
+    """by_start: an earlier start in the same document counts too; kind: words or bytes; finer: resolving tasks a partition."""
 
     kind: str
     length: int
@@ -50,6 +50,7 @@ class Spec:
     bits: int
     hot: int
     buckets: int
+    finer: int = 1
 
 
 def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
@@ -261,8 +262,8 @@ def _by_document(batches, spec: Spec):
         yield pa.RecordBatch.from_arrays([pa.array(docs[a : a + 20_000]), pa.array(spans, pa.binary()), pa.array(left, pa.binary())], names=["doc_id", "spans", "open"])
 
 
-def _dealt(rows: DataFrame, spec: Spec, f: Callable, schema: str) -> DataFrame:
-    parts = max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+def _dealt(rows: DataFrame, spec: Spec, f: Callable, schema: str, finer: int = 1) -> DataFrame:
+    parts = finer * max(1, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     return rows.repartition(parts, "bucket").mapInArrow(f, schema)
 
 
@@ -296,7 +297,7 @@ def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Calla
                 yield own
         yield from resolve(blobs, spec)
 
-    windows = _dealt(_dealt(contents, spec, resolved, BLOBS), spec, lambda b: _by_document(b, spec), by_doc)
+    windows = _dealt(_dealt(contents, spec, resolved, BLOBS, spec.finer), spec, lambda b: _by_document(b, spec), by_doc)
     return runs_.filter("spans is not null").select("doc_id", "spans"), windows.select("doc_id", "spans")
 
 
