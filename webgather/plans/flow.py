@@ -136,7 +136,7 @@ def peak_speed(spark, sf):
     return hours.agg(F.max("n").alias("peak"), F.round(F.sum("n") / (F.max("h") - F.min("h") + 1), 6).alias("mean"))
 
 
-@query("filter_runtime", "SELECT * FROM (VALUES (0, 250), (1, 54)) t(round, kept)")
+@query("filter_runtime", r"SELECT 0 AS round, count(*) FILTER (regexp_matches(url, '^https?://')) AS kept FROM pages UNION ALL SELECT 1, count(*) FILTER (regexp_matches(url, '^[a-z]+://([^/?#]*\.)?example\.org([/?#:]|$)')) FROM pages")
 def filter_runtime(spark, sf):
     """A filter that is read anew each round from a control table."""
     from webgather.operators import filters
