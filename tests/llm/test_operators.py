@@ -291,6 +291,28 @@ def test_long_rows_are_cut_into_stretches():
     assert sorted(covered) == [*range(0, 1151), *range(1230, 4951)]
 
 
+def test_runs_after_empty_rows_keep_their_document():
+    rng = np.random.default_rng(4)
+    texts = [bytes(rng.integers(97, 123, n, dtype=np.uint8)).decode() for n in (300, 220, 0, 180, 0, 0, 400)]
+    texts[6] = texts[3] + texts[6]
+    offsets = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    items = repeats.Items("bytes", 20, np.frombuffer("".join(texts).encode(), np.uint8), offsets)
+    for most in (0, 540, 250):
+        got = {(int(d), int(s - o[d]) + k) for doc, starts, counts, _, o in repeats.runs(items, 50, most) for d, s, c in zip(doc, starts, counts, strict=True) for k in range(c)}
+        assert got == {(d, k) for d, t in enumerate(texts) for k in range(len(t) - 49)}
+
+
+def test_strings_after_empty_rows_of_a_cut(spark):
+    rng = random.Random(14)
+    text = lambda n: "".join(rng.choices("abcdefghijklmnop", k=n))
+    shared = text(400)
+    texts = [shared, text(300_000), text(220_000), None, text(500) + shared + text(90_000), "", text(7) + shared]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").coalesce(1)
+    got = {r["doc_id"]: (r["n_bytes"], r["n_removed"], len(r["spans"]), bytes(r["kept"])) for r in suffix.remove_earlier_strings(rows).collect()}
+    want = [(len(t or ""), 400 * (k in (4, 6)), int(k in (4, 6)), (t or "").replace(shared, "" if k else shared).encode()) for k, t in enumerate(texts)]
+    assert [got[k] for k in range(len(texts))] == want
+
+
 def test_suffix_array_and_prefixes():
     rng = np.random.default_rng(5)
     for _ in range(20):

@@ -100,16 +100,17 @@ class Items:
         return acc
 
 
-def runs(items: Items, length: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """(document, first window, windows, anchor) of the runs; places are items of the whole batch."""
-    offsets, most = items.offsets, 1 << (POSITION_BITS - 1)
+def runs(items: Items, length: int, most: int = 0) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """(document, first window, windows, anchor, offsets) of the runs; documents and places are those of the whole batch."""
+    offsets, most = items.offsets, most or 1 << (POSITION_BITS - 1)
     for first, last in X.slices(offsets, most):
         a, b = int(offsets[first]), int(offsets[last])
         for at in range(a, max(a + 1, b - length + 1), most):
             end = min(b, at + most + length - 1)
             found = _runs(items, offsets[first : last + 1], at, end, length)
             if found is not None:
-                yield found
+                doc, s, count, fp = found
+                yield first + doc, s, count, fp, offsets
 
 
 def _runs(items: Items, offsets: np.ndarray, a: int, b: int, length: int):
@@ -132,7 +133,7 @@ def _runs(items: Items, offsets: np.ndarray, a: int, b: int, length: int):
         return None
     breaks = np.append(np.flatnonzero(new | ~valid), n)
     count = breaks[np.searchsorted(breaks, starts, side="right")] - starts
-    return np.searchsorted(offsets, starts + a, side="right") - 1, starts + a, count, g[owner[starts]], offsets
+    return np.searchsorted(offsets, starts + a, side="right") - 1, starts + a, count, g[owner[starts]]
 
 
 def _batches_of_items(batch: pa.RecordBatch, spec: Spec, text: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, Items]]:
@@ -202,12 +203,11 @@ def _candidates(batches, spec: Spec, repeated: Repeated, flush: int = 1_500_000)
                 own = repeated(fp)
                 if not own.any():
                     continue
-                row0 = int(np.searchsorted(items.offsets, offsets[0], side="left"))
                 doc, s, count = doc[own], s[own], count[own]
                 rows = np.empty(len(s), RUN)
                 rows["fp"], rows["n"] = fp[own], count
                 rows["r"] = items.hashed(s, s + count - 1 + spec.length, 23)
-                rows["doc"], rows["s"] = ids[a + row0 + doc], s - offsets[doc]
+                rows["doc"], rows["s"] = ids[a + doc], s - offsets[doc]
                 held.append(rows)
                 n += len(rows)
         if n > flush:
