@@ -220,6 +220,27 @@ def test_tool_calls(spark):
     assert toolcalls.format_calls(spark.createDataFrame([], m), {}).count() == 0
 
 
+def test_tool_calls_follow_what_they_refer_to(spark):
+    m = "conv_id long, turn long, role string, text string, call_id string, name string, arguments string, refs array<string>"
+    call = lambda c, t, i, *refs: (c, t, "assistant", None, i, "f", "{}", list(refs))
+    result = lambda c, t, i: (c, t, "tool", "x", i, None, None, None)
+    rows = [
+        call(1, 1, "a"), call(1, 4, "b", "a"), (1, 5, "user", "hi", None, None, None, None), result(1, 6, "b"), result(1, 7, "a"),
+        call(2, 1, "d", "e", None), result(2, 2, "d"), call(2, 3, "f", "d"), result(2, 4, "f"), call(2, 8, "e"), result(2, 9, "e"), call(2, 10, "g", "nobody"), result(2, 11, "g"),
+        call(4, 0, "o", "z"), result(4, 3, "z"), result(4, 4, "o"),
+    ]
+    chain = 40
+    for k in range(chain):  # the later in the chain, the earlier its turn
+        rows += [call(3, 2 * (chain - k), f"k{k}", *([f"k{k - 1}"] if k else [])), result(3, 2 * (chain - k) + 1, f"k{k}")]
+    got = toolcalls.format_calls(spark.createDataFrame(rows, m), {}).toPandas().sort_values(["conv_id", "position"])
+    assert set(got.status) == {"linked", "message", "orphan"} and len(got) == len(rows)
+    order = {c: list(zip(g.call_id, g.kind, strict=True)) for c, g in got.groupby("conv_id")}
+    assert order[1] == [("a", "call"), (None, "message"), ("a", "result"), ("b", "call"), ("b", "result")]
+    assert order[2] == [(i, kind) for i in "edfg" for kind in ("call", "result")]
+    assert order[3] == [(f"k{k}", kind) for k in range(chain) for kind in ("call", "result")]
+    assert order[4] == [("z", "result"), ("o", "call"), ("o", "result")]
+
+
 # 6
 
 

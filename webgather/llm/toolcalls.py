@@ -9,7 +9,8 @@ that holds a third of all rows is spread over tasks.
 
 Defined cases: a null text is a null content; a null role is a message; a null conversation or
 turn sorts first; a call or result without identifier is never linked; repeated identifiers
-beyond the earliest are `repeated`; references in a circle keep turn order and are `circular`;
+beyond the earliest are `repeated`; references in a circle, or to a call in or behind one,
+keep turn order and are `circular`; a null reference is none; a reference to nothing waits for nothing;
 arguments that aren't a JSON object are invalid; an empty table gives an empty result; other
 columns are ignored; rows with one conversation and turn stay apart.
 """
@@ -51,32 +52,38 @@ def links(calls: DataFrame, results: DataFrame) -> DataFrame:
     return folded[0].join(folded[1].hint("shuffle_hash"), ["conv_id", "call_id"], "full_outer")
 
 
-def levels(needs: DataFrame, rounds: int = 32) -> DataFrame:
-    """conv_id, call_id, level: calls by the longest chain of references before them; null in a circle.
+def levels(needs: DataFrame, found: DataFrame) -> DataFrame:
+    """conv_id, call_id, level, at: the longest chain of references before a call and the turn it stands at; null in or behind a circle.
 
-    needs: (conv_id, call_id, needed). Each round settles the calls whose needs are settled.
+    needs: (conv_id, call_id, needed); found: what links() gives. A call stands at the latest of
+    its own turn and, for all it needs, where they and their results stand. Each round settles
+    the calls whose needs are settled, until a round settles none.
     """
     needs = written(needs.distinct())
     if needs.isEmpty():
-        return needs.select("conv_id", "call_id", F.lit(0).alias("level")).limit(0)
+        return needs.select("conv_id", "call_id", F.lit(0).alias("level"), F.lit(0).cast("long").alias("at")).limit(0)
     callers = needs.select("conv_id", "call_id").distinct()
-    level = needs.select("conv_id", F.col("needed").alias("call_id")).distinct().join(callers, ["conv_id", "call_id"], "left_anti").withColumn("level", F.lit(0))
-    level = written(level)
-    done = 0
-    for _ in range(rounds):
+    named = needs.select("conv_id", F.col("needed").alias("call_id")).unionByName(callers).distinct()
+    turns = written(named.join(found, ["conv_id", "call_id"], "left").select("conv_id", "call_id", "call_turn", "result_turn"))
+    free = turns.join(callers, ["conv_id", "call_id"], "left_anti")
+    free = written(free.select("conv_id", "call_id", F.lit(0).alias("level"), F.col("call_turn").alias("at"), F.greatest("call_turn", "result_turn").alias("answered")))
+    level, done = free, free.count()
+    while True:
         ready = (
-            needs.join(level.select("conv_id", F.col("call_id").alias("needed"), "level"), ["conv_id", "needed"], "left")
+            needs.join(level.select("conv_id", F.col("call_id").alias("needed"), "level", "answered"), ["conv_id", "needed"], "left")
             .groupBy("conv_id", "call_id")
-            .agg(F.max("level").alias("top"), F.count_if(F.col("level").isNull()).alias("open"))
+            .agg((F.max("level") + 1).alias("level"), F.max("answered").alias("_late"), F.count_if(F.col("level").isNull()).alias("open"))
             .filter("open = 0")
-            .select("conv_id", "call_id", (F.col("top") + 1).alias("level"))
+            .join(turns, ["conv_id", "call_id"])
+            .withColumn("at", F.greatest("call_turn", "_late"))
+            .select("conv_id", "call_id", "level", "at", F.greatest("at", "result_turn").alias("answered"))
         )
-        settled = written(ready)
-        n = settled.count()
+        level = written(free.unionByName(ready))
+        n = level.count()
         if n == done:
             break
-        level, done = level.join(settled.select("conv_id", "call_id"), ["conv_id", "call_id"], "left_anti").unionByName(settled), n
-    return callers.join(level.select("conv_id", "call_id", "level"), ["conv_id", "call_id"], "left")
+        done = n
+    return callers.join(level.select("conv_id", "call_id", "level", "at"), ["conv_id", "call_id"], "left")
 
 
 def placed(rows: DataFrame, group: str, order: list[str], name: str = "position") -> DataFrame:
@@ -100,11 +107,11 @@ def format_calls(messages: DataFrame, schemas: Schemas) -> DataFrame:
         F.when(F.col("name").isNotNull(), "call").when(F.col("call_id").isNotNull(), "result").otherwise("message").alias("kind"),
     )
     found = links(rows.filter("kind = 'call'"), rows.filter("kind = 'result'"))
-    needs = rows.filter("kind = 'call' and call_id is not null").select("conv_id", "call_id", F.explode("refs").alias("needed"))
-    level = levels(needs)
+    needs = rows.filter("kind = 'call' and call_id is not null").select("conv_id", "call_id", F.explode("refs").alias("needed")).filter("needed is not null")
+    level = levels(needs, found)
     known = rows.filter("kind <> 'message' and call_id is not null").join(found, ["conv_id", "call_id"], "left").join(level, ["conv_id", "call_id"], "left")
     lone = rows.filter("kind = 'message' or call_id is null")
-    for c, t in (("call_turn", "long"), ("result_turn", "long"), ("level", "int")):
+    for c, t in (("call_turn", "long"), ("result_turn", "long"), ("level", "int"), ("at", "long")):
         lone = lone.withColumn(c, F.lit(None).cast(t))
     asked = needs.select("conv_id", "call_id").distinct().withColumn("_asks", F.lit(True))
     every = known.join(asked, ["conv_id", "call_id"], "left").unionByName(lone.withColumn("_asks", F.lit(None).cast("boolean")))
@@ -118,8 +125,8 @@ def format_calls(messages: DataFrame, schemas: Schemas) -> DataFrame:
         .when((F.col("kind") == "call") & F.col("_asks") & F.col("level").isNull(), "circular")
         .otherwise("linked")
     )
-    # an answer stands right after its call; what a call refers to has a lower level and, in turn, an earlier place
-    anchor = F.when((F.col("kind") == "result") & F.col("call_turn").isNotNull(), F.greatest("call_turn", "turn")).otherwise(F.col("turn"))
+    # a result stands at or after its call, and a call at or after all it refers to; at one turn the level decides
+    anchor = F.when(F.col("kind") == "result", F.greatest("at", "call_turn", "turn")).when(F.col("kind") == "call", F.greatest("at", "turn")).otherwise(F.col("turn"))
     line = F.when(
         F.col("kind") == "call",
         F.concat(F.lit('{"arguments":'), F.coalesce(canonical(F.col("arguments")), F.lit("null")), F.lit(',"id":'), _string("call_id"), F.lit(',"name":'), _string("name"), F.lit(',"role":'), _string("role"), F.lit("}")),
