@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing
@@ -17,9 +17,9 @@ from webgather.llm._shared import written
 from webgather.llm.queries import table, tokenizer_path, trained_on
 
 
-def _kept(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows of docs whose id is among ids."""
-    return docs.join(ids.select(F.col("doc_id").alias("_kept")).distinct(), docs["doc_id"] == F.col("_kept"), "left_semi")
+def _row_key(text: Column) -> Column:
+    """A row by its id, which may be null, and its content."""
+    return F.concat(F.coalesce(F.concat(F.lit("i"), F.col("doc_id").cast("string")), F.lit("n")), F.lit(":"), text)
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,11 +27,23 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _kept(docs, exact_dedup.exact_groups(docs, keep="largest").filter("kept"))
+    """One row of each text: decisions are by id and content, as ids may be null or repeated."""
+    stays = exact_dedup.exact_groups(docs, keep="largest").filter("kept").select(_row_key(F.col("text_sha256")).alias("_row"))
+    keyed = docs.withColumn("_row", _row_key(F.sha2(F.coalesce("text", F.lit("")), 256)))
+    # rows of one id and one text are together after the join, so no further shuffle parts them
+    return keyed.join(stays, "_row", "left_semi").dropDuplicates(["_row"]).select(*docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return _kept(docs, minhash.near_duplicates(docs).filter("kept"))
+    """One row of each group; rows whose ids are null or repeated are numbered first, in order of their ids, nulls last."""
+    odd = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1 or doc_id is null")
+    if odd.isEmpty():
+        return docs.join(minhash.near_duplicates(docs).filter("kept").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
+    order = [F.col("doc_id").asc_nulls_last(), F.col("_text")]
+    spread = docs.withColumn("_text", F.sha2(F.coalesce("text", F.lit("")), 256)).repartitionByRange(*order).sortWithinPartitions(*order)
+    rows = written(spread.withColumn("_row", F.monotonically_increasing_id()))
+    stays = minhash.near_duplicates(rows, id_col="_row").filter("kept").select(F.col("doc_id").alias("_row"))
+    return rows.join(stays, "_row", "left_semi").select(*docs.columns)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

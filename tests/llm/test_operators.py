@@ -461,3 +461,26 @@ def test_pipeline(spark):
         if name == "near deduplication":
             assert sorted(r["doc_id"] for r in now.collect()) == sorted(keep)
     assert p.run(spark, SMALL).select("doc_id").distinct().count() == now.count()
+
+
+def test_pipeline_null_and_repeated_ids(spark):
+    import corpus_pipeline as p
+
+    words = lambda a, n=60: " ".join(f"{a}word{i}" for i in range(n))
+    edited = words("near").replace("nearword30", "other")
+    rows = [
+        (None, words("clean")), (None, words("lone")), (None, words("lone")), (1, words("twice")), (1, words("twice")), (2, words("loses")), (3, words("loses")), (2, words("stays")),
+        (None, words("loses")), (4, words("near")), (5, edited), (5, words("apart")), (None, edited + " more"), (6, words("six")),
+    ]
+    docs = spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, source string")
+    exact = {(None, words("clean")), (None, words("lone")), (1, words("twice")), (3, words("loses")), (2, words("stays")), (4, words("near")), (5, edited), (5, words("apart")), (None, edited + " more"), (6, words("six"))}
+    now = p.drop_copies(spark, p.written(docs), SMALL)
+    got = [(r["doc_id"], r["text"]) for r in now.collect()]
+    assert now.columns == docs.columns and len(got) == len(exact) and set(got) == exact
+    near = exact - {(5, edited), (None, edited + " more")}
+    for start in (now, docs):  # near copies alone, too, keep one of repeated rows, an id before a null and a smaller one
+        now = p.drop_near_copies(spark, p.written(start), SMALL)
+        got = [(r["doc_id"], r["text"]) for r in now.collect()]
+        want = near if start is not docs else near - {(3, words("loses"))} | {(2, words("loses"))}
+        assert now.columns == docs.columns and len(got) == len(want) and set(got) == want
+    assert p.drop_contaminated(spark, now, SMALL).count() == len(near)
