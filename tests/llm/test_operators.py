@@ -353,7 +353,7 @@ def test_sketch_never_undercounts(spark):
     rows = spark.range(4000).select(F.col("id"), (F.col("id") % 3000).alias("k")).repartition(7)
     keys = lambda b: [np.asarray(b.column(1)).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)]
     for bits in (8, 14, 26):
-        found = sketch.repeated_keys(rows, keys, 2, bits, flush=300)
+        found = sketch.marked_keys(rows, keys, 2, bits, flush=300)
         got = found(np.arange(3000, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
         assert got[:1000].all() and (bits < 26 or not got[1000:].any())
 

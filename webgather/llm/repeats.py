@@ -9,13 +9,14 @@ about 2 / (length - gram + 2) runs an item, which is what is counted, sent and g
 2. runs of such anchors are grouped by anchor and content. In a task only the first of equal
    runs is sent on, the others are repeats already. Where they meet, again all but the first
    of equal runs are repeats whole;
-3. anchors with several different runs are settled window by window, on the first run of each
-   content, by a resolver: by sorting window hashes, or by suffix arrays of the runs' bytes;
-4. the repeats of each document are joined to its text.
-
-A common line that a third of all documents hold sends one run a task in step 2, and anchors
-with more than `hot` runs are dealt out by window in step 3. Rows cross the network as packed
-arrays, one to a task and bucket.
+3. anchors with several different runs are open. A set of bits that marks them (and perhaps
+   others, which costs work alone) goes back to the texts, and a third pass sends what their
+   runs hold to a resolver: window hashes to sort, or bytes for suffix arrays;
+4. the repeats of each document are joined to its text, which crosses the network this once.
+
+A common line that a third of all documents hold sends one run a task in steps 2 and 3, and
+anchors with more than `hot` runs are dealt out by window in step 3. Rows cross the network as
+packed arrays, one to a task and bucket.
 """
 
 from __future__ import annotations
@@ -26,15 +27,19 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from webgather.llm import _text as X
 from webgather.llm._shared import written
-from webgather.llm.sketch import Repeated, repeated_keys
+from webgather.llm.sketch import Marked, marked_keys
 
 RUN = np.dtype([("fp", "<u8"), ("r", "<u8"), ("doc", "<i8"), ("s", "<i4"), ("n", "u1")])
-FOUND = np.dtype([("doc", "<i8"), ("s", "<i4"), ("n", "u1"), ("hot", "u1")])
+FOUND = np.dtype([("doc", "<i8"), ("s", "<i4"), ("n", "u1")])
 WINDOW = np.dtype([("a", "<u8"), ("b", "<u8"), ("doc", "<i8"), ("s", "<i4")])
+ANCHOR = np.dtype([("fp", "<u8"), ("hot", "u1")])
 POSITION_BITS = 20
+#: A set of bits takes 128 MB at most, whatever the input: with more keys it lets more through.
+MOST_BITS = 30
 BLOBS = "kind int, bucket int, blob binary"
 
 
@@ -165,9 +170,9 @@ def doc_bucket(doc: np.ndarray, spec: Spec) -> np.ndarray:
     return (X.mix(doc.astype(np.uint64)) % X.U64(spec.buckets)).astype(np.int32)
 
 
-def repeats_of(doc: np.ndarray, s: np.ndarray, n: np.ndarray | int, hot: np.ndarray | int = 0) -> np.ndarray:
+def repeats_of(doc: np.ndarray, s: np.ndarray, n: np.ndarray | int) -> np.ndarray:
     out = np.empty(len(doc), FOUND)
-    out["doc"], out["s"], out["n"], out["hot"] = doc, s, n, hot
+    out["doc"], out["s"], out["n"] = doc, s, n
     return out
 
 
@@ -186,21 +191,13 @@ def first_of_equal(rows: np.ndarray, keys: tuple[str, str], by_start: bool) -> t
     return rows[~later], rows[later]
 
 
-def _candidates(batches, spec: Spec, repeated: Repeated, flush: int = 1_500_000):
-    held, n = [], 0
-
-    def out():
-        first, later = first_of_equal(np.concatenate(held), ("fp", "r"), spec.by_start)
-        return blob_batch(
-            packed(0, first, (first["fp"] % X.U64(spec.buckets)).astype(np.int32)),
-            packed(1, repeats_of(later["doc"], later["s"], later["n"]), doc_bucket(later["doc"], spec)),
-        )
-
+def runs_of(batches, spec: Spec, asked: Marked) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, Items]]:
+    """(runs of the anchors asked for, places of their first items among those of the slice, its bytes, its items)."""
     for batch in batches:
         ids = np.asarray(batch.column(0))
-        for a, _, _, _, items in _batches_of_items(batch, spec, 1):
+        for a, _, data, _, items in _batches_of_items(batch, spec, 1):
             for doc, s, count, fp, offsets in runs(items, spec.length):
-                own = repeated(fp)
+                own = asked(fp)
                 if not own.any():
                     continue
                 doc, s, count = doc[own], s[own], count[own]
@@ -208,8 +205,22 @@ def _candidates(batches, spec: Spec, repeated: Repeated, flush: int = 1_500_000)
                 rows["fp"], rows["n"] = fp[own], count
                 rows["r"] = items.hashed(s, s + count - 1 + spec.length, 23)
                 rows["doc"], rows["s"] = ids[a + doc], s - offsets[doc]
-                held.append(rows)
-                n += len(rows)
+                yield rows, s, data, items
+
+
+def _candidates(batches, spec: Spec, repeated: Marked, flush: int = 1_500_000):
+    held, n = [], 0
+
+    def out():
+        first, later = first_of_equal(np.concatenate(held), ("fp", "r"), spec.by_start)
+        return blob_batch(
+            packed(0, first, (first["fp"] % X.U64(spec.buckets)).astype(np.int32)),
+            packed(1, repeats_of(later["doc"], later["s"], later["n"]), doc_bucket(later["doc"], spec)),
+        )
+
+    for rows, _, _, _ in runs_of(batches, spec, repeated):
+        held.append(rows)
+        n += len(rows)
         if n > flush:
             yield out()
             held, n = [], 0
@@ -223,16 +234,17 @@ def _gathered(batches, dtype: np.dtype, kind: int) -> np.ndarray:
 
 
 def _settle_runs(batches, spec: Spec):
-    """Equal runs: repeats (kind 1), and the first runs of anchors with several (kind 2), by document."""
+    """Equal runs: repeats (kind 1), and the anchors that have several (kind 2)."""
     first, later = first_of_equal(_gathered(batches, RUN, 0), ("fp", "r"), spec.by_start)
     groups = [packed(1, repeats_of(later["doc"], later["s"], later["n"]), doc_bucket(later["doc"], spec))]
     if len(first):
         new_fp = np.concatenate([[True], first["fp"][1:] != first["fp"][:-1]])
         new_run = new_fp | np.concatenate([[True], first["r"][1:] != first["r"][:-1]])
-        anchor = np.cumsum(new_fp) - 1
-        kinds = np.bincount(anchor, weights=new_run)[anchor]
-        open_ = first[kinds > 1]
-        groups.append(packed(2, repeats_of(open_["doc"], open_["s"], open_["n"], kinds[kinds > 1] > spec.hot), doc_bucket(open_["doc"], spec)))
+        kinds = np.bincount(np.cumsum(new_fp) - 1, weights=new_run)
+        open_ = np.empty(int((kinds > 1).sum()), ANCHOR)
+        open_["fp"], open_["hot"] = first["fp"][new_fp][kinds > 1], kinds[kinds > 1] > spec.hot
+        if len(open_):
+            groups.append(([2], [0], [open_.tobytes()]))
     yield blob_batch(*groups)
 
 
@@ -246,20 +258,18 @@ def merged_spans(s: np.ndarray, e: np.ndarray) -> np.ndarray:
 
 
 def _by_document(batches, spec: Spec):
-    """doc_id, repeated spans of items, open runs."""
-    blobs = list(batches)
-    done, open_ = (_gathered(blobs, FOUND, k) for k in (1, 2))
-    docs = np.union1d(done["doc"], open_["doc"])
-    done, open_ = (x[np.argsort(x["doc"], kind="stable")] for x in (done, open_))
-    cuts = [(np.searchsorted(x["doc"], docs), np.searchsorted(x["doc"], docs, side="right")) for x in (done, open_)]
+    """doc_id, repeated spans of items."""
+    done = _gathered(batches, FOUND, 1)
+    done = done[np.argsort(done["doc"], kind="stable")]
+    docs, at = np.unique(done["doc"], return_index=True)
+    at = np.append(at, len(done))
     for a in range(0, len(docs), 20_000):
-        spans, left = [], []
+        spans = []
         for k in range(a, min(len(docs), a + 20_000)):
-            x = done[cuts[0][0][k] : cuts[0][1][k]]
+            x = done[at[k] : at[k + 1]]
             s = x["s"].astype(np.int64)
-            spans.append(merged_spans(s, s + x["n"] - 1 + spec.length).tobytes() if len(x) else None)
-            left.append(open_[cuts[1][0][k] : cuts[1][1][k]].tobytes() or None)
-        yield pa.RecordBatch.from_arrays([pa.array(docs[a : a + 20_000]), pa.array(spans, pa.binary()), pa.array(left, pa.binary())], names=["doc_id", "spans", "open"])
+            spans.append(merged_spans(s, s + x["n"] - 1 + spec.length).tobytes())
+        yield pa.RecordBatch.from_arrays([pa.array(docs[a : a + 20_000]), pa.array(spans, pa.binary())], names=["doc_id", "spans"])
 
 
 def _dealt(rows: DataFrame, spec: Spec, f: Callable, schema: str, finer: int = 1) -> DataFrame:
@@ -267,55 +277,62 @@ def _dealt(rows: DataFrame, spec: Spec, f: Callable, schema: str, finer: int = 1
     return rows.repartition(parts, "bucket").mapInArrow(f, schema)
 
 
-def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Callable) -> tuple[DataFrame, DataFrame]:
-    """Two tables (doc_id, spans): of whole runs, and of windows that the resolver settles.
+def _open_anchors(settled: DataFrame, spec: Spec) -> tuple[Marked, Marked | None]:
+    """The anchors of kind 2, and the hot ones among them, as sets of bits sized by their number."""
+    blobs = settled.filter("kind = 2").select("blob")
+    n = (blobs.agg(F.sum(F.octet_length("blob"))).first()[0] or 0) // ANCHOR.itemsize
+    bits = int(np.clip(np.ceil(np.log2(8.0 * n + 1)), 16, MOST_BITS))
 
-    docs: doc_id (not null) and body. opened(batches, spec) turns (doc_id, body, open) into blobs
-    of kind 3 and repeats of kind 1; resolve(blobs of a bucket, spec) gives repeats of kind 1.
+    def keys(hot: bool):
+        def of(batch):
+            for x in batch.column(0):
+                rows = np.frombuffer(x.as_py(), ANCHOR)
+                yield rows["fp"][rows["hot"] > 0] if hot else rows["fp"]
+
+        return of
+
+    return marked_keys(blobs, keys(False), 1, bits, 1), marked_keys(blobs, keys(True), 1, bits, 1) if spec.hot else None
+
+
+def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Callable) -> DataFrame:
+    """doc_id and spans of the documents that have repeats.
+
+    docs: doc_id (not null) and body. opened(batches, spec, open anchors, hot ones) turns
+    (doc_id, body) into blobs of kind 3 and repeats of kind 1; resolve(blobs of a bucket, spec)
+    gives repeats of kind 1.
     """
-    repeated = docs.sparkSession.sparkContext.broadcast(repeated_keys(docs, lambda b: _anchors(b, spec), spec.depth, spec.bits))
+    share = docs.sparkSession.sparkContext.broadcast
+    repeated = share(marked_keys(docs, lambda b: _anchors(b, spec), spec.depth, spec.bits))
     sent = docs.mapInArrow(lambda b: _candidates(b, spec, repeated.value), BLOBS)
 
-    def settle(batches):
-        blobs = list(batches)
-        for b in blobs:  # repeats that a task found by itself go through
-            own = b.filter(pa.compute.equal(b.column(0), 1))
-            if own.num_rows:
-                yield own
-        yield from _settle_runs(blobs, spec)
-
-    by_doc = "doc_id long, spans binary, open binary"
-    runs_ = written(_dealt(_dealt(sent, spec, settle, BLOBS), spec, lambda b: _by_document(b, spec), by_doc))
-    asked = docs.join(runs_.filter("open is not null").select("doc_id", "open"), "doc_id").select("doc_id", "body", "open")
-    contents = asked.mapInArrow(lambda b: opened(b, spec), BLOBS)
+    def through(f):
+        def run(batches):
+            blobs = list(batches)
+            for b in blobs:  # repeats that a task found by itself go through
+                own = b.filter(pa.compute.equal(b.column(0), 1))
+                if own.num_rows:
+                    yield own
+            yield from f(blobs, spec)
 
-    def resolved(batches):
-        blobs = list(batches)
-        for b in blobs:
-            own = b.filter(pa.compute.equal(b.column(0), 1))
-            if own.num_rows:
-                yield own
-        yield from resolve(blobs, spec)
+        return run
 
-    windows = _dealt(_dealt(contents, spec, resolved, BLOBS, spec.finer), spec, lambda b: _by_document(b, spec), by_doc)
-    return runs_.filter("spans is not null").select("doc_id", "spans"), windows.select("doc_id", "spans")
+    settled = written(_dealt(sent, spec, through(_settle_runs), BLOBS))
+    marks = share(_open_anchors(settled, spec))
+    contents = docs.mapInArrow(lambda b: opened(b, spec, *marks.value), BLOBS)
+    windows = _dealt(contents, spec, through(resolve), BLOBS, spec.finer)
+    return _dealt(settled.filter("kind = 1").unionByName(windows), spec, lambda b: _by_document(b, spec), "doc_id long, spans binary")
 
 
-def with_spans(docs: DataFrame, found: tuple[DataFrame, DataFrame]) -> DataFrame:
-    """doc_id, body and the two lists of spans of every document."""
-    one, two = found
-    return docs.join(one.withColumnRenamed("spans", "x"), "doc_id", "left").join(two.withColumnRenamed("spans", "y"), "doc_id", "left").select("doc_id", "body", "x", "y")
+def with_spans(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """doc_id, body and the spans, if any, of every document; one without id has none."""
+    return docs.join(found, "doc_id", "left").select("doc_id", "body", "spans")
 
 
-def spans_of(*blobs: bytes | None) -> list[tuple[int, int]]:
-    rows = [np.frombuffer(b, "<i4").reshape(-1, 2) for b in blobs if b]
-    if not rows:
-        return []
-    x = np.concatenate(rows).astype(np.int64)
-    return list(map(tuple, merged_spans(x[:, 0], x[:, 1]).tolist()))
+def spans_of(blob: bytes | None) -> list[tuple[int, int]]:
+    return list(map(tuple, np.frombuffer(blob, "<i4").reshape(-1, 2).tolist())) if blob else []
 
 
-def sketch_bits(docs: DataFrame, items_per_byte: float, least: int = 16, most: int = 30) -> int:
+def sketch_bits(docs: DataFrame, items_per_byte: float, least: int = 16, most: int = MOST_BITS) -> int:
     """Eight cells for each expected anchor, by the estimated size of the input; at most 2**most cells."""
     size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     return int(np.clip(np.ceil(np.log2(max(1.0, 8 * 2.0 * size * items_per_byte))), least, most))

@@ -1,9 +1,9 @@
 """A count-min sketch over 64-bit keys, made by partition and merged by slice.
 
 A task's part is sparse: the sorted cells of its keys, each at most twice, coded by slice as
-low 16 bits and a count for each value of the bits above. Slices merge where they meet, and of
-the sum only whether it reaches two is kept, a bit a cell. An estimate is the least over the
-rows, so a key that occurs twice always passes. `depth` rows of 2**bits cells take
+low 16 bits and a count for each value of the bits above. Slices merge in two steps, and of
+the sum only whether it reaches one and two is kept, a bit a cell each. An estimate is the least
+over the rows, so a key that occurs twice always passes. `depth` rows of 2**bits cells take
 depth * 2**bits / 8 bytes at any size of input: that is what is broadcast.
 """
 
@@ -13,6 +13,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from webgather.llm._text import U64
@@ -48,8 +49,8 @@ def _cells_of(part: bytes, low: int) -> np.ndarray:
     return (np.repeat(np.arange(n, dtype=np.uint32), above) << np.uint32(16)) | np.frombuffer(part, "<u2", offset=4 * n)
 
 
-class Repeated:
-    """Which keys may occur twice."""
+class Marked:
+    """A set of keys that may hold more than it was given, and never less: which cells are marked, a bit each."""
 
     def __init__(self, rows: list[np.ndarray], bits: int):
         self.rows, self.bits = rows, bits
@@ -62,15 +63,51 @@ class Repeated:
         return out
 
 
-def repeated_keys(rows: DataFrame, keys_of: Callable, depth: int, bits: int, flush: int = 2_000_000) -> Repeated:
-    """The merged sketch of the keys that keys_of(batch) yields, as arrays, over all batches of rows."""
+def _bitmaps(cells_: np.ndarray, low: int) -> tuple[np.ndarray, np.ndarray]:
+    """Cells met, and cells met twice (side by side in cells_)."""
+    twice = np.zeros(len(cells_), bool)
+    twice[1:] = cells_[1:] == cells_[:-1]
+    once, both = np.zeros(1 << low, bool), np.zeros(1 << low, bool)
+    once[cells_], both[cells_[twice]] = True, True
+    return np.packbits(once, bitorder="little"), np.packbits(both, bitorder="little")
+
+
+class _Sums:
+    """Bitmaps by slice, added up."""
+
+    def __init__(self):
+        self.of: dict[int, list[np.ndarray]] = {}
+
+    def add(self, k: int, once: np.ndarray, both: np.ndarray) -> None:
+        if k not in self.of:
+            self.of[k] = [once.copy(), both.copy()]
+        else:
+            total = self.of[k]
+            total[1] |= both | (total[0] & once)
+            total[0] |= once
+
+    def batches(self, names: tuple[str, ...]) -> Iterator[pa.RecordBatch]:
+        for k, (once, both) in self.of.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int32()), pa.array([once.tobytes()], pa.binary()), pa.array([both.tobytes()], pa.binary())], names=list(names))
+
+
+def marked_keys(rows: DataFrame, keys_of: Callable, depth: int, bits: int, times: int = 2, flush: int = 2_000_000, fan_in: int = 256) -> Marked:
+    """The keys that keys_of(batch) yields, as arrays, at least `times` (1 or 2) times over all batches of rows.
+
+    Parts of at most `fan_in` tasks meet in one, and what these give meets by slice, so no merging
+    task takes what grows with the input beyond the number of tasks over `fan_in`.
+    """
     low = min(SLICE_BITS, bits)
     n_slices = depth << (bits - low)
+    names = ("slice", "once", "both")
 
     def sketch(batches):
+        group = TaskContext.get().partitionId() // fan_in
+
         def out(held):
-            slices, blobs = zip(*parts(np.concatenate(held), depth, bits), strict=True)
-            return pa.RecordBatch.from_arrays([pa.array(slices, pa.int32()), pa.array(blobs, pa.binary())], names=["slice", "part"])
+            found = parts(np.concatenate(held), depth, bits)
+            for k, blob in found:
+                yield pa.RecordBatch.from_arrays([pa.array([group], pa.int32()), pa.array([k], pa.int32()), pa.array([blob], pa.binary())], names=["group", "slice", "part"])
 
         held, n = [], 0
         for batch in batches:
@@ -79,33 +116,30 @@ def repeated_keys(rows: DataFrame, keys_of: Callable, depth: int, bits: int, flu
                     held.append(keys)
                     n += len(keys)
             if n > flush:
-                yield out(held)
+                yield from out(held)
                 held, n = [], 0
         if held:
-            yield out(held)
+            yield from out(held)
+
+    def merge_parts(batches):
+        sums = _Sums()
+        for batch in batches:
+            for k, part in zip(batch.column(1).to_pylist(), batch.column(2), strict=True):
+                sums.add(k, *_bitmaps(_cells_of(part.as_py(), low), low))
+        yield from sums.batches(names)
 
     def merge(batches):
-        sums: dict[int, np.ndarray] = {}
+        sums = _Sums()
         for batch in batches:
-            for k, part in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                c = _cells_of(part.as_py(), low)
-                total = sums.setdefault(k, np.zeros((2, 1 << max(0, low - 3)), np.uint8))
-                # c may hold a cell twice, side by side: then it has met two already
-                twice = np.zeros(len(c), bool)
-                twice[1:] = c[1:] == c[:-1]
-                once = np.zeros(1 << low, bool)
-                once[c] = True
-                both = np.zeros(1 << low, bool)
-                both[c[twice]] = True
-                once_bits, both_bits = np.packbits(once, bitorder="little"), np.packbits(both, bitorder="little")
-                total[1] |= both_bits | (total[0] & once_bits)
-                total[0] |= once_bits
-        if sums:
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x[1].tobytes() for x in sums.values()], pa.binary())], names=["slice", "bits"])
-
-    merged = rows.mapInArrow(sketch, "slice int, part binary").repartition(n_slices, "slice").mapInArrow(merge, "slice int, bits binary").collect()
+            for k, once, both in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
+                sums.add(k, np.frombuffer(once.as_py(), np.uint8), np.frombuffer(both.as_py(), np.uint8))
+        yield from sums.batches(names)
+
+    tasks = max(n_slices, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    made = rows.mapInArrow(sketch, "group int, slice int, part binary").repartition(tasks, "slice", "group")
+    merged = made.mapInArrow(merge_parts, "slice int, once binary, both binary").repartition(n_slices, "slice").mapInArrow(merge, "slice int, once binary, both binary")
     size = 1 << max(0, low - 3)
     flat = np.zeros((n_slices, size), np.uint8)
-    for r in merged:
-        flat[r["slice"]] = np.frombuffer(r["bits"], np.uint8)
-    return Repeated(list(flat.reshape(depth, -1)), bits)
+    for r in merged.select("slice", names[times]).collect():
+        flat[r[0]] = np.frombuffer(r[1], np.uint8)
+    return Marked(list(flat.reshape(depth, -1)), bits)

@@ -17,11 +17,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from webgather.llm import repeats as R
+from webgather.llm.sketch import Marked
 
 SCHEMA = "doc_id long, n_words long, n_removed long, kept_text string, spans array<struct<start:long,end:long>>"
 
 
-def _opened(batches, spec: R.Spec, flush: int = 1_500_000):
+def _opened(batches, spec: R.Spec, open_: Marked, hot: None, flush: int = 1_500_000):
     """Every window of the open runs, by two hashes; a task sends only the first of equal ones."""
     held, n = [], 0
 
@@ -29,27 +30,18 @@ def _opened(batches, spec: R.Spec, flush: int = 1_500_000):
         first, later = R.first_of_equal(np.concatenate(held), ("a", "b"), True)
         return R.blob_batch(R.packed(3, first, (first["a"] % R.X.U64(spec.buckets)).astype(np.int32)), R.packed(1, R.repeats_of(later["doc"], later["s"], 1), R.doc_bucket(later["doc"], spec)))
 
-    for batch in batches:
-        ids = np.asarray(batch.column(0))
-        for a, b, _, _, items in R._batches_of_items(batch, spec, 1):
-            starts, docs, places = [], [], []
-            for k in range(a, b):
-                own = np.frombuffer(batch.column(2)[k].as_py(), R.FOUND)
-                times = own["n"].astype(np.int64)
-                s = np.repeat(own["s"].astype(np.int64) - np.concatenate([[0], np.cumsum(times)[:-1]]), times) + np.arange(times.sum())
-                s = s[s + spec.length <= items.offsets[k - a + 1] - items.offsets[k - a]]
-                starts.append(s + items.offsets[k - a])
-                places.append(s)
-                docs.append(np.full(len(s), ids[k]))
-            at = np.concatenate(starts)
-            rows = np.empty(len(at), R.WINDOW)
-            rows["a"], rows["b"] = (items.hashed(at, at + spec.length, seed) for seed in (31, 37))
-            rows["doc"], rows["s"] = np.concatenate(docs), np.concatenate(places)
-            held.append(rows)
-            n += len(rows)
-            if n > flush:
-                yield out()
-                held, n = [], 0
+    for runs, s, _, items in R.runs_of(batches, spec, open_):
+        times = runs["n"].astype(np.int64)
+        each = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+        at = np.repeat(s, times) + each
+        rows = np.empty(len(at), R.WINDOW)
+        rows["a"], rows["b"] = (items.hashed(at, at + spec.length, seed) for seed in (31, 37))
+        rows["doc"], rows["s"] = np.repeat(runs["doc"], times), np.repeat(runs["s"], times) + each
+        held.append(rows)
+        n += len(rows)
+        if n > flush:
+            yield out()
+            held, n = [], 0
     if held:
         yield out()
 
@@ -68,14 +60,14 @@ def remove_repeated_windows(docs: DataFrame, window: int = 20, gram: int = 5, de
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     spec = R.Spec("words", window, min(gram, window), True, depth, R.sketch_bits(rows, 0.16 * 2 / (window - min(gram, window) + 2)), 0, 4 * parts)
     found = R.with_spans(named, R.repeated_spans(named, spec, _opened, _grouped))
-    loose = rows.filter("doc_id is null").select("doc_id", "body", F.lit(None).cast("binary").alias("x"), F.lit(None).cast("binary").alias("y"))
+    loose = rows.filter("doc_id is null").select("doc_id", "body", F.lit(None).cast("binary").alias("spans"))
 
     def cut(batches):
         for batch in batches:
             out: list[list] = [[], [], [], []]
-            for body, x, y in zip(batch.column(1), batch.column(2), batch.column(3), strict=True):
+            for body, found in zip(batch.column(1), batch.column(2), strict=True):
                 words = (body.as_py() or "").encode("utf-8", "surrogatepass").split()
-                spans = [(a, min(b, len(words))) for a, b in R.spans_of(x.as_py(), y.as_py()) if a < len(words)]
+                spans = [(a, min(b, len(words))) for a, b in R.spans_of(found.as_py()) if a < len(words)]
                 kept, at = [], 0
                 for a, b in spans:
                     kept += words[at:a]
