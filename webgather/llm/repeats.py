@@ -9,9 +9,10 @@ about 2 / (length - gram + 2) runs an item, which is what is counted, sent and g
 2. runs of such anchors are grouped by anchor and content. In a task only the first of equal
    runs is sent on, the others are repeats already. Where they meet, again all but the first
    of equal runs are repeats whole;
-3. anchors with several different runs are open. A set of bits that marks them (and perhaps
-   others, which costs work alone) goes back to the texts, and a third pass sends what their
-   runs hold to a resolver: window hashes to sort, or bytes for suffix arrays;
+3. anchors with several different runs are open. A set of bits that marks the first run of
+   each of their contents (and perhaps others, which costs work alone) goes back to the texts,
+   and a third pass sends what these runs hold to a resolver: window hashes to sort, or bytes
+   for suffix arrays. How a document is cut into runs depends on the document alone;
 4. the repeats of each document are joined to its text, which crosses the network this once.
 
 A common line that a third of all documents hold sends one run a task in steps 2 and 3, and
@@ -36,7 +37,6 @@ from webgather.llm.sketch import Marked, marked_keys
 RUN = np.dtype([("fp", "<u8"), ("r", "<u8"), ("doc", "<i8"), ("s", "<i4"), ("n", "u1")])
 FOUND = np.dtype([("doc", "<i8"), ("s", "<i4"), ("n", "u1")])
 WINDOW = np.dtype([("a", "<u8"), ("b", "<u8"), ("doc", "<i8"), ("s", "<i4")])
-ANCHOR = np.dtype([("fp", "<u8"), ("hot", "u1")])
 POSITION_BITS = 20
 #: A set of bits takes 128 MB at most, whatever the input: with more keys it lets more through.
 MOST_BITS = 30
@@ -191,8 +191,13 @@ def first_of_equal(rows: np.ndarray, keys: tuple[str, str], by_start: bool) -> t
     return rows[~later], rows[later]
 
 
-def runs_of(batches, spec: Spec, asked: Marked) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, Items]]:
-    """(runs of the anchors asked for, places of their first items among those of the slice, its bytes, its items)."""
+def run_key(rows: np.ndarray) -> np.ndarray:
+    """A hash of a run's place and content."""
+    return X.mix(X.mix(rows["doc"].astype(np.uint64) * X.K1 + rows["s"].astype(np.uint64)) ^ rows["r"])
+
+
+def runs_of(batches, spec: Spec, asked: Marked, marked: Marked | None = None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, Items]]:
+    """(runs of the anchors asked for, and that are marked, places of their first items among those of the slice, its bytes, its items)."""
     for batch in batches:
         ids = np.asarray(batch.column(0))
         for a, _, data, _, items in _batches_of_items(batch, spec, 1):
@@ -205,7 +210,11 @@ def runs_of(batches, spec: Spec, asked: Marked) -> Iterator[tuple[np.ndarray, np
                 rows["fp"], rows["n"] = fp[own], count
                 rows["r"] = items.hashed(s, s + count - 1 + spec.length, 23)
                 rows["doc"], rows["s"] = ids[a + doc], s - offsets[doc]
-                yield rows, s, data, items
+                if marked is not None:
+                    own = marked(run_key(rows))
+                    rows, s = rows[own], s[own]
+                if len(rows):
+                    yield rows, s, data, items
 
 
 def _candidates(batches, spec: Spec, repeated: Marked, flush: int = 1_500_000):
@@ -234,17 +243,17 @@ def _gathered(batches, dtype: np.dtype, kind: int) -> np.ndarray:
 
 
 def _settle_runs(batches, spec: Spec):
-    """Equal runs: repeats (kind 1), and the anchors that have several (kind 2)."""
+    """Equal runs: repeats (kind 1); keys of the first runs of anchors that have several (kind 2); the hot anchors (kind 4)."""
     first, later = first_of_equal(_gathered(batches, RUN, 0), ("fp", "r"), spec.by_start)
     groups = [packed(1, repeats_of(later["doc"], later["s"], later["n"]), doc_bucket(later["doc"], spec))]
     if len(first):
         new_fp = np.concatenate([[True], first["fp"][1:] != first["fp"][:-1]])
         new_run = new_fp | np.concatenate([[True], first["r"][1:] != first["r"][:-1]])
-        kinds = np.bincount(np.cumsum(new_fp) - 1, weights=new_run)
-        open_ = np.empty(int((kinds > 1).sum()), ANCHOR)
-        open_["fp"], open_["hot"] = first["fp"][new_fp][kinds > 1], kinds[kinds > 1] > spec.hot
-        if len(open_):
-            groups.append(([2], [0], [open_.tobytes()]))
+        anchor = np.cumsum(new_fp) - 1
+        kinds = np.bincount(anchor, weights=new_run)
+        for kind, keys in ((2, run_key(first[kinds[anchor] > 1])), (4, first["fp"][new_fp][kinds > spec.hot] if spec.hot else [])):
+            if len(keys):
+                groups.append(([kind], [0], [keys.tobytes()]))
     yield blob_batch(*groups)
 
 
@@ -277,29 +286,22 @@ def _dealt(rows: DataFrame, spec: Spec, f: Callable, schema: str, finer: int = 1
     return rows.repartition(parts, "bucket").mapInArrow(f, schema)
 
 
-def _open_anchors(settled: DataFrame, spec: Spec) -> tuple[Marked, Marked | None]:
-    """The anchors of kind 2, and the hot ones among them, as sets of bits sized by their number."""
-    blobs = settled.filter("kind = 2").select("blob")
-    n = (blobs.agg(F.sum(F.octet_length("blob"))).first()[0] or 0) // ANCHOR.itemsize
-    bits = int(np.clip(np.ceil(np.log2(8.0 * n + 1)), 16, MOST_BITS))
-
-    def keys(hot: bool):
-        def of(batch):
-            for x in batch.column(0):
-                rows = np.frombuffer(x.as_py(), ANCHOR)
-                yield rows["fp"][rows["hot"] > 0] if hot else rows["fp"]
-
-        return of
-
-    return marked_keys(blobs, keys(False), 1, bits, 1), marked_keys(blobs, keys(True), 1, bits, 1) if spec.hot else None
+def _keys_of_kind(settled: DataFrame, kind: int) -> Marked | None:
+    """The keys in blobs of a kind as a set of bits sized by their number; None if there are none."""
+    blobs = settled.filter(F.col("kind") == kind).select("blob")
+    n = (blobs.agg(F.sum(F.octet_length("blob"))).first()[0] or 0) // 8
+    if not n:
+        return None
+    bits = int(np.clip(np.ceil(np.log2(8.0 * n)), 16, MOST_BITS))
+    return marked_keys(blobs, lambda b: (np.frombuffer(x.as_py(), "<u8") for x in b.column(0)), 1, bits, 1)
 
 
 def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Callable) -> DataFrame:
     """doc_id and spans of the documents that have repeats.
 
-    docs: doc_id (not null) and body. opened(batches, spec, open anchors, hot ones) turns
-    (doc_id, body) into blobs of kind 3 and repeats of kind 1; resolve(blobs of a bucket, spec)
-    gives repeats of kind 1.
+    docs: doc_id (not null) and body. opened(runs, spec, hot anchors) turns open runs, as
+    runs_of gives them, into blobs of kind 3 and repeats of kind 1; resolve(blobs of a bucket,
+    spec) gives repeats of kind 1.
     """
     share = docs.sparkSession.sparkContext.broadcast
     repeated = share(marked_keys(docs, lambda b: _anchors(b, spec), spec.depth, spec.bits))
@@ -317,10 +319,12 @@ def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Calla
         return run
 
     settled = written(_dealt(sent, spec, through(_settle_runs), BLOBS))
-    marks = share(_open_anchors(settled, spec))
-    contents = docs.mapInArrow(lambda b: opened(b, spec, *marks.value), BLOBS)
-    windows = _dealt(contents, spec, through(resolve), BLOBS, spec.finer)
-    return _dealt(settled.filter("kind = 1").unionByName(windows), spec, lambda b: _by_document(b, spec), "doc_id long, spans binary")
+    done, marked = settled.filter("kind = 1"), _keys_of_kind(settled, 2)
+    if marked is not None:
+        marks = share((marked, _keys_of_kind(settled, 4)))
+        contents = docs.mapInArrow(lambda b: opened(runs_of(b, spec, repeated.value, marks.value[0]), spec, marks.value[1]), BLOBS)
+        done = done.unionByName(_dealt(contents, spec, through(resolve), BLOBS, spec.finer))
+    return _dealt(done, spec, lambda b: _by_document(b, spec), "doc_id long, spans binary")
 
 
 def with_spans(docs: DataFrame, found: DataFrame) -> DataFrame:

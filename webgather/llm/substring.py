@@ -22,7 +22,7 @@ from webgather.llm.sketch import Marked
 SCHEMA = "doc_id long, n_words long, n_removed long, kept_text string, spans array<struct<start:long,end:long>>"
 
 
-def _opened(batches, spec: R.Spec, open_: Marked, hot: None, flush: int = 1_500_000):
+def _opened(found, spec: R.Spec, hot: Marked | None, flush: int = 1_500_000):
     """Every window of the open runs, by two hashes; a task sends only the first of equal ones."""
     held, n = [], 0
 
@@ -30,7 +30,7 @@ def _opened(batches, spec: R.Spec, open_: Marked, hot: None, flush: int = 1_500_
         first, later = R.first_of_equal(np.concatenate(held), ("a", "b"), True)
         return R.blob_batch(R.packed(3, first, (first["a"] % R.X.U64(spec.buckets)).astype(np.int32)), R.packed(1, R.repeats_of(later["doc"], later["s"], 1), R.doc_bucket(later["doc"], spec)))
 
-    for runs, s, _, items in R.runs_of(batches, spec, open_):
+    for runs, s, _, items in found:
         times = runs["n"].astype(np.int64)
         each = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
         at = np.repeat(s, times) + each
