@@ -170,7 +170,7 @@ def test_block_comparison_is_all_pairs():
     owner = np.repeat(np.arange(40), [len(s) for s in sets])
     term = np.concatenate([sorted(s) for s in sets])
     n, c = np.array([len(s) for s in sets]), np.arange(40)
-    found = minhash._matrix_links(owner, term, n, c, np.arange(40), np.arange(40), 50, 100, width=7)
+    found = minhash.verified_links(owner, term, n, c, np.arange(40), np.arange(40), 50, 100, np.ones((40, 40), bool), width=7)
     links = {(i, j) for i in range(40) for j in range(i) if 100 * len(sets[i] & sets[j]) >= 50 * len(sets[i] | sets[j])}
     assert {tuple(sorted(p, reverse=True)) for p in found} <= links
 

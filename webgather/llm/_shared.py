@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Whether shuffle files are removed at the end of the execution that made them.
 CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
@@ -39,3 +40,23 @@ def written(df: DataFrame) -> DataFrame:
     finally:
         spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def hot_keys(groups: DataFrame, n_col: str, least: int = 1000, share: int = 1000) -> DataFrame | None:
+    """The rows of groups with n_col above both `least` and one in `share` of its sum: under `share` rows, whatever the data. None if there are none."""
+    total = groups.agg(F.sum(n_col)).first()[0] or 0
+    hot = groups.filter(F.col(n_col) > max(least, total // share)).collect()
+    return groups.sparkSession.createDataFrame(hot, groups.schema) if hot else None
+
+
+def joined(rows: DataFrame, groups: DataFrame, keys: list[str], n_col: str, how: str = "inner") -> DataFrame:
+    """rows with the columns of groups, whose keys are unique and whose n_col is how many rows have the key.
+
+    A key of more than a thousandth of all rows is joined where its rows are, with a broadcast of
+    under a thousand groups; what is shuffled has no such key.
+    """
+    hot = hot_keys(groups, n_col)
+    if hot is None:
+        return rows.join(groups, keys, how)
+    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(groups, keys, how)
+    return rest.unionByName(rows.join(F.broadcast(hot), keys))

@@ -1,7 +1,8 @@
 """Connected components of an edge table, by alternating large-star and small-star steps.
 
-Each step is two aggregates and a join over tables in the shared folder; nothing of the graph
-reaches the driver but a few totals. A star of thousands of leaves sends one minimum per task.
+Each step is two aggregates and two joins over tables in the shared folder; of the graph only
+totals and the nodes with over a thousandth of all edges, under a thousand, reach the driver. The
+edges of such a node are joined where they are.
 """
 
 from __future__ import annotations
@@ -9,12 +10,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from webgather.llm._shared import written
+from webgather.llm._shared import joined, written
 
 
 def _hung(pairs: DataFrame) -> DataFrame:
-    """Each node and the least of itself and its neighbours; pairs: (a, b)."""
-    return pairs.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
+    """Each node, the least of itself and its neighbours, and how many it has; pairs: (a, b)."""
+    return pairs.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"), F.count(F.lit(1)).alias("n"))
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -> DataFrame:
@@ -28,7 +29,7 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", rounds: int = 60) -
     for _ in range(rounds):
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         # an edge that has no larger end here comes from its other end
-        large = written(both.join(_hung(both), "a").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b"))
+        large = written(joined(both, _hung(both), ["a"], "n").filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b"))
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         now = written(small.unionByName(least.select("a", F.col("m").alias("b"))).distinct())

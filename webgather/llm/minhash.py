@@ -1,18 +1,19 @@
 """Near duplicates by min-wise signatures, with sequential Bayesian verification.
 
 Texts with equal shingle sets are folded first. Banded signatures give buckets; every member
-of a bucket is paired with its least document, never with all others. Signatures of a pair are compared
-in batches: after each, the pair is dropped if the posterior chance that its similarity reaches
-the threshold is under `miss`. Survivors are verified on their full shingle sets. Verified
-links give components.
-
-What is left are buckets of several components. A link across two of them needs 3 / 7 of both
-set sizes (at 0.75) in common, out of shingles that more than one component has, so documents
-are counted by those first: an edited copy whose own words alone keep it under the threshold
-meets nobody. The documents that pass this exact bound are compared in full within pools that
-their buckets connect, block by block: a task holds two blocks, counts what all their pairs
-have in common by a matrix product, and sends on links that join components. So hot buckets
-send their members once a block, and no link that the bands can see is left out.
+of a bucket is paired with its least document. Signatures of a pair are compared in batches:
+after each, the pair is dropped if the posterior chance that its similarity reaches the
+threshold is under `miss`. Survivors are verified on their full shingle sets. Verified links
+give components.
+
+What is left are candidates of two components that share a bucket. A link across two of them
+needs 3 / 7 of both set sizes (at 0.75) in common, out of shingles that more than one component
+has, so documents are counted by those first: one that can't reach this exact bound has no
+partner. The others are dealt in blocks within the pools that their buckets connect. A task
+holds two blocks; the candidates among them, which share a band, go through the same batches of
+signatures, and those that survive are verified on their sets. It sends on the links that join
+components, and no pairs. So a hot bucket sends its members once a block, and no link that the
+bands can see is left out.
 
 A link at the threshold is unseen by all bands with chance (1 - t^rows)^bands, 5e-6 as set.
 
@@ -32,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from webgather.llm import _text as X
-from webgather.llm._shared import written
+from webgather.llm._shared import joined, written
 from webgather.llm.components import components
 
 SCHEMA = "doc_id long, n_shingles long, k1 long, k2 long, sketch binary, bands array<long>"
@@ -116,26 +117,50 @@ def sketched(docs: DataFrame, words: int, n_hashes: int, rows_in_band: int, id_c
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body")).mapInArrow(make, SCHEMA)
 
 
-def _likely(pairs: DataFrame, sketches: DataFrame, n_hashes: int, threshold: float, miss: float, batch_size: int = 32) -> DataFrame:
+def _steps(n_hashes: int, threshold: float, miss: float, batch_size: int = 32) -> list[tuple[int, int]]:
+    """After how many signature values which number of matches is needed to go on."""
+    return [(n, least_matches(n, threshold, miss)) for n in range(batch_size, n_hashes + 1, batch_size)]
+
+
+def survivors(x: np.ndarray, y: np.ndarray, steps: list[tuple[int, int]]) -> np.ndarray:
+    """Which pairs (rows of x and y) the batches of signatures leave."""
+    live, matches, done = np.arange(len(x)), np.zeros(len(x), int), 0
+    for n, least in steps:
+        matches = matches + (x[live, done:n] == y[live, done:n]).sum(1)
+        keep = matches >= least
+        live, matches, done = live[keep], matches[keep], n
+    return live
+
+
+def _dealt(pairs: DataFrame, most: int = 10_000) -> DataFrame:
+    """Pairs (a, b) with a share s of b, a hub: of shares with about `most` pairs each."""
+    hubs = written(pairs.groupBy("b").agg(F.count(F.lit(1)).alias("n")))
+    dealt = joined(pairs, hubs, ["b"], "n").withColumn("shares", F.ceil(F.col("n") / most).cast("int"))
+    return dealt.select("a", "b", "shares", F.pmod(F.xxhash64("a"), F.col("shares")).cast("int").alias("s"))
+
+
+def _with_both(dealt: DataFrame, values: DataFrame, name: str) -> DataFrame:
+    """a, b, x, y: the values of both sides of dealt pairs; those of a hub go to each of its shares."""
+    own = values.select(F.col("doc_id").alias("a"), F.col(name).alias("x"))
+    shares = dealt.select("b", "shares").distinct().select("b", F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("s"))
+    hubs = shares.join(values.select(F.col("doc_id").alias("b"), F.col(name).alias("y")), "b")
+    return dealt.join(own, "a").join(hubs, ["b", "s"]).select("a", "b", "x", "y")
+
+
+def _likely(dealt: DataFrame, sketches: DataFrame, n_hashes: int, threshold: float, miss: float) -> DataFrame:
     """Pairs (a, b) that the sequential test leaves."""
-    steps = [(n, least_matches(n, threshold, miss)) for n in range(batch_size, n_hashes + 1, batch_size)]
+    steps = _steps(n_hashes, threshold, miss)
 
     def test(batches):
         for batch in batches:
             x, y = (np.frombuffer(b"".join(v.as_py() for v in batch.column(k)), np.uint8).reshape(-1, n_hashes) for k in (2, 3))
-            live, matches, done = np.arange(len(x)), np.zeros(len(x), int), 0
-            for n, least in steps:
-                matches = matches + (x[live, done:n] == y[live, done:n]).sum(1)
-                keep = matches >= least
-                live, matches, done = live[keep], matches[keep], n
-            yield pa.RecordBatch.from_arrays([batch.column(k).take(pa.array(live)) for k in (0, 1)], names=["a", "b"])
+            live = pa.array(survivors(x, y, steps))
+            yield pa.RecordBatch.from_arrays([batch.column(k).take(live) for k in (0, 1)], names=["a", "b"])
 
-    own = sketches.select(F.col("doc_id").alias("a"), F.col("sketch").alias("x"))
-    other = sketches.select(F.col("doc_id").alias("b"), F.col("sketch").alias("y"))
-    return pairs.join(own, "a").join(other, "b").select("a", "b", "x", "y").mapInArrow(test, "a long, b long")
+    return _with_both(dealt, sketches, "sketch").mapInArrow(test, "a long, b long")
 
 
-def _linked(pairs: DataFrame, texts: DataFrame, words: int, parts: tuple[int, int]) -> DataFrame:
+def _linked(dealt: DataFrame, texts: DataFrame, words: int, parts: tuple[int, int]) -> DataFrame:
     """Pairs whose full shingle sets reach the threshold parts[0] / parts[1]."""
 
     def verify(batches):
@@ -155,24 +180,16 @@ def _linked(pairs: DataFrame, texts: DataFrame, words: int, parts: tuple[int, in
             at = pa.array(np.flatnonzero(keep))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at)], names=["a", "b"])
 
-    first = pairs.join(texts.select(F.col("doc_id").alias("a"), F.col("body").alias("x")), "a")
-    both = first.join(texts.select(F.col("doc_id").alias("b"), F.col("body").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
+    return _with_both(dealt, texts, "body").mapInArrow(verify, "a long, b long")
 
 
 def _pair(x: str, y: str) -> list:
     return [F.greatest(x, y).alias("a"), F.least(x, y).alias("b")]
 
 
-def _with_hubs(placed: DataFrame) -> DataFrame:
-    """Pairs (a > b) of each member of a bucket with its hub, the least document."""
-    hubs = placed.groupBy("bucket").agg(F.min("doc_id").alias("hub"))
-    return placed.join(hubs, "bucket").filter("doc_id <> hub").select(*_pair("doc_id", "hub")).distinct()
-
-
 def _mixed(placed: DataFrame, found: DataFrame) -> DataFrame:
     """The members of buckets that hold more than one component, with their component c."""
-    now = placed.drop("c").join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("bucket", "doc_id", F.coalesce("component_id", "doc_id").alias("c"))
+    now = placed.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("bucket", "doc_id", F.coalesce("component_id", "doc_id").alias("c"))
     mixed = now.groupBy("bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).filter("low <> high").select("bucket")
     return now.join(mixed, "bucket")
 
@@ -195,35 +212,54 @@ def _common_counts(open_: DataFrame, sets: DataFrame, texts: DataFrame, words: i
     return counts.join(sets.select("doc_id", F.col("n_shingles").alias("n")), "doc_id")
 
 
-def _across(open_: DataFrame, counts: DataFrame, similarity: tuple[int, int], block_docs: int = 1024, block_shingles: int = 400_000) -> DataFrame:
-    """Links (a > b) across components of what buckets connect, found among all pairs without sending any."""
+def _across(open_: DataFrame, counts: DataFrame, signed: DataFrame, similarity: tuple[int, int], steps: list[tuple[int, int]], block_docs: int = 1024, block_shingles: int = 400_000) -> DataFrame:
+    """Links (a > b) across components among the candidates of pools, without sending any pair."""
     p, q = similarity
     # a document that can't have enough in common with one of its least possible size has no partner
     able = written(counts.filter(q * F.size("hs") >= p * F.col("n")))
     rows = open_.join(able.select("doc_id"), "doc_id", "left_semi")
-    hubs = rows.groupBy("bucket").agg(F.min("doc_id").alias("hub"))
-    pools = components(rows.join(hubs, "bucket").select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).select(F.col("node").alias("doc_id"), F.col("component_id").alias("pool"))
-    pooled = able.join(pools, "doc_id")
-    size = pooled.groupBy("pool").agg(F.ceil(F.greatest(F.count(F.lit(1)) / block_docs, F.sum(F.size("hs")) / block_shingles)).cast("int").alias("blocks"))
-    dealt = pooled.join(size, "pool").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
-    dealt = dealt.select("pool", "block", "doc_id", "c", "n", "hs", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    keyed = dealt.select("pool", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "doc_id", "c", "n", "hs")
+    hubs = rows.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("members"))
+    pools = components(joined(rows, hubs, ["bucket"], "members").select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).select(F.col("node").alias("doc_id"), F.col("component_id").alias("pool"))
+    pooled = written(able.join(pools, "doc_id").join(signed, "doc_id"))
+    size = pooled.groupBy("pool").agg(F.ceil(F.greatest(F.count(F.lit(1)) / block_docs, F.sum(F.size("hs")) / block_shingles)).cast("int").alias("blocks"), F.count(F.lit(1)).alias("members"))
+    dealt = joined(pooled, size, ["pool"], "members").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+    dealt = dealt.select("pool", "block", "doc_id", "c", "n", "hs", "sketch", "bands", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    keyed = dealt.select("pool", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "doc_id", "c", "n", "hs", "sketch", "bands")
 
     def compare(table: pa.Table) -> pa.Table:
         block, doc, c, n = (table.column(k).to_numpy() for k in ("block", "doc_id", "c", "n"))
-        lists = table.column("hs").combine_chunks()
-        owner = np.repeat(np.arange(len(doc)), np.diff(lists.offsets.to_numpy()))
-        h = lists.flatten().to_numpy()
-        _, term = np.unique(h, return_inverse=True)
-        one, two = np.flatnonzero(block == block.min()), np.flatnonzero(block == block.max())
-        found = _matrix_links(owner, term, n, c, one, two, p, q) if len(doc) > 1 else []
+        found = []
+        if len(doc) > 1:
+            sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(len(doc), -1)
+            bands = table.column("bands").combine_chunks().flatten().to_numpy().reshape(len(doc), -1)
+            one, two = np.flatnonzero(block == block.min()), np.flatnonzero(block == block.max())
+            able_ = candidates(bands[one], bands[two], c[one], c[two])
+            i, j = np.nonzero(able_)
+            able_[:] = False
+            for at in range(0, len(i), 200_000):
+                k = at + survivors(sketch[one[i[at : at + 200_000]]], sketch[two[j[at : at + 200_000]]], steps)
+                able_[i[k], j[k]] = True
+            if able_.any():
+                lists = table.column("hs").combine_chunks()
+                owner = np.repeat(np.arange(len(doc)), np.diff(lists.offsets.to_numpy()))
+                _, term = np.unique(lists.flatten().to_numpy(), return_inverse=True)
+                x, y = able_.any(1), able_.any(0)
+                found = verified_links(owner, term, n, c, one[x], two[y], p, q, able_[np.ix_(x, y)])
         return pa.table({"a": pa.array([int(max(doc[i], doc[j])) for i, j in found], pa.int64()), "b": pa.array([int(min(doc[i], doc[j])) for i, j in found], pa.int64())})
 
     return keyed.groupBy("pool", "low", "high").applyInArrow(compare, "a long, b long")
 
 
-def _matrix_links(owner: np.ndarray, term: np.ndarray, n: np.ndarray, c: np.ndarray, one: np.ndarray, two: np.ndarray, p: int, q: int, width: int = 4096) -> list[tuple[int, int]]:
-    """Pairs (i of one, j of two) that reach p / q and join components, a spanning forest of them."""
+def candidates(x: np.ndarray, y: np.ndarray, c: np.ndarray, d: np.ndarray) -> np.ndarray:
+    """Which rows of x and y, their bands, share one and are of different components (c and d)."""
+    out = np.zeros((len(x), len(y)), bool)
+    for k in range(x.shape[1]):
+        out |= x[:, k][:, None] == y[:, k][None, :]
+    return out & (c[:, None] != d[None, :])
+
+
+def verified_links(owner: np.ndarray, term: np.ndarray, n: np.ndarray, c: np.ndarray, one: np.ndarray, two: np.ndarray, p: int, q: int, asked: np.ndarray, width: int = 4096) -> list[tuple[int, int]]:
+    """The pairs asked for (i of one, j of two) that reach p / q and join components, a spanning forest of them."""
     order = np.argsort(term, kind="stable")
     owner, term = owner[order], term[order]
     place = np.full((2, len(n)), -1)
@@ -239,7 +275,7 @@ def _matrix_links(owner: np.ndarray, term: np.ndarray, n: np.ndarray, c: np.ndar
             sides.append(m)
         common += sides[0] @ sides[1].T
     union = n[one][:, None] + n[two][None, :] - common
-    links = (q * common >= p * union) & (c[one][:, None] != c[two][None, :])
+    links = asked & (q * common >= p * union) & (c[one][:, None] != c[two][None, :])
     root: dict[int, int] = {}
 
     def top(x: int) -> int:
@@ -260,31 +296,34 @@ def _matrix_links(owner: np.ndarray, term: np.ndarray, n: np.ndarray, c: np.ndar
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int] = (75, 100), n_hashes: int = 128, rows_in_band: int = 4, miss: float = 1e-6, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id (the least id reachable), kept for every row of docs."""
     threshold = similarity[0] / similarity[1]
+    steps = _steps(n_hashes, threshold, miss)
     sets = written(sketched(docs, words, n_hashes, rows_in_band, id_col, text_col))
-    named = sets.filter("n_shingles > 0 and doc_id is not null")
-    folded = named.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"))
-    leads = sets.join(folded.select(F.col("rep").alias("doc_id"), "k1", "k2"), ["doc_id", "k1", "k2"], "left_semi").filter("n_shingles > 0")
-    sketches = leads.select("doc_id", "sketch")
+    # sets that several rows have, by their least document
+    copies = written(sets.filter("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("rows")).filter("rows > 1 and rep is not null"))
+    folded = joined(sets.select("doc_id", "n_shingles", "k1", "k2"), copies, ["k1", "k2"], "rows", "left")
+    folded = written(folded.withColumn("rep", F.when(F.col("n_shingles") > 0, F.coalesce("rep", "doc_id"))))
+    others = folded.filter("rep <> doc_id").select("doc_id", "k1", "k2")
+    leads = sets.filter("n_shingles > 0 and doc_id is not null").join(others, ["doc_id", "k1", "k2"], "left_anti")
+    signed = leads.select("doc_id", "sketch", "bands")
     members = leads.select("doc_id", F.explode("bands").alias("bucket"))
-    several = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("bucket")
-    placed = written(members.join(several, "bucket")).withColumn("c", F.col("doc_id"))
-    # all that follows needs the texts of these documents alone
+    several = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("members"), F.min("doc_id").alias("hub")).filter("members > 1")
+    placed = written(joined(members, written(several), ["bucket"], "members").select("bucket", "doc_id", "hub"))
+    # all that follows needs the texts and signatures of these documents alone
+    some = written(placed.select("doc_id").distinct())
     own_id = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
-    texts = written(own_id.join(placed.select("doc_id").distinct(), "doc_id", "left_semi"))
-    pairs = _with_hubs(placed)
-    edges = written(_linked(_likely(pairs, sketches, n_hashes, threshold, miss), texts, words, similarity).distinct())
+    texts = written(own_id.join(some, "doc_id", "left_semi"))
+    signed = written(signed.join(some, "doc_id", "left_semi"))
+    pairs = written(_dealt(written(placed.filter("doc_id <> hub").select(*_pair("doc_id", "hub")).distinct())))
+    likely = written(_likely(pairs, signed, n_hashes, threshold, miss).distinct())
+    edges = written(_linked(_dealt(likely), texts, words, similarity).distinct())
     found = components(edges)
-    placed = _mixed(placed, found)
-    open_ = written(placed)
+    open_ = written(_mixed(placed.select("bucket", "doc_id"), found))
     ours = written(_common_counts(open_, sets, texts, words))
-    more = written(_across(open_, ours, similarity).distinct())
+    more = written(_across(open_, ours, signed, similarity, steps).distinct())
     if not more.isEmpty():
         found = components(edges.unionByName(more))
     return (
-        sets.select("doc_id", "n_shingles", "k1", "k2")
-        .join(folded, ["k1", "k2"], "left")
-        .withColumn("rep", F.when(F.col("n_shingles") > 0, F.col("rep")))
-        .join(found.withColumnRenamed("node", "rep"), "rep", "left")
+        folded.join(found.withColumnRenamed("node", "rep"), "rep", "left")
         .select("doc_id", "n_shingles", F.coalesce("component_id", "rep", "doc_id").alias("component_id"))
         .withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
     )
