@@ -3,7 +3,8 @@
 A 128-bit content hash names a group and the bytes inside a group are compared, by
 grouping on hash and text together, before a group is believed. The text crosses the
 network once, after a map-side aggregate has folded equal texts of a task, so a text
-that a third of all rows share sends one row per task. The join back carries hashes only.
+that a third of all rows share sends one row per task. The join back carries hashes and
+groups of several rows only; rows of a very large group are joined where they are.
 
 Defined cases: a null text is the empty text; empty texts equal each other; of rows with
 one id each row is returned; a null id never wins over an id, and stays only if all ids
@@ -15,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from webgather.llm._shared import joined, written
+
 
 def _hashes(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     text: Column = F.coalesce(F.col(text_col), F.lit(""))
@@ -43,11 +46,11 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
         "keep_id",
         F.when(F.col("texts") > 1, F.raise_error(F.lit("two texts share both hashes")).cast("bigint")).otherwise(F.col("group_size")).alias("group_size"),
     )
-    return (
-        rows.drop("body")
-        .join(groups, ["digest", "text_sha256"])
-        .select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
-    )
+    copies = written(groups.filter("group_size > 1"))
+    found = joined(rows.drop("body"), copies, ["digest", "text_sha256"], "group_size", "left")
+    lone = F.col("group_size").isNull()
+    found = found.withColumn("keep_id", F.when(lone, F.col("doc_id")).otherwise(F.col("keep_id")))
+    return found.select("doc_id", "keep_id", F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"), F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
 
 
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest") -> DataFrame:
