@@ -4,22 +4,28 @@ Texts and items are normalised alike: A-Z become a-z, ASCII other than letters a
 parts words, words are joined by one space. All windows of the items go into one automaton
 and each text is scanned once; a hit's place among the words leads back to its place in the
 original text. The automaton is built on the workers from the item texts, whose size is
-checked: items of more than `most_bytes` are dealt into blocks, each with a scan of its own.
+checked: items of more than `most_bytes` are dealt into blocks, one automaton at a time. The
+rows then go through the blocks one after the other, each adding the words it hits and the
+items it finds to those of the blocks before, so the result is that of one block.
 
 Defined cases: a null or wordless text has no words, no hits and isn't contaminated; a null
-or wordless item has no window; items with equal windows are all reported; rows with one id
-stay apart while items fit one block (ids must be unique beyond); other columns are ignored.
+or wordless item has no window; items with equal windows are all reported; rows with one id,
+or without one, stay apart; an empty table of either kind gives no hits; other columns are
+ignored, whatever their names.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, StringType, StructType
+
+from webgather.llm._shared import written
 
 #: Lower case for A-Z, a space for what parts words, all else unchanged.
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -92,55 +98,46 @@ def _blocks(items: DataFrame, item_id: str, item_text: str, most_bytes: int) ->
     return [items.sparkSession.sparkContext.broadcast(tuple(sorted((r["item"], r["body"]) for r in p.collect()))) for p in parts]
 
 
-def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", size: int = 13, most_bytes: int = MOST_BYTES) -> DataFrame:
-    """doc_id, n_words, n_hit, items found, spans hit (code points of the original) for every row of docs."""
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
-    parts = []
-    for held in _blocks(items, item_id, item_text, most_bytes):
+def _scanned(docs: DataFrame, text: int, blocks: list, size: int, finish: Callable, schema) -> DataFrame:
+    """finish(batch of docs, (words, mask of hit words, items) of each row), after the rows have gone through all blocks."""
+    n, names = len(docs.columns), list(docs.columns)
+    state = StructType([*docs.schema.fields]).add("_hit" + "_".join(names), BinaryType()).add("_items" + "_".join(names), ArrayType(StringType()))
+    for k, held in enumerate(blocks):
+        last = k + 1 == len(blocks)
 
-        def search(batches, held=held):
+        def search(batches, held=held, k=k, last=last):
             machine = _automaton(held.value, size)
             for batch in batches:
-                n_words, n_hit, found, spans = [], [], [], []
-                for text in batch.column(1):
-                    text = text.as_py()
-                    n, hit, ids = scan(text, machine)
-                    n_words.append(n)
-                    n_hit.append(int(hit.sum()))
-                    found.append(sorted(ids))
-                    spans.append(_original_spans(text, hit) if ids else [])
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0), pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array(found, pa.list_(pa.string())), pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))],
-                    names=["doc_id", "n_words", "n_hit", "items", "spans"],
-                )
-
-        parts.append(rows.mapInArrow(search, SCHEMA))
-    return parts[0] if len(parts) == 1 else _united(parts, rows)
-
-
-def _united(parts: list[DataFrame], rows: DataFrame) -> DataFrame:
-    """Hits of all blocks by document: spans are joined where they overlap, words in them counted again."""
-    one = parts[0]
-    for p in parts[1:]:
-        one = one.unionByName(p)
-    hits = one.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
-
-    def recount(batches):
-        for batch in batches:
-            out_hit, out_spans = [], []
-            for spans, text in zip(batch.column(2), batch.column(3), strict=True):
-                pieces: list[list[int]] = []
-                for s in sorted((x["start"], x["end"]) for x in spans.as_py() or []):
-                    if pieces and s[0] <= pieces[-1][1]:
-                        pieces[-1][1] = max(pieces[-1][1], s[1])
-                    else:
-                        pieces.append(list(s))
-                text = text.as_py() or ""
-                out_hit.append(sum(len(words_of(text[a:b])) for a, b in pieces))
-                out_spans.append([{"start": a, "end": b} for a, b in pieces])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(4), pa.array(out_hit, pa.int64()), batch.column(1), pa.array(out_spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))], names=["doc_id", "n_words", "n_hit", "items", "spans"])
-
-    return hits.join(rows, "doc_id").select("doc_id", "items", "spans", "body", "n_words").mapInArrow(recount, SCHEMA)
+                found = []
+                for i, body in enumerate(batch.column(text)):
+                    words, hit, items = scan(body.as_py(), machine)
+                    if k:
+                        hit |= np.unpackbits(np.frombuffer(batch.column(n)[i].as_py(), np.uint8), count=words).astype(bool)
+                        items.update(batch.column(n + 1)[i].as_py())
+                    found.append((words, hit, items))
+                if last:
+                    yield finish(pa.RecordBatch.from_arrays(batch.columns[:n], names=names), found)
+                else:
+                    masks, items = pa.array([np.packbits(h).tobytes() for _, h, _ in found], pa.binary()), pa.array([sorted(i) for _, _, i in found], pa.list_(pa.string()))
+                    yield pa.RecordBatch.from_arrays([*batch.columns[:n], masks, items], names=state.names)
+
+        docs = docs.mapInArrow(search, schema if last else state)
+        if not last:
+            docs = written(docs)
+    return docs
+
+
+def contamination(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", size: int = 13, most_bytes: int = MOST_BYTES) -> DataFrame:
+    """doc_id, n_words, n_hit, items found, spans hit (code points of the original) for every row of docs."""
+
+    def report(batch, found):
+        spans = [_original_spans(text.as_py(), hit) if ids else [] for text, (_, hit, ids) in zip(batch.column(1), found, strict=True)]
+        columns = [pa.array([n for n, _, _ in found], pa.int64()), pa.array([int(hit.sum()) for _, hit, _ in found], pa.int64()), pa.array([sorted(ids) for _, _, ids in found], pa.list_(pa.string()))]
+        places = pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))
+        return pa.RecordBatch.from_arrays([batch.column(0), *columns, places], names=["doc_id", "n_words", "n_hit", "items", "spans"])
+
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("body"))
+    return _scanned(rows, 1, _blocks(items, item_id, item_text, most_bytes), size, report, SCHEMA)
 
 
 def flagged(found: DataFrame, one_in: int = 20) -> DataFrame:
@@ -149,20 +146,9 @@ def flagged(found: DataFrame, one_in: int = 20) -> DataFrame:
 
 
 def uncontaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = 13, one_in: int = 20, most_bytes: int = MOST_BYTES) -> DataFrame:
-    """The rows of docs that aren't contaminated, all columns as they were: one block of items moves no row."""
-    blocks = _blocks(items, "item_id", "text", most_bytes)
-    if len(blocks) > 1:
-        bad = flagged(contamination(docs, items, id_col, text_col, size=size, most_bytes=most_bytes), one_in).filter("contaminated").select(F.col("doc_id").alias("_bad"))
-        return docs.join(bad, docs[id_col] == F.col("_bad"), "left_anti")
-    held, at = blocks[0], docs.columns.index(text_col)
-
-    def keep(batches):
-        machine = _automaton(held.value, size)
-        for batch in batches:
-            clean = []
-            for text in batch.column(at):
-                n, hit, _ = scan(text.as_py(), machine)
-                clean.append(not (hit.any() and one_in * int(hit.sum()) >= n))
-            yield batch.filter(pa.array(clean, pa.bool_()))
-
-    return docs.mapInArrow(keep, docs.schema)
+    """The rows of docs that aren't contaminated, all columns as they were: no row moves to another task."""
+
+    def clean(batch, found):
+        return batch.filter(pa.array([not (hit.any() and one_in * int(hit.sum()) >= n) for n, hit, _ in found], pa.bool_()))
+
+    return _scanned(docs, docs.columns.index(text_col), _blocks(items, "item_id", "text", most_bytes), size, clean, docs.schema)
