@@ -10,7 +10,7 @@ The sample is the `sample_docs` documents of each language with the least hash o
 at most `sample_bytes` bytes of whole texts. Only text and language are learned from.
 
 Defined cases: a null text, or one with no letter, is `und` with score 0; ties go to the
-language first by name; with nothing to learn from every row is `und`; other columns are ignored.
+language first by name; of rows with one id those with a language and a text are learned from; with nothing to learn from every row is `und`; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,7 +33,7 @@ def sample(docs: DataFrame, usable: Column, id_col: str = "doc_id", text_col: st
     order = Window.partitionBy("lang").orderBy("h", "doc_id")
     ids = rows.filter(usable & F.col("lang").isNotNull() & F.col("doc_id").isNotNull()).select("doc_id", "lang", F.xxhash64("doc_id").alias("h"))
     chosen = ids.withColumn("k", F.row_number().over(order)).filter(F.col("k") <= sample_docs).select("doc_id").distinct()
-    return rows.join(F.broadcast(chosen), "doc_id", "left_semi").filter(F.col("body").isNotNull()).select("lang", "body", F.xxhash64("doc_id").alias("h"), "doc_id")
+    return rows.filter(usable & F.col("lang").isNotNull() & F.col("body").isNotNull()).join(F.broadcast(chosen), "doc_id", "left_semi").select("lang", "body", F.xxhash64("doc_id").alias("h"), "doc_id")
 
 
 class ContextTrees:
@@ -82,7 +82,7 @@ class ContextTrees:
             table, row_of = np.concatenate([table, rows]), wider
             del rows
         self.order, self.row_of = order, row_of
-        self.bits = (-np.log2(np.maximum(table, 1e-30))).astype(np.float16).reshape(table.shape[0] * n, len(self.langs))
+        self.bits = (-np.log2(np.maximum(table, 1e-30))).reshape(table.shape[0] * n, len(self.langs))
 
     def lengths(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """Bits of each row's code under each language."""
@@ -99,7 +99,7 @@ class ContextTrees:
         cell = self.row_of[context].astype(np.int64) * self.n + s
         full = offsets[1:] > offsets[:-1]
         if full.any():
-            out[full] = np.add.reduceat(self.bits[cell].astype(np.float32), offsets[:-1][full], axis=0)
+            out[full] = np.add.reduceat(self.bits[cell], offsets[:-1][full], axis=0)
         return out
 
 
