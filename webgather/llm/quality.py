@@ -158,12 +158,12 @@ def _map_stats(batches, model: Discriminant | None):
 def learn(docs: DataFrame, labels: DataFrame, usable: Column, label_col: str = "quality", sample_rows: int = 20_000) -> Discriminant:
     """A fit to the sampled labels among those that `usable` (over doc_id) lets in."""
     chosen = (
-        labels.select("doc_id", F.col(label_col).cast("int").alias("label"))
+        labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label"))
         .filter(usable & F.col("doc_id").isNotNull() & F.col("label").isin(0, 1))
         .orderBy(F.xxhash64("doc_id"), "doc_id", "label")
         .limit(sample_rows)
     )
-    rows = docs.select("doc_id", F.col("text").alias("body")).join(F.broadcast(chosen), "doc_id")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("body")).join(F.broadcast(chosen), "doc_id")
     key = F.struct("doc_id", "label").alias("key")
     found = rows.select(key, "body").mapInArrow(lambda b: _map_stats(b, None), "key struct<doc_id:long,label:int>, value array<double>").collect()
     found.sort(key=lambda r: (r["key"]["doc_id"], r["key"]["label"], r["value"]))
