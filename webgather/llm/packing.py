@@ -71,9 +71,10 @@ class Encoder:
             a = b
 
     def __call__(self, text: str) -> bytes:
-        if UNUSUAL.search(text) or not is_normalized("NFC", text):
+        lower = text.lower()  # folding can leave a text that isn't composed
+        if UNUSUAL.search(text) or not is_normalized("NFC", text) or not is_normalized("NFC", lower):
             return self.whole(text)
-        words = text.lower().split()
+        words = lower.split()
         known, older = self.known, self.older
         letters: list[str] = []
         others: list[str] = []
@@ -176,20 +177,43 @@ def best_fit(histogram: dict[int, int], size: int) -> Counter:
     return full
 
 
-def _best_swap(giver: tuple, taker: tuple, room: int) -> tuple[int, tuple, tuple]:
-    """(gain of the taker's fill, what it gets, what it gives back), the largest gain that fits."""
-    best = (0, (), ())
-    ones = sorted(set(giver))
-    twos = {tuple(sorted((giver[i], giver[j]))) for i in range(len(giver)) for j in range(i)} if len(giver) <= 40 else set()
-    back = sorted(set(taker))
-    back_twos = {tuple(sorted((taker[i], taker[j]))) for i in range(len(taker)) for j in range(i)} if len(taker) <= 40 else set()
-    for got, given in (([(x,) for x in ones], [()]), ([(x,) for x in ones], [(y,) for y in back]), (list(twos), [(y,) for y in back]), ([(x,) for x in ones], list(back_twos))):
-        for g in got:
-            for h in given:
-                gain = sum(g) - sum(h)
-                if best[0] < gain <= room:
-                    best = (gain, g, h)
-    return best
+@lru_cache(maxsize=100_000)
+def _amounts(bin_: tuple) -> tuple[dict[int, tuple], dict[int, tuple]]:
+    """What one piece of a bin, and what two, can amount to, each with pieces that do."""
+    ones = {x: (x,) for x in bin_}
+    times = Counter(bin_)
+    kinds = sorted(times)
+    twos = {x + y: (y, x) for i, x in enumerate(kinds) for y in kinds[: i + 1] if x != y or times[x] > 1}
+    return ones, twos
+
+
+class _Takers:
+    """What underfull bins can give back, as columns: (room, amount, bin, pieces given back)."""
+
+    def __init__(self, bins: list[tuple], size: int):
+        rows = []
+        for k, b in enumerate(bins):
+            ones, twos = _amounts(b)
+            rows += [(size - sum(b), 0, k, 0, ())] + [(size - sum(b), y, k, 1, p) for y, p in ones.items()] + [(size - sum(b), y, k, 2, p) for y, p in twos.items()]
+        self.bins, self.given = bins, [r[4] for r in rows]
+        self.room, self.amount, self.owner, self.count = np.array([r[:4] for r in rows], np.int64).reshape(-1, 4).T
+
+    def best(self, giver: int, fills: np.ndarray, there: np.ndarray, alone: bool) -> tuple[int, tuple, tuple, int] | None:
+        """(gain, what the taker gets, what it gives back, taker) of the largest gain that fits; one for two, two for one, one for one or a move."""
+        allowed = (fills >= fills[giver])[self.owner] & there[self.owner]
+        if alone:  # a bin can't swap with itself
+            allowed &= self.owner != giver
+        best = None
+        for pieces, most in zip(_amounts(self.bins[giver]), (2, 1), strict=True):
+            for amount, got in pieces.items():
+                gain = amount - self.amount
+                # two pieces go for one in return
+                fits = allowed & (gain > 0) & (gain <= self.room) & (self.count <= most) & ((most == 2) | (self.count == 1))
+                if fits.any():
+                    k = int(np.argmax(np.where(fits, gain * (1 << 20) + fills[self.owner], -1)))
+                    if best is None or (gain[k], fills[self.owner[k]]) > (best[0], fills[best[3]]):
+                        best = (int(gain[k]), got, self.given[k], int(self.owner[k]))
+        return best
 
 
 def _changed(bin_: tuple, out: tuple, into: tuple) -> tuple:
@@ -199,39 +223,39 @@ def _changed(bin_: tuple, out: tuple, into: tuple) -> tuple:
     return tuple(sorted([*rest, *into], reverse=True))
 
 
-def swap_search(bins: Counter, size: int, steps: int = 400, reach: int = 60) -> Counter:
+def swap_search(bins: Counter, size: int, steps: int | None = None) -> Counter:
     """Swaps that raise the sum of squared fills, emptying the least filled bins first.
 
-    It ends at the least number of bins that could do, or when no swap among the `reach` least
-    filled classes helps, or after `steps` swaps of classes.
+    It ends at the least number of bins that could do, or when no swap of two underfull classes
+    helps; `steps`, if set, ends it after so many swaps of classes. Each swap raises a sum that
+    is bounded, so it ends.
     """
     bins = Counter(bins)
     least = -(-sum(sum(b) * n for b, n in bins.items()) // size)
-    for _ in range(steps):
-        if sum(bins.values()) <= least:
-            break
-        under = sorted((b for b in bins if sum(b) < size), key=lambda b: (sum(b), b))[:reach]
-        for giver in under[:8]:
-            options = []
-            for taker in under:
-                if taker == giver and bins[giver] < 2 or sum(taker) < sum(giver):
-                    continue
-                gain, got, given = _best_swap(giver, taker, size - sum(taker))
-                if gain:
-                    options.append((gain, got, given, taker))
-            if options:
-                _, got, given, taker = max(options, key=lambda o: (o[0], sum(o[3])))
-                n = bins[giver] // 2 if taker == giver else min(bins[giver], bins[taker])
-                for old in (giver, taker):
+    total, done, now = sum(bins.values()), 0, -1
+    while total > least and now != done:
+        now = done
+        under = sorted((b for b in bins if sum(b) < size), key=lambda b: (sum(b), b))
+        fills, there, takers = np.array([sum(b) for b in under], np.int64), np.ones(len(under), bool), _Takers(under, size)
+        for k, giver in enumerate(under):
+            if total <= least or steps is not None and done >= steps:
+                break
+            found = takers.best(k, fills, there, bins[giver] < 2) if there[k] else None
+            if found:
+                _, got, given, at = found
+                taker = under[at]
+                n = bins[giver] // 2 if at == k else min(bins[giver], bins[taker])
+                for old, place in ((giver, k), (taker, at)):
                     bins[old] -= n
+                    there[place] = bins[old] > 0
                     if not bins[old]:
                         del bins[old]
                 for new in (_changed(giver, got, given), _changed(taker, given, got)):
                     if new:
                         bins[new] += n
-                break
-        else:
-            break
+                    else:
+                        total -= n
+                done += 1
     return bins
 
 
