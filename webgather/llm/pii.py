@@ -7,9 +7,9 @@ in rounds, a context by the share of its instances believed to be of a kind, an
 is no seed by the mean of its contexts. Loose tokens next to a context that is scored high and
 that several different seeds support become spans of that kind.
 
-Defined cases: a null text is empty and has no spans; rows with one id are told apart only if
-their spans differ, so ids should be unique; equal spans are reported once a row; an empty table
-gives an empty result; other columns are ignored.
+Defined cases: a null text is empty and has no spans; rows with one id, and equal rows, stay
+apart; equal spans are reported once a row; an empty table gives an empty result; other columns
+are ignored.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from webgather.llm._shared import written
+from webgather.llm._shared import joined, written
 
 KINDS = ("email", "ip", "card", "phone")
 EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
@@ -30,6 +30,7 @@ PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 #: Tokens that look like identifiers: an address with a spelt sign, or a number of seven digits or more with its marks.
 LOOSE = re.compile(r"[A-Za-z0-9._%+-]+ ?(?:@|\(at\)|\[at\]) ?[A-Za-z0-9.-]+|\+?\(?[0-9](?:[ ().-]{0,2}[0-9]){5,}")
 WORD = re.compile(r"[^\W\d_]+")
+#: Characters looked at first for the words of a context; more are, where these cut a word or hold too few.
 NEAR = 48
 
 _ENTRY = "array<struct<kind:string,start:int,end:int,instance:string,contexts:array<string>>>"
@@ -71,13 +72,24 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
     return out
 
 
+def _before(text: str, a: int) -> list[str]:
+    """The last two words that end before a, whole."""
+    near = NEAR
+    while True:
+        low = max(0, a - near)
+        found = [m for m in WORD.finditer(text, low, a)][-2:]
+        if low == 0 or (len(found) == 2 and found[0].start() > low):
+            return [m[0].lower() for m in found]
+        near *= 4
+
+
 def _contexts(text: str, a: int, b: int) -> list[str]:
-    before = [w.lower() for w in WORD.findall(text[max(0, a - NEAR) : a])][-2:]
-    after = [w.lower() for w in WORD.findall(text[b : b + NEAR])][:1]
+    before = _before(text, a)
+    after = WORD.search(text, b)
     mark = text[max(0, a - 2) : a].strip()[-1:]
     mark = mark if mark in (":", "=", "#", "(") else ""
     out = [f"<{before[-1]}{mark}"] if before else []
-    return out + ([f"<{before[0]} {before[1]}{mark}"] if len(before) > 1 else []) + ([f">{after[0]}"] if after else [])
+    return out + ([f"<{before[0]} {before[1]}{mark}"] if len(before) > 1 else []) + ([f">{after[0].lower()}"] if after else [])
 
 
 def _kinds_of(token: str) -> list[str]:
@@ -112,15 +124,15 @@ def context_scores(found: DataFrame, rounds: int = 3, doubt: float = 2.0) -> Dat
     parts = [found.select(F.explode(c).alias("x"), F.lit(c == "seeds").alias("seed")).select("x.kind", "x.instance", "seed", F.explode("x.contexts").alias("context")) for c in ("seeds", "loose")]
     edges = written(parts[0].unionByName(parts[1]).groupBy("context", "instance", "kind", "seed").agg(F.count(F.lit(1)).alias("n")))
     # a loose token stands once for each kind it could be, and counts as one
-    total = edges.groupBy("context", "instance", "seed").agg(F.max("n").alias("n")).groupBy("context").agg(F.sum("n").alias("total"))
+    total = written(edges.groupBy("context", "instance", "seed").agg(F.max("n").alias("n")).groupBy("context").agg(F.sum("n").alias("total")))
     believed = edges.withColumn("belief", F.col("seed").cast("double"))
     for k in range(rounds):
-        scored = believed.groupBy("context", "kind").agg(F.sum(F.col("n") * F.col("belief")).alias("b"), F.count_if("seed").alias("support")).join(total, "context")
-        scored = scored.select("context", "kind", (F.col("b") / (F.col("total") + doubt)).alias("belief"), "support")
+        scored = believed.groupBy("context", "kind").agg(F.sum(F.col("n") * F.col("belief")).alias("b"), F.count_if("seed").alias("support"), F.count(F.lit(1)).alias("uses")).join(total, "context")
+        scored = written(scored.select("context", "kind", (F.col("b") / (F.col("total") + doubt)).alias("belief"), "support", "uses"))
         if k + 1 < rounds:
-            near = edges.join(scored.select("context", "kind", F.col("belief").alias("c")), ["context", "kind"])
-            means = near.groupBy("instance", "kind").agg((F.sum(F.col("n") * F.col("c")) / F.sum("n")).alias("mean"))
-            believed = edges.join(means, ["instance", "kind"]).select("context", "instance", "kind", "seed", "n", F.when(F.col("seed"), 1.0).otherwise(F.col("mean")).alias("belief"))
+            near = joined(edges, scored.select("context", "kind", F.col("belief").alias("c"), "uses"), ["context", "kind"], "uses")
+            means = written(near.groupBy("instance", "kind").agg((F.sum(F.col("n") * F.col("c")) / F.sum("n")).alias("mean"), F.count(F.lit(1)).alias("places")))
+            believed = joined(edges, means, ["instance", "kind"], "places").select("context", "instance", "kind", "seed", "n", F.when(F.col("seed"), 1.0).otherwise(F.col("mean")).alias("belief"))
     return scored
 
 
@@ -130,7 +142,9 @@ def find_personal_data(docs: DataFrame, belief: float = 0.8, support: int = 5, r
     found = written(rows.mapInArrow(_scan, SCHEMA))
     trusted = context_scores(found, rounds).filter((F.col("belief") >= belief) & (F.col("support") >= support)).select("context", "kind", "belief")
     loose = found.select("row", F.explode("loose").alias("x")).select("row", "x.kind", "x.start", "x.end", F.explode("x.contexts").alias("context"))
-    best = loose.join(trusted, ["context", "kind"]).groupBy("row", "start", "end").agg(F.max_by("kind", F.struct("belief", "kind")).alias("kind"))
+    # how many loose tokens a trusted context has decides how it is joined
+    trusted = written(trusted.join(loose.groupBy("context", "kind").agg(F.count(F.lit(1)).alias("met")), ["context", "kind"]))
+    best = joined(loose, trusted, ["context", "kind"], "met").groupBy("row", "start", "end").agg(F.max_by("kind", F.struct("belief", "kind")).alias("kind"))
     added = best.groupBy("row").agg(F.array_sort(F.collect_list(F.struct("kind", "start", "end"))).alias("added"))
     bare = F.transform("seeds", lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["end"].alias("end")))
     none = F.array().cast("array<struct<kind:string,start:int,end:int>>")
