@@ -242,10 +242,10 @@ def _gathered(batches, dtype: np.dtype, kind: int) -> np.ndarray:
     return np.concatenate(found) if found else np.empty(0, dtype)
 
 
-def _settle_runs(batches, spec: Spec):
-    """Equal runs: repeats (kind 1); keys of the first runs of anchors that have several (kind 2); the hot anchors (kind 4)."""
-    first, later = first_of_equal(_gathered(batches, RUN, 0), ("fp", "r"), spec.by_start)
-    groups = [packed(1, repeats_of(later["doc"], later["s"], later["n"]), doc_bucket(later["doc"], spec))]
+def _settle_runs(blobs, spec: Spec):
+    """Equal runs: repeats, and as blobs the keys of the first runs of anchors that have several (kind 2) and the hot anchors (kind 4)."""
+    first, later = first_of_equal(_gathered(blobs, RUN, 0), ("fp", "r"), spec.by_start)
+    groups = []
     if len(first):
         new_fp = np.concatenate([[True], first["fp"][1:] != first["fp"][:-1]])
         new_run = new_fp | np.concatenate([[True], first["r"][1:] != first["r"][:-1]])
@@ -254,7 +254,7 @@ def _settle_runs(batches, spec: Spec):
         for kind, keys in ((2, run_key(first[kinds[anchor] > 1])), (4, first["fp"][new_fp][kinds > spec.hot] if spec.hot else [])):
             if len(keys):
                 groups.append(([kind], [0], [keys.tobytes()]))
-    yield blob_batch(*groups)
+    yield repeats_of(later["doc"], later["s"], later["n"]), groups
 
 
 def merged_spans(s: np.ndarray, e: np.ndarray) -> np.ndarray:
@@ -301,29 +301,30 @@ def repeated_spans(docs: DataFrame, spec: Spec, opened: Callable, resolve: Calla
 
     docs: doc_id (not null) and body. opened(runs, spec, hot anchors) turns open runs, as
     runs_of gives them, into blobs of kind 3 and repeats of kind 1; resolve(blobs of a bucket,
-    spec) gives repeats of kind 1.
+    spec) yields repeats, and further blobs.
     """
     share = docs.sparkSession.sparkContext.broadcast
     repeated = share(marked_keys(docs, lambda b: _anchors(b, spec), spec.depth, spec.bits))
     sent = docs.mapInArrow(lambda b: _candidates(b, spec, repeated.value), BLOBS)
 
-    def through(f):
+    def settled_by(f):
         def run(batches):
             blobs = list(batches)
-            for b in blobs:  # repeats that a task found by itself go through
-                own = b.filter(pa.compute.equal(b.column(0), 1))
-                if own.num_rows:
-                    yield own
-            yield from f(blobs, spec)
+            found, groups = [_gathered(blobs, FOUND, 1)], []  # repeats that a task found by itself go on
+            for repeats, others in f(blobs, spec):
+                found.append(repeats)
+                groups += others
+            found = np.concatenate(found)
+            yield blob_batch(packed(1, found, doc_bucket(found["doc"], spec)), *groups)
 
         return run
 
-    settled = written(_dealt(sent, spec, through(_settle_runs), BLOBS))
+    settled = written(_dealt(sent, spec, settled_by(_settle_runs), BLOBS))
     done, marked = settled.filter("kind = 1"), _keys_of_kind(settled, 2)
     if marked is not None:
         marks = share((marked, _keys_of_kind(settled, 4)))
         contents = docs.mapInArrow(lambda b: opened(runs_of(b, spec, repeated.value, marks.value[0]), spec, marks.value[1]), BLOBS)
-        done = done.unionByName(_dealt(contents, spec, through(resolve), BLOBS, spec.finer))
+        done = done.unionByName(_dealt(contents, spec, settled_by(resolve), BLOBS, spec.finer))
     return _dealt(done, spec, lambda b: _by_document(b, spec), "doc_id long, spans binary")
 
 

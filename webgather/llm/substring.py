@@ -48,7 +48,7 @@ def _opened(found, spec: R.Spec, hot: Marked | None, flush: int = 1_500_000):
 
 def _grouped(blobs, spec: R.Spec):
     _, later = R.first_of_equal(R._gathered(blobs, R.WINDOW, 3), ("a", "b"), True)
-    yield R.blob_batch(R.packed(1, R.repeats_of(later["doc"], later["s"], 1), R.doc_bucket(later["doc"], spec)))
+    yield R.repeats_of(later["doc"], later["s"], 1), []
 
 
 def remove_repeated_windows(docs: DataFrame, window: int = 20, gram: int = 5, depth: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
