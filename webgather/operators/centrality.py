@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from webgather.operators.graph import step_table
 
 
-def distances(edges: DataFrame, sources: DataFrame, most: int = 1000, every: int = 8) -> DataFrame:
-    """source, node, d: from each source (id) along the edges. The pair table is the size of the answer."""
+def distances(edges: DataFrame, sources: DataFrame, most: int | None = None, every: int = 8) -> DataFrame:
+    """source, node, d: from each source (id) along the edges, up to `most` if it is set. The pair table is the size of the answer."""
     reached = step_table(sources.select(F.col("id").alias("source"), F.col("id").alias("node"), F.lit(0).alias("d")))
     border, d, parts = reached, 0, 0
-    while d < most:
+    while most is None or d < most:
         d += 1
         new = border.join(edges, border.node == edges.src).select("source", F.col("dst").alias("node")).distinct().join(reached, ["source", "node"], "left_anti").select("source", "node", F.lit(d).alias("d"))
         border = step_table(new)
@@ -58,14 +60,15 @@ def harmonic_exact(edges: DataFrame, nodes: DataFrame, sources: DataFrame | None
     return (out if scale is None else out.crossJoin(F.broadcast(scale)).withColumn("harmonic", F.col("harmonic") * F.col("scale"))).select("id", "harmonic")
 
 
-def harmonic_sketch(edges: DataFrame, nodes: DataFrame, lg_k: int = 12, most: int = 200) -> tuple[DataFrame, DataFrame]:
+def harmonic_sketch(edges: DataFrame, nodes: DataFrame, lg_k: int = 12, most: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(id, harmonic, distribution d and pairs) from HyperLogLog balls grown by one hop a round.
 
-    Each round sends every ball along the edges once: nodes' memory is a sketch, not a set.
+    Each round sends every ball along the edges once: nodes' memory is a sketch, not a set. It
+    ends when no ball grows, or after `most` hops if that is set.
     """
     balls = step_table(nodes.groupBy("id").agg(F.hll_sketch_agg("id", lg_k).alias("ball")).withColumn("size", F.lit(1.0)).withColumn("harmonic", F.lit(0.0)))
     totals = [(0, balls.agg(F.sum("size").alias("s")).first()["s"] or 0.0)]
-    for d in range(1, most):
+    for d in count(1) if most is None else range(1, most + 1):
         sent = edges.join(balls.select(F.col("id").alias("src"), "ball"), "src").select(F.col("dst").alias("id"), "ball").unionByName(balls.select("id", "ball"))
         grown = sent.groupBy("id").agg(F.hll_union_agg("ball").alias("ball")).withColumn("now", F.hll_sketch_estimate("ball").cast("double"))
         balls = step_table(grown.join(balls.select("id", "size", "harmonic"), "id").select("id", "ball", F.greatest("now", "size").alias("size"), (F.col("harmonic") + F.greatest(F.col("now") - F.col("size"), F.lit(0.0)) / d).alias("harmonic")))

@@ -9,13 +9,12 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
-def step_table(df: DataFrame) -> DataFrame:
-    """df written to the shared checkpoint folder and read again."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; a temporary folder only where it is unset and Spark runs in one process."""
     sc = spark.sparkContext
     base = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir")
     if not base:
@@ -23,7 +22,13 @@ def step_table(df: DataFrame) -> DataFrame:
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = tempfile.mkdtemp(prefix="webgather-")
         sc.setCheckpointDir(base)
-    path = f"{base.rstrip('/')}/steps/{uuid.uuid4().hex}"
+    return base
+
+
+def step_table(df: DataFrame) -> DataFrame:
+    """df written to the shared checkpoint folder and read again."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark).rstrip('/')}/steps/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -98,11 +103,11 @@ def tail_step(rank: DataFrame, cap: int) -> DataFrame:
     return rank.agg(at(0.9 * cap).alias("before"), at(1.1 * cap).alias("after")).withColumn("step", F.round(F.col("before") / F.greatest("after", F.lit(1)), 6))
 
 
-def bfs(edges: DataFrame, seeds: DataFrame, max_depth: int = 1000) -> DataFrame:
-    """id, depth of what seeds (id) reach; a level a round, each a table."""
+def bfs(edges: DataFrame, seeds: DataFrame, max_depth: int | None = None) -> DataFrame:
+    """id, depth of what seeds (id) reach, up to max_depth if it is set; a level a round, each a table."""
     reached = step_table(seeds.select("id", F.lit(0).alias("depth")).distinct())
     border, depth = reached, 0
-    while depth < max_depth:
+    while max_depth is None or depth < max_depth:
         depth += 1
         new = border.join(edges, border.id == edges.src).select(F.col("dst").alias("id")).distinct().join(reached, "id", "left_anti").select("id", F.lit(depth).alias("depth"))
         border = step_table(new)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from urllib.parse import urlparse
 
@@ -10,6 +9,7 @@ from pyspark.sql import functions as F
 
 from webgather.catalog import query, table
 from webgather.operators import graph, measures, overlay
+from webgather.operators.graph import shared_folder
 from webgather.operators.overlay import G2_SQL
 from webgather.plans.gather import BATCHED_SQL, HOUR, REQUESTS_SQL, STARTS_SQL, _bloom_sql, requests
 from webgather.sources import archive
@@ -17,7 +17,7 @@ from webgather.streaming import stream
 
 
 def place(spark) -> str:
-    base = spark.sparkContext.getCheckpointDir() or spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="webgather-")
+    base = shared_folder(spark)
     # the archive source opens files by itself, so a file: URL is taken as its path
     base = urlparse(base).path if base.startswith("file:") else base
     return f"{base.rstrip('/')}/{uuid.uuid4().hex}"
@@ -235,11 +235,11 @@ def stream_sessions(spark, sf):
     return stream.run(sessions.select("host", F.unix_micros("session_window.start").alias("from_us"), "n"), "complete")
 
 
-@query("stream_stream_join", f"WITH {REQUESTS_SQL}, a AS (SELECT seq, host, arrive_us FROM q WHERE seq % 10 = 0), b AS (SELECT host, arrive_us AS t FROM q WHERE seq % 10 = 5) SELECT seq, count(*) AS near FROM a JOIN b ON a.host = b.host AND t BETWEEN arrive_us AND arrive_us + {24 * HOUR} GROUP BY 1")
+@query("stream_stream_join", f"WITH {REQUESTS_SQL}, b AS (SELECT host, arrive_us AS t FROM q) SELECT seq, count(*) AS near FROM q JOIN b ON q.host = b.host AND t BETWEEN arrive_us AND arrive_us + {24 * HOUR} GROUP BY 1")
 def stream_stream_join(spark, sf):
-    """Requests of two streams of one host within a day of each other."""
+    """Each request with those of its host in the day that follows, itself among them."""
     rows = requests(spark, sf).withColumn("ts", F.timestamp_micros("arrive_us"))
-    a = stream.replay(spark, rows.filter("seq % 10 = 0").select("seq", "host", "ts"), place(spark), 2, "seq").withWatermark("ts", "2 days")
-    b = stream.replay(spark, rows.filter("seq % 10 = 5").select("seq", F.col("host").alias("h"), F.col("ts").alias("t")), place(spark), 2, "seq").drop("seq").withWatermark("t", "2 days")
+    a = stream.replay(spark, rows.select("seq", "host", "ts"), place(spark), 2, "seq").withWatermark("ts", "2 days")
+    b = stream.replay(spark, rows.select("seq", F.col("host").alias("h"), F.col("ts").alias("t")), place(spark), 2, "seq").drop("seq").withWatermark("t", "2 days")
     joined = a.join(b, F.expr("host = h AND t >= ts AND t <= ts + INTERVAL 1 DAY")).select("seq", "h")
     return stream.run(joined).groupBy("seq").agg(F.count(F.lit(1)).alias("near"))

@@ -408,10 +408,10 @@ def wl_domain(spark, sf):
 
 @query("wl_compare")
 def wl_compare(spark, sf):
-    """Pages after twelve rounds from one seed by policy: host and address quotas, no quotas, and lanes by id."""
+    """Pages and rounds from one seed by policy, until nothing waits: host and address quotas, no quotas, and lanes by id."""
     nodes, edges = _web(spark, sf)
     out = None
-    for name, c in {"two levels": crawl.Config(2, 4, rounds=12), "no politeness": crawl.Config(rounds=12), "by id": crawl.Config(2, 4, rounds=12, order=("seq",))}.items():
+    for name, c in {"two levels": crawl.Config(2, 4), "no politeness": crawl.Config(), "by id": crawl.Config(2, 4, order=("seq",))}.items():
         one = crawl.gather(edges, nodes, _seed(spark), c).agg(F.lit(name).alias("policy"), F.count(F.lit(1)).alias("pages"), F.max("round").alias("rounds"))
         out = one if out is None else out.unionByName(one)
     return out
@@ -419,20 +419,19 @@ def wl_compare(spark, sf):
 
 @query("wl_policy")
 def wl_policy(spark, sf):
-    """The share of the five largest hosts among early fetches, in discovery order and by indegree."""
+    """Pages of the five largest hosts among a quarter of all, gathered in discovery order and by indegree so far, a twentieth of the pages a round."""
     nodes, edges = _web(spark, sf)
+    nodes, edges = graph.step_table(nodes), graph.step_table(edges)
     large = nodes.groupBy("host").agg(F.count(F.lit(1)).alias("n")).orderBy(F.col("n").desc(), "host").limit(5).select("host", F.lit(True).alias("large"))
-    degree = edges.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("d"))
-    log = graph.step_table(crawl.gather(edges, nodes, _seed(spark))).join(F.broadcast(large), "host", "left").join(degree, "id", "left").withColumn("d", F.coalesce("d", F.lit(0)))
+    n = nodes.count()
     out = None
-    for name, order in {"breadth first": [F.col("round"), F.col("seq")], "indegree": [F.col("d").desc(), F.col("id")]}.items():
-        one = log.orderBy(*order).limit(50).agg(F.lit(name).alias("policy"), F.count(F.lit(1)).alias("pages"), F.count_if("large").alias("of_large_hosts"))
+    for name in ("discovery", "indegree"):
+        log = crawl.gather(edges, nodes, _seed(spark), crawl.Config(per_round=max(1, n // 20), budget=max(1, n // 4), priority=name)).join(F.broadcast(large), "host", "left")
+        one = log.agg(F.lit(name).alias("policy"), F.count(F.lit(1)).alias("pages"), F.count_if("large").alias("of_large_hosts"), F.max("round").alias("rounds"), F.round(F.avg("depth"), 6).alias("mean_depth"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-
-
 @query("baseline_batch_rounds", f"WITH RECURSIVE {G1_SQL}, {BFS}, c AS (SELECT depth, count(*) AS n FROM lv GROUP BY 1), k AS (SELECT depth, n, sum(n) OVER (ORDER BY depth) AS known FROM c) SELECT count(*) AS rounds, CAST(sum(n) AS BIGINT) AS rows_ours, CAST(sum(known) AS BIGINT) AS rows_resorted FROM k")
 def baseline_batch_rounds(spark, sf):
     """Rows that rounds move: a batch gatherer sorts its whole table of URLs each round, ours only what a round found."""

@@ -32,10 +32,10 @@ def url_normalise(spark, sf):
     return table(spark, sf, "pages").select("page_id", urls.normalise("url").alias("normal"))
 
 
-@query("url_unescape_reserved", r"SELECT event_id, '/u%2F' || user_id || '%3Fx~' || upper(event_type) || '%C3%A9' AS stays FROM events WHERE event_id < 2000")
+@query("url_unescape_reserved", r"SELECT event_id, '/u%2F' || user_id || '%3Fx~' || upper(event_type) || '%C3%A9' AS stays FROM events")
 def url_unescape_reserved(spark, sf):
     made = F.concat(F.lit("/%75%2f"), F.col("user_id"), F.lit("%3fx%7e"), F.upper("event_type"), F.lit("é"))
-    return table(spark, sf, "events").filter("event_id < 2000").select("event_id", urls.unescape(made).alias("stays"))
+    return table(spark, sf, "events").select("event_id", urls.unescape(made).alias("stays"))
 
 
 @query("url_resolve", f"WITH {LINKS_SQL} SELECT page_id, pos, target FROM t")

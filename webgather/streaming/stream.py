@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -11,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from webgather.operators.graph import shared_folder
+
 
 def replay(spark: SparkSession, table: DataFrame, folder: str, files: int, order: str) -> DataFrame:
     """A stream over `table`, one file a batch, by equal ranges of the number `order`.
@@ -28,7 +29,7 @@ def replay(spark: SparkSession, table: DataFrame, folder: str, files: int, order
 def run(stream: DataFrame, mode: str = "append", seconds: int = 120) -> DataFrame:
     """All that a stream gives over what there is now, by way of a Parquet sink or, for other modes, memory."""
     spark = stream.sparkSession
-    base = spark.sparkContext.getCheckpointDir() or spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="webgather-")
+    base = shared_folder(spark)
     place = f"{base.rstrip('/')}/streams/{uuid.uuid4().hex}"
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{place}/state").trigger(availableNow=True)
     name = f"s{uuid.uuid4().hex}"
