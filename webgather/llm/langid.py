@@ -63,7 +63,7 @@ class ContextTrees:
                 c = np.zeros(len(s) - k, np.int64)
                 for j in range(k + 1):
                     c = c * n + s[j : len(s) - k + j]
-                codes.append(np.unique(c, return_counts=True))
+                codes.append(np.unique(c[c % n != 0], return_counts=True))  # what stands before a text is context only
             contexts = np.unique(np.concatenate([c // n for c, _ in codes]))
             below = row_of[contexts % max(1, n ** (k - 1))] if k else np.zeros(len(contexts), np.int64)
             rows = table[below].copy()
