@@ -50,16 +50,22 @@ ORACLES: dict[str, str] = {
                sha256(unhex(coalesce(head || substr(h, 2 * last - 1), h))) AS kept_sha256
         FROM d LEFT JOIN p USING (doc_id)""",
     "op5_tool_calls": r"""
-        WITH m AS (SELECT conv_id, turn, role, text, CASE role WHEN 'user' THEN turn WHEN 'assistant' THEN turn - 1 END AS asked FROM conversations),
+        WITH RECURSIVE m AS (SELECT conv_id, turn, role, text, CASE role WHEN 'user' THEN turn WHEN 'assistant' THEN turn - 1 END AS asked FROM conversations),
         r AS (SELECT *, CASE WHEN role = 'user' THEN 'call' WHEN asked >= 0 THEN 'result' ELSE 'message' END AS kind, CASE WHEN asked >= 0 THEN 'c' || conv_id || '-' || asked END AS call_id FROM m),
-        c AS (SELECT conv_id, call_id, min(turn) AS call_turn FROM r WHERE kind = 'call' GROUP BY 1, 2),
-        a AS (SELECT conv_id, call_id, min(turn) AS result_turn FROM r WHERE kind = 'result' GROUP BY 1, 2),
-        j AS (SELECT r.*, call_turn, result_turn FROM r LEFT JOIN c USING (conv_id, call_id) LEFT JOIN a USING (conv_id, call_id)),
-        o AS (SELECT conv_id, turn, kind, call_id,
+        c AS (SELECT conv_id, asked, min(turn) AS call_turn FROM r WHERE kind = 'call' GROUP BY 1, 2),
+        a AS (SELECT conv_id, asked, min(turn) AS result_turn FROM r WHERE kind = 'result' GROUP BY 1, 2),
+        needs AS (SELECT conv_id, asked, CASE WHEN asked // 2 % 3 = 2 THEN asked // 2 + 1 ELSE asked // 2 // 2 END * 2 + asked % 2 AS needed FROM c WHERE asked >= 2),
+        ch AS (SELECT conv_id, asked, needed, 1 AS depth FROM needs UNION ALL SELECT ch.conv_id, ch.asked, n.needed, depth + 1 FROM ch JOIN needs n ON n.conv_id = ch.conv_id AND n.asked = ch.needed),
+        lv AS (SELECT ch.conv_id, ch.asked, max(depth) AS level, max(greatest(call_turn, result_turn)) AS late
+               FROM ch LEFT JOIN c ON c.conv_id = ch.conv_id AND c.asked = needed LEFT JOIN a ON a.conv_id = ch.conv_id AND a.asked = needed GROUP BY 1, 2),
+        j AS (SELECT r.*, call_turn, result_turn, coalesce(level, 0) AS level, CASE WHEN kind = 'message' THEN turn ELSE greatest(late, call_turn, turn) END AS place
+              FROM r LEFT JOIN c USING (conv_id, asked) LEFT JOIN a USING (conv_id, asked) LEFT JOIN lv USING (conv_id, asked)),
+        o AS (SELECT conv_id, turn, kind, call_id, level, place,
                 CASE WHEN kind = 'message' THEN 'message' WHEN turn <> CASE kind WHEN 'call' THEN call_turn ELSE result_turn END THEN 'repeated' WHEN call_turn IS NULL THEN 'orphan' WHEN result_turn IS NULL THEN 'unanswered' ELSE 'linked' END AS status,
                 kind <> 'call' OR text IS NOT NULL AS valid,
                 CASE WHEN kind = 'call' THEN '{"arguments":{"prompt":' || to_json(text) || ',"words":' || len(regexp_extract_all(text, '[^\s]+')) || '},"id":' || to_json(call_id) || ',"name":"reply","role":' || to_json(role) || '}'
                      ELSE '{"content":' || to_json(text) || ',"id":' || coalesce(CAST(to_json(call_id) AS VARCHAR), 'null') || ',"role":' || to_json(role) || '}' END AS line
               FROM j)
-        SELECT conv_id, turn, kind, call_id, status, valid, line, row_number() OVER (PARTITION BY conv_id ORDER BY turn, kind = 'result', call_id, line) - 1 AS position FROM o""",
+        SELECT conv_id, turn, kind, call_id, status, valid, line,
+               row_number() OVER (PARTITION BY conv_id ORDER BY place, level, kind = 'result', turn, call_id NULLS FIRST, line) - 1 AS position FROM o""",
 }

@@ -142,15 +142,23 @@ def _string(column: str) -> Column:
 
 
 def turns_as_calls(conversations: DataFrame, tool: str = "reply") -> DataFrame:
-    """Messages for format_calls from plain turns: a user's turn calls `tool`, the assistant's next turn is its result."""
+    """Messages for format_calls from plain turns: a user's turn calls `tool`, the assistant's next turn is its result.
+
+    References: exchange 1 and later ones refer to the one half as far, but each third from exchange 2 on refers
+    to the one after it, so it has to move behind that one's result. There are no circles, and chains are
+    as long as the logarithm of a conversation.
+    """
     text = F.coalesce(F.col("text"), F.lit(""))
     n_words = F.when(F.trim(F.regexp_replace(text, r"\s+", " ")) == "", 0).otherwise(F.size(F.split(F.trim(F.regexp_replace(text, r"\s+", " ")), " ")))
     user, answer = F.col("role") == "user", F.col("role") == "assistant"
     asked = F.when(user, F.col("turn")).when(answer, F.col("turn") - 1)
+    exchange = F.floor(F.col("turn") / 2)
+    other = F.when(exchange % 3 == 2, exchange + 1).otherwise(F.floor(exchange / 2)) * 2 + F.col("turn") % 2
+    refs = F.when(user & (exchange >= 1), F.array(F.concat(F.lit("c"), F.col("conv_id"), F.lit("-"), other.cast("long"))))
     return conversations.select(
         "conv_id", "turn", "role", "text",
         F.when(asked >= 0, F.concat(F.lit("c"), F.col("conv_id"), F.lit("-"), asked)).alias("call_id"),
         F.when(user, tool).alias("name"),
         F.when(user, F.to_json(F.struct(F.col("text").alias("prompt"), n_words.alias("words")))).alias("arguments"),
-        F.array().cast("array<string>").alias("refs"),
+        F.coalesce(refs, F.array().cast("array<string>")).alias("refs"),
     )
