@@ -7,10 +7,11 @@ from urllib.parse import urlparse
 
 from pyspark.sql import functions as F
 
-from webgather.catalog import query, table
+from webgather.catalog import ORACLES, query, table
 from webgather.operators import graph, measures, overlay
 from webgather.operators.graph import shared_folder
 from webgather.operators.overlay import G2_SQL
+from webgather.plans import store
 from webgather.plans.gather import BATCHED_SQL, HOUR, REQUESTS_SQL, STARTS_SQL, _bloom_sql, requests
 from webgather.sources import archive
 from webgather.streaming import stream
@@ -106,8 +107,6 @@ def measure_link_use(spark, sf):
 
 @query("measure_scaling")
 def measure_scaling(spark, sf):
-    from webgather.plans import store
-
     return measures.scaling(store.wl_scale(spark, sf).select("shards", "rate"))
 
 
@@ -205,10 +204,8 @@ def wl_once_variants(spark, sf):
     return out
 
 
-@query("wl_ring")
+@query("wl_ring", f"SELECT b.*, c.*, l.share AS locality FROM ({ORACLES['ring_balance']}) b, ({ORACLES['ring_change']}) c, ({ORACLES['link_locality']}) l")
 def wl_ring(spark, sf):
-    from webgather.plans import store
-
     b, m = store.ring_balance(spark, sf), store.ring_change(spark, sf)
     return b.crossJoin(m).crossJoin(store.link_locality(spark, sf).select(F.col("share").alias("locality")))
 

@@ -145,10 +145,15 @@ def indegree_top(spark, sf):
     return centrality.top(centrality.indegree(edges, nodes), "indegree")
 
 
-def _pagerank_sql(base: str, edges: str, nodes: str, rounds: int, alpha: str = "0.85") -> str:
+#: What a node adds to its inflow for rank without out-edges, by treatment; p is the round before.
+DANGLING_SQL = {"preference": "(SELECT coalesce(sum(r), 0) FROM {p} ANTI JOIN od ON od.src = {p}.id) / (SELECT count(*) FROM pn)", "self": "coalesce((SELECT r FROM {p} WHERE {p}.id = n.id AND NOT EXISTS (SELECT 1 FROM od WHERE od.src = n.id)), 0)", "drop": "0"}
+
+
+def _pagerank_sql(base: str, edges: str, nodes: str, rounds: int, alpha: str = "0.85", dangling: str = "preference") -> str:
     parts = [f"{base}", f"pe AS MATERIALIZED (SELECT DISTINCT src, dst FROM {edges})", f"pn AS MATERIALIZED (SELECT DISTINCT {nodes} AS id FROM nodes)", "od AS MATERIALIZED (SELECT src, count(*) AS t FROM pe GROUP BY 1)", "r0 AS (SELECT id, 1.0::DOUBLE / (SELECT count(*) FROM pn) AS r FROM pn)"]
     for k in range(1, rounds + 1):
-        parts.append(f"r{k} AS MATERIALIZED (SELECT n.id, {alpha} * (coalesce(i.s, 0) + (SELECT coalesce(sum(r), 0) FROM r{k - 1} p WHERE p.id NOT IN (SELECT src FROM od)) / (SELECT count(*) FROM pn)) + (1 - {alpha}) / (SELECT count(*) FROM pn) AS r FROM pn n LEFT JOIN (SELECT e.dst AS id, sum(p.r / o.t) AS s FROM pe e JOIN r{k - 1} p ON p.id = e.src JOIN od o ON o.src = e.src GROUP BY 1) i ON i.id = n.id)")
+        more = DANGLING_SQL[dangling].format(p=f"r{k - 1}")
+        parts.append(f"r{k} AS MATERIALIZED (SELECT n.id, {alpha} * (coalesce(i.s, 0) + {more}) + (1 - {alpha}) / (SELECT count(*) FROM pn) AS r FROM pn n LEFT JOIN (SELECT e.dst AS id, sum(p.r / o.t) AS s FROM pe e JOIN r{k - 1} p ON p.id = e.src JOIN od o ON o.src = e.src GROUP BY 1) i ON i.id = n.id)")
     return ", ".join(parts)
 
 
@@ -177,7 +182,7 @@ def pagerank_residual(spark, sf):
     return centrality.residual(edges, nodes, ranks).select((F.col("residual") < 1e-11).alias("solved"), (F.abs(F.col("total") - 1) < 1e-11).alias("sums_to_one"))
 
 
-@query("pagerank_dangling")
+@query("pagerank_dangling", " UNION ALL ".join(f"SELECT * FROM (WITH {_pagerank_sql(overlay.G3_SQL, 'edges', 'id', 8, dangling=m)} SELECT '{m}' AS mode, round(CAST(max(r) AS DOUBLE), 9) AS highest, round(CAST(sum(r) AS DOUBLE), 6) AS total FROM r8)" for m in ("preference", "self", "drop")))
 def pagerank_dangling(spark, sf):
     """The highest rank under each treatment of nodes without out-edges, on the graph of parts and their orders."""
     nodes, edges = overlay.trade(spark, sf)

@@ -230,19 +230,24 @@ def wl_threads(spark, sf):
 
 @query("wl_delay")
 def wl_delay(spark, sf):
-    """Addresses that must be held in their delay, and rate, by address delay; host delays equal and eight times as long."""
-    unit = 100_000
-    points = spark.createDataFrame([(d * 10 + r, 64, 4096, d * unit * r, d * unit, 0.0, 20_000_000) for d in (1, 2, 4, 8, 16) for r in (1, 8)], POINT)
-    return fetchsim.run(backlog(spark, sf), points).select(F.floor(F.col("point") / 10).alias("delay"), (F.col("point") % 10).alias("ratio"), F.round("rate", 3).alias("rate"), F.round("mean_delayed", 3).alias("mean_delayed"), F.round("busy", 4).alias("busy"))
+    """Addresses that must be held in their delay, rate and load, by address delay and fetchers; host delays eight times as long, and equal at 64 fetchers.
+
+    Rates are those of the first twenty simulated seconds, while the backlog is deep.
+    """
+    unit, cases = 100_000, [(32, 8), (64, 8), (128, 8), (64, 1)]
+    points = spark.createDataFrame([(t * 1000 + d * 10 + r, t, 4096, d * unit * r, d * unit, 0.0, 20_000_000) for d in (1, 2, 4, 8, 16) for t, r in cases], POINT)
+    point = F.col("point")
+    return fetchsim.run(backlog(spark, sf), points).select(F.floor(point / 1000).alias("threads"), F.floor(point % 1000 / 10).alias("delay"), (point % 10).alias("ratio"), F.round("rate", 3).alias("rate"), F.round("mean_delayed", 3).alias("mean_delayed"), F.round("busy", 4).alias("busy"))
 
 
 @query("wl_scale")
 def wl_scale(spark, sf):
-    """Rate of 1, 2, 4 and 8 shards over backlogs of equal size: each shard brings its own."""
-    out = None
+    """Rate of 1, 2, 4 and 8 shards that gather one backlog to its end: the ring deals its hosts, each shard has 25 fetchers and its own politeness."""
+    pages, out = backlog(spark, sf).drop("shard"), None
     for s in (1, 2, 4, 8):
-        own = backlog(spark, sf).crossJoin(spark.range(s).withColumnRenamed("id", "own")).withColumn("shard", F.col("own")).drop("own")
-        one = fetchsim.run(own, spark.createDataFrame([(s, 100, 1000, 200_000, 50_000, 0.0, 20_000_000)], POINT)).groupBy(F.col("point").alias("shards")).agg(F.round(F.sum("rate"), 3).alias("rate"), F.round(F.avg("rate"), 3).alias("rate_a_shard"))
+        own = ring.assign(pages, "host", _ring(spark, s)).withColumn("shard", F.col("shard").cast("long"))
+        ran = fetchsim.run(own, spark.createDataFrame([(s, 25, 1000, 200_000, 50_000, 0.0, FOREVER)], POINT))
+        one = ran.groupBy(F.col("point").alias("shards")).agg(F.sum("fetched").alias("fetched"), F.round(F.sum("rate"), 3).alias("rate"), F.round(F.sum("fetched") * 1e6 / F.max("horizon_us"), 3).alias("rate_to_last"), F.round(F.max("fetched") / F.avg("fetched"), 6).alias("max_over_mean"))
         out = one if out is None else out.unionByName(one)
     return out
 
