@@ -255,55 +255,74 @@ def test_gathering_with_caps(spark):
 
 
 def gathered_in_turn(edges, nodes, seed, c):
-    """{id: (depth, round)} by lists, one page after the other."""
+    """{id: (depth, round, found, place among what the round found)} by lists, one page after the other."""
     of = {i: (h, p) for i, h, p in nodes}
-    waiting, depth, done, cited, log = [(0, seed)], {seed: 0}, {}, {}, {}
+    waiting, depth, place, done, cited, log = [seed], {seed: 0}, {seed: (0, 1)}, {}, {}, {}
+    by = (lambda i: i) if c.order == ("id",) else place.get
     r = 0
     while waiting and len(log) < c.budget and (c.rounds is None or r < c.rounds):
         r += 1
         lanes, bays = {}, {}
-        for found, i in sorted(waiting, key=lambda w: (w[1],) if c.order == ("seq",) else w):
-            lanes.setdefault(of[i][0], []).append((found, i))
+        for i in sorted(waiting, key=by):
+            lanes.setdefault(of[i][0], []).append(i)
         ready = []
         for h, lane in lanes.items():
-            ready += [(k, *w) for k, w in enumerate(lane[: min(c.per_host, c.cap - done.get(h, 0))])]
-        for k, found, i in sorted(ready, key=lambda w: (w[0], w[2]) if c.order == ("seq",) else w):
-            bays.setdefault(of[i][1], []).append((found, i))
-        ready = [w for bay in bays.values() for w in bay[: c.per_ip]]
-        ready.sort(key=lambda w: (-cited.get(w[1], 0) if c.priority == "indegree" else 0, *w))
-        released = [i for _, i in ready][: c.per_round]
+            ready += list(enumerate(lane[: max(0, min(c.per_host, c.cap - done.get(h, 0)))]))
+        for _, i in sorted(ready, key=lambda w: (w[0], by(w[1]))):
+            bays.setdefault(of[i][1], []).append(i)
+        ready = sorted((i for bay in bays.values() for i in bay[: c.per_ip]), key=lambda i: (-cited.get(i, 0) if c.priority == "indegree" else 0, by(i)))
+        released = ready[: c.per_round]
         if not released:
             break
         new = {}
-        for i in released:
-            log[i] = (depth[i], r)
+        for i in sorted(released, key=place.get):
+            log[i] = (depth[i], r, *place[i])
             done[of[i][0]] = done.get(of[i][0], 0) + 1
-            for a, b in edges:
-                if a == i:
-                    cited[b] = cited.get(b, 0) + 1
-                    if b not in depth:
-                        new[b] = min(new.get(b, 1 << 30), depth[i] + 1)
+            for a, b, _ in sorted((e for e in edges if e[0] == i), key=lambda e: e[2]):
+                cited[b] = cited.get(b, 0) + 1
+                if b not in depth:
+                    new[b] = min(new.get(b, 1 << 30), depth[i] + 1)
         depth |= new
-        waiting = [w for w in waiting if w[1] not in log] + [(r, b) for b in new]
+        place |= {b: (r, k + 1) for k, b in enumerate(new)}
+        waiting = [i for i in waiting if i not in log] + list(new)
     return log
 
 
-@pytest.mark.parametrize("config", [crawl.Config(2, 3), crawl.Config(1, 2, cap=4), crawl.Config(2, 3, order=("seq",)), crawl.Config(per_round=5, priority="indegree", budget=30), crawl.Config(1, 2, rounds=5)])
+@pytest.mark.parametrize("config", [crawl.Config(2, 3), crawl.Config(1, 2, cap=4), crawl.Config(2, 3, order=("id",)), crawl.Config(per_round=5, priority="indegree", budget=30), crawl.Config(1, 2, rounds=5)])
 def test_gathering_is_the_loop(spark, config):
     rng = random.Random(11)
     nodes = [(i, "h" + str(min(i % 7, 3)), i % 5 % 3) for i in range(48)]
-    edges = sorted({(rng.randrange(48), rng.randrange(48) if rng.random() < 0.6 else rng.randrange(6)) for _ in range(150)})
-    log = crawl.gather(spark.createDataFrame(edges, "src long, dst long"), spark.createDataFrame(nodes, "id long, host string, ip int"), spark.createDataFrame([(0,)], "id long"), config)
-    assert {x["id"]: (x["depth"], x["round"]) for x in log.collect()} == gathered_in_turn(edges, nodes, 0, config)
+    arcs = sorted({(rng.randrange(48), rng.randrange(48) if rng.random() < 0.6 else rng.randrange(6)) for _ in range(150)})
+    edges = [(a, b, p) for (a, b), p in zip(arcs, rng.sample(range(len(arcs)), len(arcs)), strict=True)]
+    log = crawl.gather(spark.createDataFrame(edges, "src long, dst long, pos long"), spark.createDataFrame(nodes, "id long, host string, ip int"), spark.createDataFrame([(0,)], "id long"), config)
+    rows, want = log.collect(), gathered_in_turn(edges, nodes, 0, config)
+    assert {x["id"]: (x["depth"], x["round"], x["found"], x["seq"]) for x in rows} == want
+    if config.order != ("id",) and config.priority == "discovery":
+        hosts, heads = {i: h for i, h, _ in nodes}, 0
+        for r in range(1, 1 + max(x[1] for x in want.values())):
+            heads += len({hosts[i] for i, x in want.items() if x[2] < r <= x[1]})
+        assert tuple(crawl.heads_examined(log).first()) == (heads, len(want))
 
 
 def test_places_moved(spark):
     """Three pages of depth 1, the least of them fetched last."""
+    form = "id long, host string, depth int, found int, seq long, round int"
     rows = [(0, "a", 0, 0, 0, 1), (1, "b", 1, 1, 1, 3), (2, "c", 1, 1, 2, 2), (3, "d", 1, 1, 3, 2)]
-    got = crawl.deviation(spark.createDataFrame(rows, "id long, host string, depth int, found int, seq long, round int")).first()
+    ideal = [(*x[:5], 1 + x[2]) for x in rows]
+    got = crawl.deviation(spark.createDataFrame(rows, form), spark.createDataFrame(ideal, form)).first()
     assert (got["fetched"], got["mean_moved"], got["most_moved"], got["most_late"]) == (4, 1.0, 2, 1)
 
 
+def test_running_sums(spark):
+    from webgather.operators.sequence import running
+
+    rng = random.Random(4)
+    rows = [(i, rng.choice([None, 1, 5, 40])) for i in range(500)]
+    got = {x["i"]: x["total"] for x in running(spark.createDataFrame(rng.sample(rows, 500), "i long, v long"), ["i"], "v", "total", 7).collect()}
+    assert got == dict(zip(range(500), itertools.accumulate(v or 0 for _, v in rows), strict=True))
+    assert running(spark.createDataFrame([], "i long, v long"), ["i"], "v", "total").count() == 0
+
+
 def test_plans(spark):
     from helpers import SMALL
 

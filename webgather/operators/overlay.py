@@ -26,18 +26,19 @@ def nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def web(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    """(nodes, edges) of the overlay on pages: as many arcs from a page as it has links, up to six."""
+def web(spark: SparkSession, sf_dir: str, places: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(nodes, edges) of the overlay on pages: as many arcs from a page as it has links, up to six. places: edges have pos, the link's first place on its page."""
     pages = table(spark, sf_dir, "pages").select(F.col("page_id").alias("id"), urls.host("url").alias("host"), F.size(html.anchors("html")).alias("links"))
     by_host = Window.partitionBy("host")
     ranked = pages.withColumn("r", F.row_number().over(by_host.orderBy("id")) - 1).withColumn("h", F.count(F.lit(1)).over(by_host))
     total = pages.agg(F.count(F.lit(1)).alias("n"))
     arcs = ranked.select("*", F.explode(F.expr("sequence(1, 6)")).alias("k")).filter("k <= links").crossJoin(F.broadcast(total))
-    near = arcs.filter("k <= 3").select(F.col("id").alias("src"), "host", F.when(F.col("k") == 1, 0).otherwise((F.col("r") * F.col("k") + 1) % F.col("h")).alias("r"))
-    near = near.join(ranked.select("host", "r", F.col("id").alias("dst")), ["host", "r"]).select("src", "dst")
+    near = arcs.filter("k <= 3").select(F.col("id").alias("src"), "host", F.when(F.col("k") == 1, 0).otherwise((F.col("r") * F.col("k") + 1) % F.col("h")).alias("r"), "k")
+    near = near.join(ranked.select("host", "r", F.col("id").alias("dst")), ["host", "r"]).select("src", "dst", "k")
     i, k = F.col("id"), F.col("k")
-    far = arcs.filter("k > 3").select(i.alias("src"), F.when(k == 6, (i * i + 11) % F.ceil(F.sqrt("n")).cast("long")).otherwise((i * i + 7 * k + 3 * i * k) % F.col("n")).alias("dst"))
-    return nodes(spark, sf_dir), near.unionByName(far).filter("src <> dst").distinct()
+    far = arcs.filter("k > 3").select(i.alias("src"), F.when(k == 6, (i * i + 11) % F.ceil(F.sqrt("n")).cast("long")).otherwise((i * i + 7 * k + 3 * i * k) % F.col("n")).alias("dst"), "k")
+    links = near.unionByName(far).filter("src <> dst")
+    return nodes(spark, sf_dir), links.groupBy("src", "dst").agg(F.min("k").alias("pos")) if places else links.select("src", "dst").distinct()
 
 
 G2_SQL = """

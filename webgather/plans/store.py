@@ -268,7 +268,7 @@ def wl_target_front(spark, sf):
 
 
 def _web(spark, sf):
-    nodes, edges = overlay.web(spark, sf)
+    nodes, edges = overlay.web(spark, sf, places=True)
     named = nodes.withColumn("ip", F.pmod(F.crc32("host"), F.lit(16)))
     return graph.step_table(named), graph.step_table(edges)
 
@@ -308,16 +308,21 @@ def bfs_hostwise(spark, sf):
     return crawl.hostwise_inversions(_polite_log(spark, sf))
 
 
+def _deviation(spark, sf, config):
+    nodes, edges = _web(spark, sf)
+    ideal = graph.step_table(crawl.gather(edges, nodes, _seed(spark)))
+    return crawl.deviation(graph.step_table(crawl.gather(edges, nodes, _seed(spark), config)), ideal)
+
+
 @query("bfs_global_distance")
 def bfs_global_distance(spark, sf):
-    return crawl.deviation(_polite_log(spark, sf))
+    return _deviation(spark, sf, crawl.Config(per_host=2, per_ip=4))
 
 
 @query("visit_priority")
 def visit_priority(spark, sf):
     """Lanes served by id instead of discovery."""
-    nodes, edges = _web(spark, sf)
-    return crawl.deviation(crawl.gather(edges, nodes, _seed(spark), crawl.Config(per_host=2, per_ip=4, order=("seq",))))
+    return _deviation(spark, sf, crawl.Config(per_host=2, per_ip=4, order=("id",)))
 
 
 SNAPSHOTS = {"regional": (50, True), "deep": (1 << 30, False), "shallow": (5, False)}
@@ -332,7 +337,7 @@ def snapshot(spark, sf, name):
     first = nodes.agg(F.min("id").alias("id"))
     log = graph.step_table(crawl.gather(edges, nodes, first, crawl.Config(cap=cap)))
     kept = nodes.join(log.select("id"), "id", "left_semi")
-    inside = edges.join(log.select(F.col("id").alias("src")), "src", "left_semi").join(log.select(F.col("id").alias("dst")), "dst", "left_semi")
+    inside = edges.join(log.select(F.col("id").alias("src")), "src", "left_semi").join(log.select(F.col("id").alias("dst")), "dst", "left_semi").select("src", "dst")
     return graph.step_table(kept), graph.step_table(inside)
 
 
@@ -416,7 +421,7 @@ def wl_compare(spark, sf):
     """Pages and rounds from one seed by policy, until nothing waits: host and address quotas, no quotas, and lanes by id."""
     nodes, edges = _web(spark, sf)
     out = None
-    for name, c in {"two levels": crawl.Config(2, 4), "no politeness": crawl.Config(), "by id": crawl.Config(2, 4, order=("seq",))}.items():
+    for name, c in {"two levels": crawl.Config(2, 4), "no politeness": crawl.Config(), "by id": crawl.Config(2, 4, order=("id",))}.items():
         one = crawl.gather(edges, nodes, _seed(spark), c).agg(F.lit(name).alias("policy"), F.count(F.lit(1)).alias("pages"), F.max("round").alias("rounds"))
         out = one if out is None else out.unionByName(one)
     return out
