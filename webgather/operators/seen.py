@@ -52,6 +52,22 @@ def valued(df: DataFrame, key: str = "key", seq: str = "seq", value: str = "valu
     return df.select(seq, key, op, F.when(F.col(op) != "update", verdict).alias("verdict"), F.when(F.col(op) == "check_update", old).alias("old_value"))
 
 
+def repository(df: DataFrame, buckets: int, key: str = "key", seq: str = "seq", value: str = "value", op: str = "op") -> DataFrame:
+    """bucket, key, value of all keys that were ever seen; value is null where a key was only checked."""
+    stored = F.when(F.col(op) != "check", F.col(value))
+    latest = F.max_by(stored, F.when(stored.isNotNull(), F.col(seq)))
+    return df.groupBy((fp60(key) % buckets).alias("bucket"), key).agg(latest.alias(value))
+
+
+def valued_with(df: DataFrame, repo: DataFrame, buckets: int, key: str = "key", seq: str = "seq", value: str = "value", op: str = "op") -> DataFrame:
+    """As `valued`, of rows that come after what is in the repository, which is joined bucket by bucket."""
+    known = repo.select("bucket", F.col(key), F.col(value).alias("_stored"), F.lit(True).alias("_known"))
+    own = valued(df, key, seq, value, op).withColumn("bucket", fp60(key) % buckets).join(known, ["bucket", key], "left")
+    old = F.when(F.col(op) == "check_update", F.coalesce("old_value", "_stored"))
+    verdict = F.when(F.col("verdict").isNotNull() & F.col("_known"), "DUPLICATE").otherwise(F.col("verdict"))
+    return own.select(seq, key, op, verdict.alias("verdict"), old.alias("old_value"))
+
+
 def stored_values(df: DataFrame, key: str = "key", seq: str = "seq", value: str = "value", op: str = "op") -> DataFrame:
     """The repository after all operations."""
     return df.filter(F.col(op) != "check").groupBy(key).agg(F.max_by(value, seq).alias("value"))

@@ -120,12 +120,11 @@ def measure_rank_correlation(spark, sf):
 
 @query("measure_sketch_error")
 def measure_sketch_error(spark, sf):
-    """Harmonic centrality by sketches of 2^10 registers against the exact values."""
+    """Harmonic centrality of the parts by sketches of 2^10 registers, which balls here exceed, against the exact values."""
     from webgather.operators import centrality
-    from webgather.plans import snapshot
 
-    nodes, edges = snapshot.host_web(spark, sf)
-    edges, nodes = graph.step_table(edges.select("src", "dst")), graph.step_table(nodes)
+    nodes, edges = overlay.baskets(spark, sf)
+    edges, nodes = graph.step_table(edges), graph.step_table(nodes.select("id"))
     return measures.relative_error(centrality.harmonic_sketch(edges, nodes, 10)[0], centrality.harmonic_exact(edges, nodes), "harmonic")
 
 
@@ -164,12 +163,17 @@ def wl_noio(spark, sf):
 
 @query("wl_powerlaw")
 def wl_powerlaw(spark, sf):
-    from webgather.operators import graph, overlay, powerlaw
+    """Exponent, cut, distance and, of 50 replicas, the share that fits no better, for indegrees of pages, of their domains and of the parts."""
+    from webgather.operators import powerlaw
 
+    nodes, edges = overlay.web(spark, sf)
+    sites = graph.quotient(edges, nodes, "site").select("src", "dst"), nodes.select(F.col("site").alias("id")).distinct()
+    parts, next_parts = overlay.baskets(spark, sf)
     out = None
-    for name, made in (("web", overlay.web), ("baskets", overlay.baskets)):
-        nodes, edges = made(spark, sf)
-        one = powerlaw.fit(graph.degree_freq(edges, nodes)).select(F.lit(name).alias("graph"), F.round("alpha", 4).alias("alpha"), "xmin", F.round("ks", 4).alias("ks"))
+    for name, (arcs, of) in {"web": (edges, nodes), "domains": sites, "baskets": (next_parts, parts)}.items():
+        freq = graph.step_table(graph.degree_freq(arcs, of))
+        law = powerlaw.fit(freq).select(F.lit(name).alias("graph"), F.round("alpha", 4).alias("alpha"), "xmin", F.round("ks", 4).alias("ks"))
+        one = law.crossJoin(F.broadcast(powerlaw.pvalue(freq, 50).select("p")))
         out = one if out is None else out.unionByName(one)
     return out
 

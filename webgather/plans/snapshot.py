@@ -193,6 +193,24 @@ def pagerank_dangling(spark, sf):
     return out
 
 
+def _preferred_sql(rounds: int) -> str:
+    parts = [G1_SQL, HOST_SQL, "pe AS MATERIALIZED (SELECT src, dst, links FROM ha)", "pn AS MATERIALIZED (SELECT host AS id, CAST(count(*) AS DOUBLE) / (SELECT count(*) FROM nodes) AS v FROM nodes GROUP BY 1)", "od AS MATERIALIZED (SELECT src, CAST(sum(links) AS DOUBLE) AS t FROM pe GROUP BY 1)", "r0 AS (SELECT id, v AS r FROM pn)"]
+    for k in range(1, rounds + 1):
+        p = f"r{k - 1}"
+        parts.append(f"r{k} AS MATERIALIZED (SELECT n.id, 0.85::DOUBLE * (coalesce(i.s, 0) + (SELECT coalesce(sum(r), 0) FROM {p} ANTI JOIN od ON od.src = {p}.id) * v) + 0.15::DOUBLE * v AS r FROM pn n LEFT JOIN (SELECT e.dst AS id, sum(p.r * e.links / o.t) AS s FROM pe e JOIN {p} p ON p.id = e.src JOIN od o ON o.src = e.src GROUP BY 1) i ON i.id = n.id)")
+    return ", ".join(parts)
+
+
+@query("pagerank_weighted", f"WITH {_preferred_sql(12)} SELECT id, round(r, 9) AS rank FROM r12")
+def pagerank_weighted(spark, sf):
+    """Hosts by how many of their pages link, preferred by how many pages they have: the weighted and personalised form."""
+    nodes, edges = overlay.web(spark, sf)
+    arcs = graph.step_table(graph.quotient(edges, nodes, "host"))
+    total = nodes.agg(F.count(F.lit(1)).alias("n"))
+    hosts = graph.step_table(nodes.groupBy(F.col("host").alias("id")).agg(F.count(F.lit(1)).alias("k")).crossJoin(F.broadcast(total)).select("id", (F.col("k") / F.col("n")).alias("v")))
+    return centrality.pagerank(arcs, hosts, iterations=12, preference=hosts, weighted=True).select("id", F.round("rank", 9).alias("rank"))
+
+
 @query("harmonic_exact", f"WITH {DIST_SQL.format(g=G1_SQL)} SELECT n.id, round(coalesce(h, 0), 6) AS harmonic FROM nodes n LEFT JOIN (SELECT node AS id, sum(1.0 / d) AS h FROM ds WHERE d > 0 GROUP BY 1) USING (id)")
 def harmonic_exact(spark, sf):
     nodes, edges = overlay.web(spark, sf)

@@ -372,27 +372,44 @@ def wl_basic_table(spark, sf):
 def _binned(graph_name: str, base: str, end: str) -> str:
     fib = "RECURSIVE fb AS (SELECT CAST(1 AS BIGINT) AS low, CAST(2 AS BIGINT) AS high UNION ALL SELECT high, low + high FROM fb WHERE high < 1000000000)"
     way = "in" if end == "dst" else "out"
-    return f"SELECT * FROM (WITH {fib}, {base}, dg AS (SELECT n.id, count(e.{end}) AS degree FROM nodes n LEFT JOIN edges e ON e.{end} = n.id GROUP BY 1), fr AS (SELECT degree, count(*) AS freq FROM dg GROUP BY 1) SELECT '{graph_name}' AS graph, '{way}' AS way, low, CAST(sum(freq) AS BIGINT) AS nodes, round(sum(freq) / (high - low), 6) AS mean_freq FROM fr JOIN fb ON degree >= low AND degree < high GROUP BY low, high)"
+    return f"SELECT * FROM (WITH {fib}, {base}, dg AS (SELECT n.id, count(e.{end}) AS degree FROM nodes n LEFT JOIN edges e ON e.{end} = n.id GROUP BY 1), fr AS (SELECT degree, count(*) AS freq FROM dg GROUP BY 1) SELECT '{graph_name}' AS graph, '{way}' AS way, low, CAST(sum(freq) AS BIGINT) AS nodes, round(sum(freq) / (high - low), 6) AS mean_freq, (SELECT CAST(sum(freq) AS BIGINT) FROM fr r WHERE r.degree >= low) AS rank FROM fr JOIN fb ON degree >= low AND degree < high GROUP BY low, high)"
 
 
 @query("wl_degrees", " UNION ALL ".join(_binned(n, b, e) for n, b in (("web", G1_SQL), ("baskets", overlay.G2_SQL), ("trade", overlay.G3_SQL)) for e in ("dst", "src")))
 def wl_degrees(spark, sf):
-    """Fibonacci-binned in- and outdegrees of three graphs."""
+    """In- and outdegrees of three graphs by Fibonacci bins: nodes, mean frequency, and the rank of each bin's lowest degree."""
     out = None
     for name, made in (("web", overlay.web), ("baskets", overlay.baskets), ("trade", overlay.trade)):
         nodes, edges = made(spark, sf)
         for way in ("in", "out"):
-            one = graph.fibonacci_bins(graph.degree_freq(edges, nodes, way)).select(F.lit(name).alias("graph"), F.lit(way).alias("way"), "low", "nodes", "mean_freq")
+            bins = graph.fibonacci_bins(graph.degree_freq(edges, nodes, way))
+            # nodes of at least a bin's lowest degree: some 90 bins at most, whatever the graph
+            rank = F.sum("nodes").over(Window.orderBy(F.col("low").desc()))
+            one = bins.select(F.lit(name).alias("graph"), F.lit(way).alias("way"), "low", "nodes", "mean_freq", rank.alias("rank"))
             out = one if out is None else out.unionByName(one)
     return out
 
 
-@query("wl_root_effect", f"WITH {G1_SQL}, c AS (SELECT e.dst AS id, count(*) AS d FROM edges e GROUP BY 1), x AS (SELECT n.id, coalesce(d, 0) AS d, n.id = min(n.id) OVER (PARTITION BY host) AS root FROM nodes n LEFT JOIN c USING (id)), t AS (SELECT * FROM x ORDER BY d DESC, id LIMIT 20) SELECT count(*) AS pages, count(*) FILTER (root) AS roots FROM t")
+def _root_sql(cap: int) -> str:
+    kept = f"{G1_SQL.replace('edges AS', 'edges0 AS').replace('nodes AS', 'nodes0 AS')}, nodes AS (SELECT * FROM nodes0 QUALIFY row_number() OVER (PARTITION BY host ORDER BY id) <= {cap}), edges AS (SELECT e.* FROM edges0 e JOIN nodes a ON a.id = e.src JOIN nodes b ON b.id = e.dst)"
+    return f"SELECT * FROM (WITH {kept}, c AS (SELECT dst AS id, count(*) AS d FROM edges GROUP BY 1), x AS (SELECT n.id, coalesce(d, 0) AS d, n.id = min(n.id) OVER (PARTITION BY host) AS root FROM nodes n LEFT JOIN c USING (id)), t AS (SELECT * FROM x ORDER BY d DESC, id LIMIT 20), s AS (SELECT count(*) FILTER (d >= 0.9 * {cap}) AS before, count(*) FILTER (d >= 1.1 * {cap}) AS after FROM x WHERE d > 0) SELECT {cap} AS cap, count(*) AS pages, count(*) FILTER (root) AS roots, any_value(round(before / greatest(after, 1), 6)) AS step FROM t, s)"
+
+
+@query("wl_root_effect", " UNION ALL ".join(_root_sql(c) for c in (5, 20, 1 << 30)))
 def wl_root_effect(spark, sf):
-    """How many of the twenty pages of highest indegree are roots of their hosts."""
-    nodes, edges = overlay.web(spark, sf)
-    top = graph.indegree_split(edges, nodes).withColumn("d", F.col("inner") + F.col("outer")).orderBy(F.col("d").desc(), "id").limit(20)
-    return top.agg(F.count(F.lit(1)).alias("pages"), F.count_if("is_root").alias("roots"))
+    """Of the twenty pages of highest indegree, how many are roots of their hosts, and the rank curve's step at the cap, for snapshots of so many pages a host."""
+    whole, links = _web(spark, sf)
+    out = None
+    for cap in (5, 20, 1 << 30):
+        nodes = graph.step_table(graph.capped(whole, "id", cap))
+        ids = nodes.select("id")
+        edges = links.join(ids.withColumnRenamed("id", "src"), "src", "left_semi").join(ids.withColumnRenamed("id", "dst"), "dst", "left_semi")
+        degrees = graph.step_table(graph.indegree_split(edges, nodes).withColumn("degree", F.col("inner") + F.col("outer")))
+        top = degrees.orderBy(F.col("degree").desc(), "id").limit(20)
+        rank = graph.degree_rank(degrees.filter("degree > 0").groupBy("degree").agg(F.count(F.lit(1)).alias("freq")))
+        one = top.agg(F.lit(cap).alias("cap"), F.count(F.lit(1)).alias("pages"), F.count_if("is_root").alias("roots")).crossJoin(graph.tail_step(rank, cap).select("step"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("wl_spill", f"WITH {TAKE_SQL} SELECT count(*) AS buckets, count(*) FILTER (used / allocated < 0.5) AS under_half, round(min(ratio), 6) AS least FROM ur")
@@ -410,20 +427,51 @@ def wl_feeder(spark, sf):
     return out
 
 
-@query("wl_domain", f"WITH {G1_SQL} SELECT count(*) AS pages, CAST(sum(content) AS BIGINT) AS bytes, CAST(ceil(sum(content) / 100000.0) AS BIGINT) AS seconds_at_cap FROM nodes WHERE domain = 'example.org'")
+DOMAIN_SQL = f"{G1_SQL.replace('edges AS', 'edges0 AS').replace('nodes AS', 'nodes0 AS')}, nodes AS (SELECT * FROM nodes0 WHERE domain = 'example.org'), edges AS (SELECT e.* FROM edges0 e JOIN nodes a ON a.id = e.src JOIN nodes b ON b.id = e.dst), w AS (SELECT min(id) AS id, 0 AS depth FROM nodes UNION SELECT e.dst, w.depth + 1 FROM w JOIN edges e ON e.src = w.id WHERE w.depth < 16), dm AS (SELECT * FROM nodes WHERE id IN (SELECT id FROM w))"
+
+
+@query("wl_domain", f"WITH RECURSIVE {DOMAIN_SQL} SELECT count(*) AS pages, CAST(sum(content) AS BIGINT) AS bytes, CAST(ceil(sum(content) / 100000.0) AS BIGINT) AS seconds, true AS under_cap FROM dm")
 def wl_domain(spark, sf):
-    """One domain under a cap of 100 kB a second."""
-    return overlay.nodes(spark, sf).filter("domain = 'example.org'").agg(F.count(F.lit(1)).alias("pages"), F.sum("content").alias("bytes"), F.ceil(F.sum("content") / 100_000).alias("seconds_at_cap"))
+    """One domain gathered politely over a link of 100 kB a second: a page is sent when those fetched before it are through."""
+    from webgather.operators.sequence import running
+
+    nodes, edges = _web(spark, sf)
+    inside = F.col("domain") == "example.org"
+    first = nodes.filter(inside).agg(F.min("id").alias("id"))
+    log = crawl.gather(edges, nodes, first, crawl.Config(per_host=2, per_ip=4), allow=inside)
+    sent = running(log.join(nodes.select("id", "content"), "id"), ["round", "found", "seq"], "content", "through").withColumn("from", F.col("through") - F.col("content"))
+    # bytes of each second a page is on the link
+    cap = 100_000
+    second = F.explode(F.sequence(F.floor(F.col("from") / cap), F.greatest(F.floor(F.col("from") / cap), F.ceil(F.col("through") / cap) - 1)))
+    part = F.least("through", (F.col("s") + 1) * cap) - F.greatest("from", F.col("s") * cap)
+    per = sent.select("id", "from", "through", second.alias("s")).select("id", "s", part.alias("b")).groupBy("s").agg(F.sum("b").alias("b"))
+    pages = log.agg(F.count(F.lit(1)).alias("pages"))
+    return per.agg(F.sum("b").alias("bytes"), (F.max("s") + 1).alias("seconds"), (F.max("b") <= cap).alias("under_cap")).crossJoin(pages).select("pages", "bytes", "seconds", "under_cap")
 
 
 @query("wl_compare")
 def wl_compare(spark, sf):
-    """Pages and rounds from one seed by policy, until nothing waits: host and address quotas, no quotas, and lanes by id."""
+    """Half of all pages gathered from one seed by policy: pages, bytes, rounds, pages and bytes a round, the fullest of 4 shards, and lanes looked at a release.
+
+    two levels is the frontier; two-queue releases the same but looks at every lane each round;
+    global order and indegree take as many pages a round as there are addresses, politeness aside.
+    """
     nodes, edges = _web(spark, sf)
+    half, own = max(1, nodes.count() // 2), ring.assign(nodes.select("host").distinct(), "host", _ring(spark, 4))
+    configs = {"two levels": crawl.Config(2, 1, budget=half), "by id": crawl.Config(2, 1, budget=half, order=("id",)), "global order": crawl.Config(per_round=16, budget=half), "indegree": crawl.Config(per_round=16, budget=half, priority="indegree")}
     out = None
-    for name, c in {"two levels": crawl.Config(2, 4), "no politeness": crawl.Config(), "by id": crawl.Config(2, 4, order=("id",))}.items():
-        one = crawl.gather(edges, nodes, _seed(spark), c).agg(F.lit(name).alias("policy"), F.count(F.lit(1)).alias("pages"), F.max("round").alias("rounds"))
-        out = one if out is None else out.unionByName(one)
+    for name, c in configs.items():
+        log = graph.step_table(crawl.gather(edges, nodes, _seed(spark), c).join(nodes.select("id", "content"), "id").join(own, "host"))
+        fullest = log.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("most_of_a_shard"))
+        total = log.agg(F.count(F.lit(1)).alias("pages"), F.sum("content").alias("bytes"), F.max("round").alias("rounds")).crossJoin(fullest)
+        total = total.withColumn("pages_a_round", F.round(F.col("pages") / F.col("rounds"), 6)).withColumn("bytes_a_round", F.round(F.col("bytes") / F.col("rounds"), 6))
+        policies = [(name, F.lit(1.0))]
+        if name == "two levels":
+            total = total.crossJoin(crawl.heads_examined(log).select("heads"))
+            policies.append(("two-queue", F.round(F.col("heads") / F.col("pages"), 6)))
+        for policy, looked in policies:
+            one = total.select(F.lit(policy).alias("policy"), "pages", "bytes", "rounds", "pages_a_round", "bytes_a_round", "most_of_a_shard", looked.alias("looked_at"))
+            out = one if out is None else out.unionByName(one)
     return out
 
 
