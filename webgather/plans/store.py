@@ -454,11 +454,11 @@ def wl_compare(spark, sf):
     """Half of all pages gathered from one seed by policy: pages, bytes, rounds, pages and bytes a round, the fullest of 4 shards, and lanes looked at a release.
 
     two levels is the frontier; two-queue releases the same but looks at every lane each round;
-    global order and indegree take as many pages a round as there are addresses, politeness aside.
+    global order and indegree take as many pages a round as all addresses may give, politeness aside.
     """
     nodes, edges = _web(spark, sf)
     half, own = max(1, nodes.count() // 2), ring.assign(nodes.select("host").distinct(), "host", _ring(spark, 4))
-    configs = {"two levels": crawl.Config(2, 1, budget=half), "by id": crawl.Config(2, 1, budget=half, order=("id",)), "global order": crawl.Config(per_round=16, budget=half), "indegree": crawl.Config(per_round=16, budget=half, priority="indegree")}
+    configs = {"two levels": crawl.Config(2, 4, budget=half), "by id": crawl.Config(2, 4, budget=half, order=("id",)), "global order": crawl.Config(per_round=64, budget=half), "indegree": crawl.Config(per_round=64, budget=half, priority="indegree")}
     out = None
     for name, c in configs.items():
         log = graph.step_table(crawl.gather(edges, nodes, _seed(spark), c).join(nodes.select("id", "content"), "id").join(own, "host"))
