@@ -451,7 +451,7 @@ def wl_domain(spark, sf):
 
 @query("wl_compare")
 def wl_compare(spark, sf):
-    """Half of all pages gathered from one seed by policy: pages, bytes, rounds, pages and bytes a round, the fullest of 4 shards, and lanes looked at a release.
+    """Half of all pages gathered from one seed by policy: pages, bytes, rounds, pages and bytes a round, the fullest of 4 shards, and lanes looked at a page.
 
     two levels is the frontier; two-queue releases the same but looks at every lane each round;
     global order and indegree take as many pages a round as all addresses may give, politeness aside.
@@ -463,9 +463,9 @@ def wl_compare(spark, sf):
     for name, c in configs.items():
         log = graph.step_table(crawl.gather(edges, nodes, _seed(spark), c).join(nodes.select("id", "content"), "id").join(own, "host"))
         fullest = log.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("most_of_a_shard"))
-        total = log.agg(F.count(F.lit(1)).alias("pages"), F.sum("content").alias("bytes"), F.max("round").alias("rounds")).crossJoin(fullest)
+        total = log.agg(F.count(F.lit(1)).alias("pages"), F.sum("content").alias("bytes"), F.max("round").alias("rounds"), F.countDistinct("host", "round").alias("lanes")).crossJoin(fullest)
         total = total.withColumn("pages_a_round", F.round(F.col("pages") / F.col("rounds"), 6)).withColumn("bytes_a_round", F.round(F.col("bytes") / F.col("rounds"), 6))
-        policies = [(name, F.lit(1.0))]
+        policies = [(name, F.round(F.col("lanes") / F.col("pages"), 6))]
         if name == "two levels":
             total = total.crossJoin(crawl.heads_examined(log).select("heads"))
             policies.append(("two-queue", F.round(F.col("heads") / F.col("pages"), 6)))
