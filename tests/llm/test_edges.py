@@ -2,8 +2,10 @@
 
 import math
 import random
+from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import functions as F
 
 from webgather.llm import decontaminate, langid, minhash, packing, pii, quality, queries
@@ -175,3 +177,16 @@ def test_swaps_of_many_pieces_and_classes():
     assert sum(len(b) * n for b, n in after.items()) == sum(histogram.values()) and all(sum(b) <= 2048 for b in after)
     few = packing.swap_search(before, 2048, steps=1)
     assert sum(after.values()) <= sum(few.values()) <= sum(before.values())
+
+
+def test_language_keeps_workers_small(spark):
+    """What packing keeps in a worker is gone when language identification begins there, and large batches leave in parts."""
+    texts = ["plain english words " * 20_000, None, "mots en clair " * 30_000, "123", "plain words " * 40_000]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(5)), pa.array(texts, pa.string())], names=["doc_id", "text"])
+    docs = SimpleNamespace(columns=["doc_id", "text"], schema=None, sparkSession=spark, mapInArrow=lambda f, schema: f)
+    trees = langid.ContextTrees({"en": [b"plain english words"], "fr": [b"mots en clair"]})
+    packing._encoder(queries.tokenizer_path())
+    parts = list(langid.recognised(docs, trees)(iter([batch])))
+    assert packing._encoder.cache_info().currsize == 0
+    assert [x for p in parts for x in p.column(0).to_pylist()] == [0, 2, 4]
+    assert len(parts) > 1 and all(sum(map(len, p.column(1).to_pylist())) <= 1 << 20 for p in parts)

@@ -17,7 +17,6 @@ ignored, whatever their names.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -25,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BinaryType, StringType, StructType
 
-from webgather.llm._shared import written
+from webgather.llm._shared import enter, worker_cache, written
 
 #: Lower case for A-Z, a space for what parts words, all else unchanged.
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -44,7 +43,7 @@ def windows_of(words: list[bytes], size: int) -> Iterator[bytes]:
         yield b" " + b" ".join(words[i : i + size]) + b" "
 
 
-@lru_cache(maxsize=2)
+@worker_cache(maxsize=2)
 def _automaton(items: tuple[tuple[str, str], ...], size: int):
     """None if there is no window; values: (words in the window, ids of its items)."""
     import ahocorasick
@@ -106,6 +105,7 @@ def _scanned(docs: DataFrame, text: int, blocks: list, size: int, finish: Callab
         last = k + 1 == len(blocks)
 
         def search(batches, held=held, k=k, last=last):
+            enter(_automaton)
             machine = _automaton(held.value, size)
             for batch in batches:
                 found = []

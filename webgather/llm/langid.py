@@ -15,14 +15,19 @@ language first by name; of rows with one id those with a language and a text are
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from webgather.llm import _text as X
+from webgather.llm._shared import enter
 
 SCHEMA = "doc_id long, lang_pred string, score double, bits_per_byte double"
+#: Bytes of text looked up at once: each takes a code length for every language.
+SLICE = 1 << 17
 ASCII_LETTER = np.zeros(256, bool)
 ASCII_LETTER[[*range(65, 91), *range(97, 123)]] = True
 
@@ -118,7 +123,7 @@ def predict(trees: ContextTrees, column: pa.Array) -> tuple[np.ndarray, np.ndarr
     n = len(offsets) - 1
     names = np.array([*trees.langs, "und"], dtype=object)
     best, score, rate = np.full(n, len(trees.langs)), np.zeros(n), np.zeros(n)
-    for a, b in X.slices(offsets, X.SLICE // 2) if trees.langs else ():
+    for a, b in X.slices(offsets, SLICE) if trees.langs else ():
         raw, off = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
         bits, some = trees.lengths(raw, off), _has_letter(raw, off)
         k = bits.argmin(1)
@@ -129,12 +134,20 @@ def predict(trees: ContextTrees, column: pa.Array) -> tuple[np.ndarray, np.ndarr
     return names[best], score, rate
 
 
+def _parts(batches, text: int) -> Iterator[pa.RecordBatch]:
+    """The batches in parts of about a megabyte of text, so that what is made of a part, and waits to be sent, is small."""
+    for batch in batches:
+        for a, b in X.slices(X.buffer_of(batch.column(text))[1]):
+            yield batch.slice(a, b - a)
+
+
 def identify(docs: DataFrame, trees: ContextTrees, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, lang_pred, score (the language's share of likelihood), bits_per_byte of its code, for every row."""
     held = docs.sparkSession.sparkContext.broadcast(trees)
 
     def label(batches):
-        for batch in batches:
+        enter()
+        for batch in _parts(batches, 1):
             names, score, rate = predict(held.value, batch.column(1))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(score), pa.array(rate)], names=["doc_id", "lang_pred", "score", "bits_per_byte"])
 
@@ -147,7 +160,8 @@ def recognised(docs: DataFrame, trees: ContextTrees, text_col: str = "text") ->
     at = docs.columns.index(text_col)
 
     def keep(batches):
-        for batch in batches:
+        enter()
+        for batch in _parts(batches, at):
             yield batch.filter(pa.array(predict(held.value, batch.column(at))[0] != "und", pa.bool_()))
 
     return docs.mapInArrow(keep, docs.schema)

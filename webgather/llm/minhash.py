@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from webgather.llm import _text as X
-from webgather.llm._shared import joined, written
+from webgather.llm._shared import enter, joined, written
 from webgather.llm.components import components
 
 SCHEMA = "doc_id long, n_shingles long, k1 long, k2 long, sketch binary, bands array<long>"
@@ -92,6 +92,7 @@ def sketched(docs: DataFrame, words: int, n_hashes: int, rows_in_band: int, id_c
     n_bands = n_hashes // rows_in_band
 
     def make(batches):
+        enter()
         for batch in batches:
             data, offsets = X.buffer_of(batch.column(1))
             n = len(offsets) - 1

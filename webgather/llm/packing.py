@@ -28,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from webgather.llm._shared import written
+from webgather.llm._shared import enter, worker_cache, written
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long"
 #: White space that Python splits at and the tokenizer may not, or rarer kinds, or special tokens: such texts are encoded whole.
@@ -105,7 +105,7 @@ class Encoder:
         return out
 
 
-@lru_cache(maxsize=2)
+@worker_cache(maxsize=2)
 def _encoder(path: str) -> Encoder:
     """One to a worker: what a task has learned serves the next."""
     return Encoder(path)
@@ -115,6 +115,7 @@ def pieces(docs: DataFrame, tokenizer: str, size: int = 2048, id_col: str = "doc
     """A row for each piece, in order of its document; rank counts the earlier pieces of that length in the task."""
 
     def cut(batches):
+        enter(_encoder)
         encode, seen, task = _encoder(tokenizer), Counter(), TaskContext.get().partitionId()
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
