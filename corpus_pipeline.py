@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from webgather.llm import decontaminate, exact_dedup, langid, minhash, packing
-from webgather.llm._shared import written
+from webgather.llm._shared import let_go, written
 from webgather.llm.queries import table, tokenizer_path, trained_on
 
 
@@ -28,6 +28,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each text: decisions are by id and content, as ids may be null or repeated."""
+    let_go(spark)  # the language model's parts, on the driver
     stays = exact_dedup.exact_groups(docs, keep="largest").filter("kept").select(_row_key(F.col("text_sha256")).alias("_row"))
     keyed = docs.withColumn("_row", _row_key(F.sha2(F.coalesce("text", F.lit("")), 256)))
     # rows of one id and one text are together after the join, so no further shuffle parts them
@@ -36,6 +37,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row of each group; rows whose ids are null or repeated are numbered first, in order of their ids, nulls last."""
+    let_go(spark)
     odd = docs.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).filter("n > 1 or doc_id is null")
     if odd.isEmpty():
         return docs.join(minhash.near_duplicates(docs).filter("kept").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)

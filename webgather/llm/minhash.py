@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from webgather.llm import _text as X
-from webgather.llm._shared import enter, joined, written
+from webgather.llm._shared import enter, joined, let_go, written
 from webgather.llm.components import components
 
 SCHEMA = "doc_id long, n_shingles long, k1 long, k2 long, sketch binary, bands array<long>"
@@ -218,8 +218,9 @@ def _across(open_: DataFrame, counts: DataFrame, signed: DataFrame, similarity:
     p, q = similarity
     # a document that can't have enough in common with one of its least possible size has no partner
     able = written(counts.filter(q * F.size("hs") >= p * F.col("n")))
-    rows = open_.join(able.select("doc_id"), "doc_id", "left_semi")
-    hubs = rows.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("members"))
+    # written, as the join asks for the hubs several times
+    rows = written(open_.join(able.select("doc_id"), "doc_id", "left_semi"))
+    hubs = written(rows.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("members")))
     pools = components(joined(rows, hubs, ["bucket"], "members").select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).select(F.col("node").alias("doc_id"), F.col("component_id").alias("pool"))
     pooled = written(able.join(pools, "doc_id").join(signed, "doc_id"))
     size = pooled.groupBy("pool").agg(F.ceil(F.greatest(F.count(F.lit(1)) / block_docs, F.sum(F.size("hs")) / block_shingles)).cast("int").alias("blocks"), F.count(F.lit(1)).alias("members"))
@@ -319,10 +320,11 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: tuple[int, int]
     edges = written(_linked(_dealt(likely), texts, words, similarity).distinct())
     found = components(edges)
     open_ = written(_mixed(placed.select("bucket", "doc_id"), found))
+    let_go(docs.sparkSession)
     ours = written(_common_counts(open_, sets, texts, words))
     more = written(_across(open_, ours, signed, similarity, steps).distinct())
     if not more.isEmpty():
-        found = components(edges.unionByName(more))
+        found = components(found.select(F.col("node").alias("a"), F.col("component_id").alias("b")).unionByName(more))
     return (
         folded.join(found.withColumnRenamed("node", "rep"), "rep", "left")
         .select("doc_id", "n_shingles", F.coalesce("component_id", "rep", "doc_id").alias("component_id"))
