@@ -245,7 +245,7 @@ SUMMARY_SQL = "SELECT round(sum(d) FILTER (d > 0) / count(*) FILTER (d > 0), 6)
 @query("distance_summary", f"WITH {DIST_SQL.format(g=G1_SQL)} {SUMMARY_SQL}")
 def distance_summary(spark, sf):
     nodes, edges = overlay.web(spark, sf)
-    return centrality.summary(centrality.distribution(centrality.distances(graph.step_table(edges), nodes)), nodes)
+    return centrality.summary(centrality.spread(graph.step_table(edges), nodes), nodes)
 
 
 for _name in ("avg_distance", "harmonic_diameter", "reachable_pairs"):
@@ -257,7 +257,7 @@ for _name in ("avg_distance", "harmonic_diameter", "reachable_pairs"):
 def distance_host_graph(spark, sf):
     nodes, edges = host_web(spark, sf)
     edges, nodes = graph.step_table(edges.select("src", "dst")), graph.step_table(nodes)
-    return centrality.summary(centrality.distribution(centrality.distances(edges, nodes)), nodes)
+    return centrality.summary(centrality.spread(edges, nodes), nodes)
 
 
 @query("distance_sketch")
