@@ -53,7 +53,7 @@ def test_no_arcs(spark):
     assert centrality.spread(edges, own.filter("id > 9")).count() == 0
 
 
-@pytest.mark.parametrize("name", ["distance_summary", "avg_distance", "harmonic_diameter", "reachable_pairs"])
+@pytest.mark.parametrize("name", ["distance_summary", "avg_distance", "harmonic_diameter", "reachable_pairs", "distance_distribution"])
 def test_without_pairs(spark, duck, monkeypatch, name):
     def refused(*_, **__):
         raise AssertionError("the table of pairs grows with the square of the pages")

@@ -236,7 +236,7 @@ def harmonic_sampled(spark, sf):
 @query("distance_distribution", f"WITH {DIST_SQL.format(g=G1_SQL)} SELECT d, count(*) AS pairs FROM ds GROUP BY 1")
 def distance_distribution(spark, sf):
     nodes, edges = overlay.web(spark, sf)
-    return centrality.distribution(centrality.distances(graph.step_table(edges), nodes))
+    return centrality.spread(graph.step_table(edges), nodes)
 
 
 SUMMARY_SQL = "SELECT round(sum(d) FILTER (d > 0) / count(*) FILTER (d > 0), 6) AS mean_distance, round(any_value(n) * (any_value(n) - 1) / sum(1.0 / d) FILTER (d > 0), 6) AS harmonic_diameter, round(count(*) / (any_value(n) * any_value(n)), 6) AS reachable FROM ds, (SELECT count(*) AS n FROM nodes)"
