@@ -53,10 +53,20 @@ def test_no_arcs(spark):
     assert centrality.spread(edges, own.filter("id > 9")).count() == 0
 
 
-@pytest.mark.parametrize("name", ["distance_summary", "avg_distance", "harmonic_diameter", "reachable_pairs", "distance_distribution"])
+@pytest.mark.parametrize("name", ["distance_summary", "avg_distance", "harmonic_diameter", "reachable_pairs", "distance_distribution", "harmonic_exact"])
 def test_without_pairs(spark, duck, monkeypatch, name):
     def refused(*_, **__):
         raise AssertionError("the table of pairs grows with the square of the pages")
 
     monkeypatch.setattr(centrality, "distances", refused)
     assert rows_of(catalog.QUERIES[name](spark, SMALL).toPandas()) == rows_of(duck.sql(catalog.ORACLES[name]).df())
+
+
+def test_harmonic_by_sample_without_pairs(spark, monkeypatch):
+    """A fifth of the sources, scaled to all: against a search from each of them."""
+    monkeypatch.setattr(centrality, "distances", None)
+    arcs, nodes, _ = _graph("dense")
+    edges, own = spark.createDataFrame(sorted(set(arcs)), "src long, dst long"), spark.createDataFrame([(i,) for i in nodes], "id long")
+    far = [searched(arcs, s) for s in nodes if s % 5 == 0]
+    want = {i: 5 * sum(1 / f[i] for f in far if f.get(i)) for i in nodes}
+    assert {r["id"]: r["harmonic"] for r in centrality.harmonic_exact(edges, own, own.filter("id % 5 = 0")).collect()} == pytest.approx(want)
