@@ -70,3 +70,8 @@ def test_harmonic_by_sample_without_pairs(spark, monkeypatch):
     far = [searched(arcs, s) for s in nodes if s % 5 == 0]
     want = {i: 5 * sum(1 / f[i] for f in far if f.get(i)) for i in nodes}
     assert {r["id"]: r["harmonic"] for r in centrality.harmonic_exact(edges, own, own.filter("id % 5 = 0")).collect()} == pytest.approx(want)
+
+
+def test_sketch_error_without_pairs(spark, monkeypatch):
+    monkeypatch.setattr(centrality, "distances", None)
+    assert catalog.QUERIES["measure_sketch_error"](spark, SMALL).count() == 1
