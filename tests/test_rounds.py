@@ -56,7 +56,7 @@ def test_deeper_than_the_sql(spark, no_tables):
     assert crawl.gather(e, n, s).agg({"depth": "max"}).first()[0] == 39
 
 
-@pytest.mark.parametrize("name", ["bfs_hostwise", "crawl_round", "no_refresh", "wl_domain", "bfs_global_distance"])
+@pytest.mark.parametrize("name", ["bfs_hostwise", "crawl_round", "no_refresh", "wl_domain", "bfs_global_distance", "visit_priority"])
 def test_queries_without_tables(spark, duck, no_tables, name):
     own = catalog.QUERIES[name](spark, SMALL).toPandas()
     assert len(own)
