@@ -62,3 +62,10 @@ def test_queries_without_tables(spark, duck, no_tables, name):
     assert len(own)
     if name in catalog.ORACLES:
         assert rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df())
+
+
+def test_basic_table_without_tables_or_pairs(spark, no_tables, monkeypatch):
+    from webgather.operators import centrality
+
+    monkeypatch.setattr(centrality, "distances", None)
+    assert {r["snapshot"] for r in catalog.QUERIES["wl_basic_table"](spark, SMALL).collect()} == {"regional", "deep", "shallow"}
