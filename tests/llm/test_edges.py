@@ -166,6 +166,33 @@ def test_folding_that_leaves_marks_uncomposed():
         assert encode(t) == np.array(plain.encode(t, add_special_tokens=False).ids, "<u4").tobytes(), ascii(t)
 
 
+def test_words_with_marks_behind_are_the_whole_text():
+    from tokenizers import Tokenizer
+
+    path = queries.tokenizer_path()
+    plain, encode = Tokenizer.from_file(path), packing.Encoder(path, 300)
+    rng = random.Random(3)
+    letters = ["The", "rock", "s", "t", "re", "ÀÉ", "ñandú", "µ", "ªº", "ß", "дом", "中文", "e\u0301", "Σας", "ﬁ"]
+    marks = ["", "", ",", ".", "!!", "'", "''", ",!!", "_", "%%%", "<|", "|>", "…", "'s", "²", "7", "42", "\xb7", "\u00ad"]
+    gaps = [" ", " ", "\n", "\t", "  ", "\xa0", "\x85", "\x1f", "", "\u2028"]
+    for _ in range(3000):
+        text = "".join(rng.choice(part) for _ in range(rng.randrange(9)) for part in (letters, marks, gaps))
+        assert encode(text) == np.array(plain.encode(text, add_special_tokens=False).ids, "<u4").tobytes(), ascii(text)
+
+
+def test_a_known_word_with_known_marks_is_not_encoded(monkeypatch):
+    path = queries.tokenizer_path()
+    encode = packing.Encoder(path)
+    want = encode.whole("Palabra!! árbol,!!")
+    encode("palabra árbol una!! dos,!!")
+
+    def refused(*_):
+        raise AssertionError("a word whose parts are known was sent to the tokenizer")
+
+    monkeypatch.setattr(encode, "_learn", refused)
+    assert encode("Palabra!! árbol,!!") == want
+
+
 def test_swaps_of_many_pieces_and_classes():
     rng = random.Random(5)
     histogram = {n: rng.randrange(1, 40) for n in rng.sample(range(250, 1100), 300)}

@@ -15,7 +15,9 @@ other columns are ignored.
 
 from __future__ import annotations
 
+import os
 import re
+import string
 import zlib
 from bisect import bisect_left, insort
 from collections import Counter
@@ -33,37 +35,55 @@ from webgather.llm._shared import enter, worker_cache, written
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long"
 #: White space that Python splits at and the tokenizer may not, or rarer kinds, or special tokens: such texts are encoded whole.
 UNUSUAL = re.compile("[\\x1c-\\x1f\\x85\\xa0\\u03a3\\u1680\\u180e\\u2000-\\u200f\\u2028-\\u202f\\u205f-\\u206f\\u3000\\ufeff]|<\\|")
+#: Those of them that Latin-1 has, where a search for each is quicker.
+UNUSUAL_LATIN = ("<|", "\x85", "\xa0", "\x1c", "\x1d", "\x1e", "\x1f")
 MOST_CACHED = 300_000
 
 
+def _is_latin(text: str) -> bool:
+    """Whether all characters are of Latin-1, which is in composed form before and after folding."""
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return True
+
+
 class Encoder:
     """Token ids as little-endian 32-bit numbers; what stands between white space is encoded once and kept.
 
     The tokenizer drops white space, folds case and encodes runs of letters and of marks by
-    themselves, so a text is the sum of its parts, and a word with a comma or full stop the sum
+    themselves, so a text is the sum of its parts, and a word with marks behind it the sum
     of two. Of known parts the two latest generations of `most` each are kept.
     """
 
     def __init__(self, path: str, most: int = MOST_CACHED):
-        from tokenizers import Tokenizer
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
         self.tokenizer, self.most = Tokenizer.from_file(path), most
+        # for folded runs of Latin-1 between single spaces, where nothing is left to normalise or to split
+        self.lean = Tokenizer.from_file(path)
+        self.lean.normalizer = normalizers.Sequence([])
+        self.lean.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
         vocabulary = self.tokenizer.get_vocab()
         self.ends_word = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends_word[[v for k, v in vocabulary.items() if k.endswith("</w>")]] = True
-        self.marks = {m: self.whole(m) for m in ",."}
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def _learn(self, new: list[str], letters: bool) -> None:
-        code = self.tokenizer.encode(" ".join(new), add_special_tokens=False)
-        ids = np.array(code.ids, "<u4")
-        if letters:
+    def _learn(self, new: list[str], runs: bool, latin: bool) -> None:
+        """runs: each of the new parts is one run of letters or of marks."""
+        if runs:
+            tokenizer = self.lean if latin else self.tokenizer
+            ids = np.array(tokenizer.encode_batch_fast([" ".join(new)], add_special_tokens=False)[0].ids, "<u4")
             cuts = np.flatnonzero(self.ends_word[ids]) + 1
         else:
+            code = self.tokenizer.encode(" ".join(new), add_special_tokens=False)
+            ids = np.array(code.ids, "<u4")
             cuts = np.searchsorted([s for s, _ in code.offsets], np.cumsum([len(w) + 1 for w in new]))
         raw, a = ids.tobytes(), 0
         for w, b in zip(new, (4 * cuts).tolist(), strict=True):
@@ -71,35 +91,42 @@ class Encoder:
             a = b
 
     def __call__(self, text: str) -> bytes:
-        lower = text.lower()  # folding can leave a text that isn't composed
-        if UNUSUAL.search(text) or not is_normalized("NFC", text) or not is_normalized("NFC", lower):
+        lower, latin = text.lower(), _is_latin(text)
+        if latin:
+            unusual = any(mark in text for mark in UNUSUAL_LATIN)
+        else:  # folding can leave a text that isn't composed
+            unusual = UNUSUAL.search(text) or not is_normalized("NFC", text) or not is_normalized("NFC", lower)
+        if unusual:
             return self.whole(text)
         words = lower.split()
         known, older = self.known, self.older
-        letters: list[str] = []
+        out = list(map(known.get, words))
+        missing = {w for w, ids in zip(words, out, strict=True) if ids is None}
+        if not missing:
+            return b"".join(out)
+        runs: list[str] = []
         others: list[str] = []
-        sums: list[str] = []
+        sums: list[tuple[str, str, str]] = []
         asked = set()
-        for w in set(words).difference(known):
+        for w in missing:
             if (had := older.get(w)) is not None:
                 known[w] = had
             elif w.isalpha():
-                letters.append(w)
-            elif w[-1] in ",." and w[:-1].isalpha():
-                sums.append(w)
-                asked.add(w[:-1])
+                runs.append(w)
+            elif (stem := w.rstrip(string.punctuation)) != w and stem.isalpha():
+                sums.append((w, stem, marks := w[len(stem) :]))
+                asked.update((stem, marks))
             else:
                 others.append(w)
         if asked:
-            letters += [w for w in asked.difference(known).difference(letters) if w not in older]
-        if letters:
-            self._learn(letters, True)
+            runs += [w for w in asked.difference(known).difference(runs) if w not in older]
+        if runs:
+            self._learn(runs, True, latin)
         if others:
-            self._learn(others, False)
-        for w in sums:
-            stem = w[:-1]
-            known[w] = (known.get(stem) or older[stem]) + self.marks[w[-1]]
-        out = b"".join(map(known.__getitem__, words))
+            self._learn(others, False, latin)
+        for w, *parts in sums:
+            known[w] = b"".join([known.get(part) or older[part] for part in parts])
+        out = b"".join([known[w] if ids is None else ids for w, ids in zip(words, out, strict=True)])
         if len(known) > self.most:
             self.older, self.known = known, {}
         return out
