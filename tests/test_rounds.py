@@ -64,6 +64,34 @@ def test_queries_without_tables(spark, duck, no_tables, name):
         assert rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df())
 
 
+@pytest.mark.parametrize("name", ["crawl_round"])
+def test_queries_number_no_pages_by_jobs(spark, duck, monkeypatch, name):
+    def refused(*_, **__):
+        raise AssertionError("ids numbered by jobs: longer than the gathering")
+
+    monkeypatch.setattr(crawl.reach, "coded", refused)
+    own = catalog.QUERIES[name](spark, SMALL).toPandas()
+    assert len(own) and (name not in catalog.ORACLES or rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df()))
+
+
+def test_pages_are_parsed_once(spark):
+    from webgather.operators import overlay
+
+    plan = overlay.web(spark, SMALL, places=True)[1]._jdf.queryExecution().optimizedPlan().toString()
+    assert "regexp_extract_all" not in plan
+
+
+@pytest.mark.parametrize("form", ["string", "int"])
+def test_ids_of_other_kinds(spark, no_tables, form):
+    """A page of no id, a link to no page, and a seed that is none, with ids that aren't long."""
+    e, n, s = _frames(spark, [(i, f"h{i % 2}", i % 2) for i in range(9)], [(i, i + 1, 0) for i in range(12)] + [(3, 0, 1)], 0)
+    as_form = lambda df, *cs: df.withColumns({c: df[c].cast(form) for c in cs})
+    n = as_form(n, "id").unionByName(spark.createDataFrame([(None, "h5", 0)], f"id {form}, host string, ip int"))
+    log = crawl.gather(as_form(e, "src", "dst"), n, as_form(s.union(spark.createDataFrame([(77,)], "id long")), "id"))
+    assert dict(log.dtypes)["id"] == form
+    assert sorted((int(r["id"]), r["depth"], r["round"]) for r in log.collect()) == [(i, i, i + 1) for i in range(9)]
+
+
 def test_basic_table_without_tables_or_pairs(spark, no_tables, monkeypatch):
     from webgather.operators import centrality
 
