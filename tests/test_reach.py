@@ -3,6 +3,7 @@
 import random
 from collections import deque
 
+import numpy as np
 import pytest
 from helpers import SMALL, rows_of
 
@@ -75,3 +76,36 @@ def test_harmonic_by_sample_without_pairs(spark, monkeypatch):
 def test_sketch_error_without_pairs(spark, monkeypatch):
     monkeypatch.setattr(centrality, "distances", None)
     assert catalog.QUERIES["measure_sketch_error"](spark, SMALL).count() == 1
+
+
+def test_a_word_goes_through_its_components_alone():
+    """Three rings whose nodes lie between each other's: a level of 64 sources takes the arcs of one."""
+    n = 64
+    s = np.concatenate([3 * np.arange(n) + k for k in range(3)])
+    t = np.concatenate([3 * ((np.arange(n) + 1) % n) + k for k in range(3)])
+    arcs = reach.Arcs(3 * n + 1, s, t, np.arange(3 * n))
+    assert (arcs.spans[:, 1] - arcs.spans[:, 0]).tolist() == [n, n, n]
+    for word in range(3):
+        assert [(d, int(k.sum())) for d, _, k in arcs.levels(word)] == [(d, n) for d in range(n)]
+    assert reach.components(5, np.array([4, 1]), np.array([3, 4])).tolist() == [0, 1, 2, 1, 1]
+
+
+def test_balls_that_stay_are_not_sent_again(spark, monkeypatch):
+    """The ends of a star settle at once and those of a chain one after the other; sums are exact for so few nodes."""
+    arcs = [(100 + i, 200) for i in range(10)] + [(i, i + 1) for i in range(8)]
+    edges = spark.createDataFrame(arcs, "src long, dst long")
+    nodes = spark.createDataFrame([(i,) for i in sorted({x for a in arcs for x in a})], "id long")
+    changed, write = [], centrality.step_table
+
+    def watched(df):
+        out = write(df)
+        changed.append({r["id"] for r in out.filter("changed").collect()})
+        return out
+
+    monkeypatch.setattr(centrality, "step_table", watched)
+    got = {r["id"]: r["harmonic"] for r in centrality.harmonic_sketch(edges, nodes)[0].collect()}
+    ids = [r["id"] for r in nodes.collect()]
+    far = {i: searched(arcs, i) for i in ids}
+    assert got == pytest.approx({i: sum(1 / f[i] for f in far.values() if f.get(i)) for i in ids}, rel=1e-4)
+    assert not any(100 <= i < 200 for own in changed[1:] for i in own)
+    assert all(i in changed[i] and not any(i in own for own in changed[i + 1 :]) for i in range(7)) and 8 in changed[8]
