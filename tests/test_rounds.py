@@ -64,7 +64,7 @@ def test_queries_without_tables(spark, duck, no_tables, name):
         assert rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df())
 
 
-@pytest.mark.parametrize("name", ["crawl_round", "bfs_global_distance", "visit_priority", "wl_domain"])
+@pytest.mark.parametrize("name", ["crawl_round", "bfs_global_distance", "visit_priority", "wl_domain", "no_refresh"])
 def test_queries_number_no_pages_by_jobs(spark, duck, monkeypatch, name):
     def refused(*_, **__):
         raise AssertionError("ids numbered by jobs: longer than the gathering")
