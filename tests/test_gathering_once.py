@@ -2,9 +2,11 @@
 
 import re
 
+import pytest
 from helpers import SMALL
 from pyspark.sql import functions as F
 
+from webgather import catalog, plans  # noqa: F401
 from webgather.functions import html
 from webgather.operators import crawl, overlay
 
@@ -26,6 +28,13 @@ def test_the_log_needs_no_join(spark):
     assert "Join" not in _plan(log) and [tuple(r)[:4] for r in log.orderBy("id").collect()] == [(0, "h0", 0, 0), (1, "h1", 1, 1), (2, "h2", 2, 2)]
 
 
+@pytest.mark.parametrize("name", ["visit_priority", "bfs_global_distance"])
+def test_arcs_are_collected_once(spark, monkeypatch, name):
+    calls, fits = [], crawl.reach.fits
+    monkeypatch.setattr(crawl.reach, "fits", lambda edges: calls.append(1) or fits(edges))
+    assert catalog.QUERIES[name](spark, SMALL).count() == 1 and len(calls) == 1
+
+
 def test_each_config_as_alone(spark):
     """Also where one of them needs rounds as tables."""
     edges, nodes = spark.createDataFrame([(i, (i * 7 + j) % 30, j) for i in range(30) for j in range(3)], "src long, dst long, pos long"), spark.createDataFrame([(i, f"h{i % 4}", i % 2) for i in range(30)], "id long, host string, ip int")
