@@ -3,7 +3,7 @@
 import re
 
 import pytest
-from helpers import SMALL
+from helpers import SMALL, rows_of
 from pyspark.sql import functions as F
 
 from webgather import catalog, plans  # noqa: F401
@@ -48,3 +48,13 @@ def test_hidden_parts_as_before(spark):
     texts = ["a<script>x</SCRIPT >b", "<scripts>x</script>", "<STYLE a='<!--'>\n</style>c-->", "<!-- <script> -->d</script>", "<script>e", "<!--->f-->", "<<style></style>>", "<style></script></style\n>g", ""]
     got = spark.createDataFrame([(x,) for x in texts], "t string").select(F.regexp_replace("t", plain, " "), html.visible("t")).collect()
     assert all(a == b for a, b in got) and [b for _, b in got] == [re.sub(plain, " ", x) for x in texts]
+
+
+@pytest.mark.parametrize("name", ["wl_domain", "no_refresh", "visit_priority"])
+def test_queries_read_pages_once(spark, duck, monkeypatch, name):
+    def refused(*_):
+        raise AssertionError("pages are read a second time, for their labels")
+
+    monkeypatch.setattr(overlay, "nodes", refused)
+    own = catalog.QUERIES[name](spark, SMALL).toPandas()
+    assert len(own) and (name not in catalog.ORACLES or rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df()))
