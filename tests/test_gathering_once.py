@@ -58,3 +58,39 @@ def test_queries_read_pages_once(spark, duck, monkeypatch, name):
     monkeypatch.setattr(overlay, "nodes", refused)
     own = catalog.QUERIES[name](spark, SMALL).toPandas()
     assert len(own) and (name not in catalog.ORACLES or rows_of(own) == rows_of(duck.sql(catalog.ORACLES[name]).df()))
+
+
+def test_domain_needs_no_ranges(spark, monkeypatch):
+    """The task that gathers adds up the bytes, and only the domain's pages are parsed for links."""
+    from webgather.operators import sequence
+
+    def refused(*_, **__):
+        raise AssertionError("the log is dealt by range for a sum that its task can make")
+
+    monkeypatch.setattr(sequence, "running", refused)
+    monkeypatch.setattr(crawl, "running", refused, raising=False)
+    assert catalog.QUERIES["wl_domain"](spark, SMALL).first()["pages"] > 0
+    nodes, edges = overlay.web(spark, SMALL, places=True, domain="example.org")
+    own = nodes.filter("domain = 'example.org'").select("id")
+    whole = overlay.web(spark, SMALL, places=True)
+    assert sorted(map(tuple, edges.collect())) == sorted(map(tuple, whole[1].join(own.withColumnRenamed("id", "src"), "src").select(*edges.columns).collect()))
+    assert sorted(map(tuple, nodes.collect())) == sorted(map(tuple, whole[0].collect()))
+
+
+@pytest.mark.parametrize("sizes", [[], [0], [100_000, 0], [40_000, 70_000, 0, 90_000, 350_000]])
+def test_seconds_on_the_link(spark, duck, tmp_path, sizes):
+    """Also a domain without pages, and an empty page where a second ends."""
+    rows = [(i, f"http://a.example.org/{i}", ('<a href="x">' + " " * n)[:n]) for i, n in enumerate(sizes)] + [(90, "http://b.net/", "x")]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    con = duck.cursor()
+    con.sql(f"create temp view pages as select * from '{tmp_path}/pages.parquet/*.parquet'")
+    assert rows_of(catalog.QUERIES["wl_domain"](spark, str(tmp_path)).toPandas()) == rows_of(con.sql(catalog.ORACLES["wl_domain"]).df())
+
+
+def test_sums_as_by_tables(spark, monkeypatch):
+    edges, nodes = spark.createDataFrame([(i, (i * 7 + j) % 30, j) for i in range(30) for j in range(3)], "src long, dst long, pos long"), spark.createDataFrame([(i, f"h{i % 4}", i % 2, i * i) for i in range(30)], "id long, host string, ip int, n long")
+    one = crawl.gather(edges, nodes, spark.createDataFrame([(0,)], "id long"), crawl.Config(2, 3), summed="n")
+    monkeypatch.setattr(crawl.reach, "fits", lambda _: False)
+    two = crawl.gather(edges, nodes, spark.createDataFrame([(0,)], "id long"), crawl.Config(2, 3), summed="n").select(*one.columns)
+    got = sorted(map(tuple, one.collect()))
+    assert len(got) == 30 and got == sorted(map(tuple, two.collect()))
