@@ -109,3 +109,17 @@ def test_balls_that_stay_are_not_sent_again(spark, monkeypatch):
     assert got == pytest.approx({i: sum(1 / f[i] for f in far.values() if f.get(i)) for i in ids}, rel=1e-4)
     assert not any(100 <= i < 200 for own in changed[1:] for i in own)
     assert all(i in changed[i] and not any(i in own for own in changed[i + 1 :]) for i in range(7)) and 8 in changed[8]
+
+
+def test_reached_ends_are_left_out():
+    """A level that only two nodes are missing goes through their arcs, not through all; distances are those of a search."""
+    n = 200
+    arcs = [(i, (i + j) % n) for i in range(n) for j in range(1, 40)] + [(0, n), (n, n + 1)]
+    s, t = np.array(arcs).T
+    own = reach.Arcs(n + 2, s, t, np.arange(n + 2))
+    found = {}
+    for word in range(4):
+        for d, nodes, k in own.levels(word):
+            found[d] = found.get(d, 0) + int(k.sum())
+    far = {i: searched(arcs, i) for i in range(n + 2)}
+    assert found == {d: sum(x == d for f in far.values() for x in f.values()) for d in found} and sum(found.values()) == sum(map(len, far.values()))
